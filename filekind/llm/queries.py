@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, sharding
+from . import exact_dedup, sharding, simhash, token_binary
 
 QUERIES = {
     "op3_hilbert_sharding": sharding.op3_hilbert_sharding,
+    "op7_simhash_bytes": simhash.op7_simhash_bytes,
+    "op8_simple8b_tokens": token_binary.op8_simple8b_tokens,
     "op9_chunk_recipe_dedup": exact_dedup.op9_chunk_recipe_dedup,
 }
 
