@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, sharding, simhash, token_binary
+from . import exact_dedup, fingerprints, sharding, simhash, token_binary, url_filter
 
 QUERIES = {
+    "op1_imatch": fingerprints.op1_imatch,
     "op3_hilbert_sharding": sharding.op3_hilbert_sharding,
+    "op6_blocked_bloom": url_filter.op6_blocked_bloom,
     "op7_simhash_bytes": simhash.op7_simhash_bytes,
     "op8_simple8b_tokens": token_binary.op8_simple8b_tokens,
     "op9_chunk_recipe_dedup": exact_dedup.op9_chunk_recipe_dedup,
 }
 
 ORACLES = {
+    "op6_blocked_bloom": url_filter.ORACLE_SQL,
     "op9_chunk_recipe_dedup": exact_dedup.ORACLE_SQL,
 }
