@@ -65,7 +65,8 @@ def dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how)
     held = recipes(df, id_col, text_col, **how)
     # One row for each id and recipe; the hash only rides along.
     each = stash(held.groupBy("recipe", "doc_id", "text_sha256").agg(F.sum("copies").alias("copies")))
-    groups = each.groupBy("recipe").agg(F.min("doc_id").alias("keep_id"), F.sum("copies").alias("group_size"))
+    # Written, so that both sides of the join are plain exchanges and a recipe that many documents share can be split.
+    groups = stash(each.groupBy("recipe").agg(F.min("doc_id").alias("keep_id"), F.sum("copies").alias("group_size")))
     return each.join(groups, "recipe").select(
         "doc_id", "keep_id", "group_size", (F.col("doc_id").eqNullSafe(F.col("keep_id"))).alias("first"), "text_sha256", F.explode(F.sequence(F.lit(1).cast("long"), "copies")).alias("copy"),
     ).select("doc_id", "keep_id", "group_size", (F.col("first") & (F.col("copy") == 1)).alias("kept"), "text_sha256")

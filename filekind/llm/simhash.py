@@ -107,7 +107,7 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     roots = components(links(entries.select("fp")), "a", "b")
     placed = entries.join(roots, entries["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     smallest = placed.groupBy("root").agg(F.min("least").alias("component_id"))
-    labels = placed.join(smallest, "root").select("fp", "component_id")
+    labels = stash(placed.join(smallest, "root").select("fp", "component_id"))
     return held.join(labels, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
