@@ -30,9 +30,7 @@ MAGIC, VERSION = b"FKS8", 1
 BLOCK = 128
 END_ID = 2
 #: Ids per segment after which a new one begins, and bytes of text that are tokenised at a time.
-SEGMENT_IDS, TEXT_BYTES = 1 << 20, 1 << 22
-#: Distinct words whose ids a worker keeps.
-CACHE_WORDS = 300_000
+SEGMENT_IDS, TEXT_BYTES = 1 << 20, 1 << 23
 #: Bits of an id under each selector; selector 0 is the escape, 1 is not used.
 BITS = np.array([64, 0, 1, 2, 3, 4, 5, 6, 7, 8, 10, 12, 15, 20, 30, 60], np.uint64)
 COUNTS = np.array([1, 0] + [60 // int(b) for b in BITS[2:]], np.int64)
@@ -45,16 +43,25 @@ def pack(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     blocks = -(-n // BLOCK)
     grid = np.zeros((blocks, BLOCK), np.uint64)
     grid.reshape(-1)[:n] = ids
-    width = np.zeros((blocks, BLOCK), np.uint8)  # selectors need only know the classes of widths
-    for b in BITS[2:]:
-        width += (grid >> b > 0).astype(np.uint8)  # 0: fits the narrowest, 14: an escape
+    # The class of an id is the narrowest of BITS[2:] that holds it; 14: none does, an escape.
+    if n and int(ids.max()) < 1 << 16:
+        classes = np.searchsorted(BITS[2:14], np.array([i.bit_length() for i in range(1 << 16)]), "left").astype(np.uint8)
+        classes[0] = 0
+        width = classes[grid]
+    else:
+        width = np.zeros((blocks, BLOCK), np.uint8)
+        for b in BITS[2:]:
+            width += (grid >> b > 0).astype(np.uint8)
     selector = np.zeros((blocks, BLOCK), np.uint8)
     widest, reach = width.copy(), 1
     for s in range(15, 1, -1):  # from one id in a word to sixty
         while reach < COUNTS[s]:
             np.maximum(widest[:, : BLOCK - reach], width[:, reach:], out=widest[:, : BLOCK - reach])
             reach += 1
-        selector[widest <= s - 2] = s
+        fits = widest <= s - 2
+        if not fits.any():
+            break  # more ids in fewer bits fit nowhere either
+        np.copyto(selector, s, where=fits)
     start = np.zeros(blocks * BLOCK, bool)
     flat, at = selector.reshape(-1), np.arange(blocks) * BLOCK
     end = np.minimum(at + BLOCK, n)
@@ -141,27 +148,57 @@ class Words:
     """Ids of texts, encoding each distinct white-space-separated piece once.
 
     The tokenizer of the contract drops white space and never joins pieces across it, so the ids of a text are
-    those of its pieces one after another.
+    those of its pieces one after another. Distinct pieces of plain Latin letters, digits and ASCII signs go to the library as long strings of
+    pieces; as the number of pre-tokens in such a piece is certain, and an id that ends a pre-token shows it, the
+    ids are dealt back to the pieces. All others are encoded one by one.
     """
 
+    #: Pre-tokens of the vocabulary's splitting pattern, for pieces of these characters.
+    PLAIN = "^[!-~\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f]+$"
+    PIECES = "'s|'t|'re|'ve|'m|'ll|'d|[a-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f]+|[0-9]|[^a-z0-9\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f]+"
+    #: A letter, signs that form one pre-token after it, and the end of the piece.
+    SIGNS = "([a-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f])([.,;:!?*%$#&]+)(\\s|$)"
+    TOGETHER = 2000
+
     def __init__(self, path: str):
+        import os
+
+        os.environ["RAYON_NUM_THREADS"] = "1"  # tasks already use every core
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.known = Tokenizer.from_file(path), {}
+        self.tokenizer = Tokenizer.from_file(path)
+        self.ends = np.zeros(self.tokenizer.get_vocab_size(), bool)
+        for token, i in self.tokenizer.get_vocab().items():
+            self.ends[i] = token.endswith("</w>")
+
+    def distinct(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of the words one after another, the number of ids of each)."""
+        plain = pc.and_(pc.match_substring_regex(words, self.PLAIN), pc.invert(pc.match_substring(words, "<|"))).to_numpy(zero_copy_only=False)
+        size = np.zeros(len(words), np.int64)
+        at, rest = np.flatnonzero(plain), np.flatnonzero(~plain)
+        easy = words.take(pa.array(at))
+        texts = easy.to_pylist()
+        found = self.tokenizer.encode_batch_fast([" ".join(texts[i : i + self.TOGETHER]) for i in range(0, len(texts), self.TOGETHER)], add_special_tokens=False)
+        ids = np.concatenate([np.array(e.ids, np.uint32) for e in found]) if found else np.zeros(0, np.uint32)
+        last = np.cumsum(pc.count_substring_regex(pc.utf8_lower(easy), self.PIECES).to_numpy(zero_copy_only=False))
+        stops = np.flatnonzero(self.ends[ids]) + 1
+        if len(stops) != (last[-1] if len(last) else 0):
+            raise RuntimeError("pre-tokens do not add up")
+        size[at] = np.diff(stops[last - 1], prepend=0)
+        odd = [e.ids for e in self.tokenizer.encode_batch_fast(words.take(pa.array(rest)).to_pylist(), add_special_tokens=False)]
+        size[rest] = np.fromiter(map(len, odd), np.int64, len(odd))
+        values = np.empty(int(size.sum()), np.uint32)
+        mine = np.repeat(plain, size)
+        values[mine] = ids
+        values[~mine] = np.fromiter((i for e in odd for i in e), np.uint32, int(size[rest].sum()))
+        return values, size
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts in order, the number of ids of each)."""
-        pieces = pc.ascii_split_whitespace(texts)
+        apart = pc.replace_substring_regex(pc.ascii_lower(texts), self.SIGNS, r"\1 \2\3")  # both change no id, and leave fewer distinct pieces
+        pieces = pc.ascii_split_whitespace(apart)
         coded = pieces.flatten().dictionary_encode()
-        distinct = coded.dictionary.to_pylist()
-        if len(self.known) > CACHE_WORDS:
-            self.known.clear()
-        if new := [w for w in distinct if w not in self.known]:
-            for w, e in zip(new, self.tokenizer.encode_batch(new, add_special_tokens=False), strict=True):
-                self.known[w] = e.ids
-        each = [self.known[w] for w in distinct]
-        size = np.fromiter(map(len, each), np.int64, len(each))
-        values = np.fromiter((i for e in each for i in e), np.uint32, int(size.sum()))
+        values, size = self.distinct(coded.dictionary)
         which = coded.indices.to_numpy(zero_copy_only=False)
         lengths = size[which]
         ends = np.cumsum(lengths)
