@@ -70,3 +70,19 @@ def running_before(df: DataFrame, group: list[str], slice_: str, order: list[Col
     for n, c in sums.items():
         out = out.withColumn(n, F.coalesce(F.sum(c).over(within), F.lit(0)) + F.col(f"__o_{n}"))
     return out.drop(*(f"__o_{n}" for n in sums))
+
+
+def one_row_each(df: DataFrame, keys: dict[str, Column], chosen: DataFrame) -> DataFrame:
+    """The rows of df whose keys (null-safe) are in `chosen`, one row for each key, with the columns of df as they are.
+
+    Texts move once, to meet their keys; rows of one key are copies, so which of them stays makes no difference.
+    """
+    own = df.columns
+    named = df.withColumns({f"__k_{n}": c for n, c in keys.items()})
+    # Null keys become empty, with a flag, so that the join stays an equi-join.
+    parts = [f"__k_{n}" for n in keys]
+    flat = F.concat_ws("\x1f", *(F.coalesce(F.col(p).cast("string"), F.lit("\x00")) for p in parts))
+    wanted = chosen.select(*(F.col(n).alias(f"__k_{n}") for n in keys)).select(flat.alias("__key")).distinct()
+    met = named.withColumn("__key", flat).join(wanted, "__key", "left_semi")
+    first = Window.partitionBy("__key").orderBy("__key")
+    return met.withColumn("__nth", F.row_number().over(first)).where("__nth = 1").select(*own)

@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import clean_text, stash, table
+from .common import clean_text, one_row_each, stash, table
 
 #: Chunk lengths in characters. A cut falls after a letter pair and a space that the pattern names, between both bounds.
 LEAST, MOST = 64, 4096
@@ -72,6 +72,12 @@ def dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how)
     ).select("doc_id", "keep_id", "group_size", (F.col("first") & (F.col("copy") == 1)).alias("kept"), "text_sha256")
 
 
+def keep_first(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
+    """df without the rows that repeat a text: of equal texts, one row with the smallest id stays."""
+    sha = F.sha2(normalised(clean_text(text_col)), 256)
+    return one_row_each(df, {"doc_id": F.col(id_col), "text_sha256": sha}, dedup(df, id_col, text_col, **how).where("kept"))
+
+
 def op9_chunk_recipe_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup(table(spark, sf_dir, "documents"))
 

@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import stash, table
+from .common import one_row_each, stash, table
 from .components import components
 
 SHINGLE, SEED = 3, 42
@@ -51,16 +51,16 @@ def fingerprint(text: bytes | None, size: int = SHINGLE) -> int:
 
 
 def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, fp): the fingerprint as a signed 64-bit integer."""
+    """(doc_id, tag, fp): a hash of the text, and the fingerprint as a signed 64-bit integer."""
 
     def run(batches):
         for batch in batches:
-            texts = batch.column(1)
+            texts = batch.column(2)
             fps = np.fromiter((fingerprint(t.as_buffer().to_pybytes() if t.is_valid else None) for t in texts), np.uint64, len(texts))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps.view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(fps.view(np.int64))], ["doc_id", "tag", "fp"])
 
     kind = df.schema[id_col].dataType.simpleString()
-    return df.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").cast("binary").alias("text")).mapInArrow(run, f"doc_id {kind}, fp long")
+    return df.select(F.col(id_col).alias("doc_id"), F.xxhash64(text_col).alias("tag"), F.col(text_col).cast("string").cast("binary").alias("text")).mapInArrow(run, f"doc_id {kind}, tag long, fp long")
 
 
 def _byte(fp: str, i: int) -> Column:
@@ -100,15 +100,26 @@ def links(fps: DataFrame, distance: int = DISTANCE, width: int = WIDTH, dense: i
     return found.union(stars.select("a", F.explode("m").alias("b")).where("a != b"))
 
 
-def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row for each input row: doc_id, fingerprint (16 hex digits), component_id (smallest id that links reach)."""
+def grouped(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row for each input row: doc_id, tag, fp, root (the smallest fingerprint that links reach), component_id."""
     held = stash(fingerprints(df, id_col, text_col))
     entries = stash(held.groupBy("fp").agg(F.min("doc_id").alias("least")))
     roots = components(links(entries.select("fp")), "a", "b")
     placed = entries.join(roots, entries["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     smallest = placed.groupBy("root").agg(F.min("least").alias("component_id"))
-    labels = stash(placed.join(smallest, "root").select("fp", "component_id"))
-    return held.join(labels, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    return held.join(stash(placed.join(smallest, "root").select("fp", "root", "component_id")), "fp")
+
+
+def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row for each input row: doc_id, fingerprint (16 hex digits), component_id (smallest id that links reach)."""
+    return grouped(df, id_col, text_col).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """df with one row of each group of near copies: the one with the smallest id."""
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tag")).alias("first")
+    chosen = grouped(df, id_col, text_col).groupBy("root").agg(first).select("first.doc_id", "first.tag")
+    return one_row_each(df, {"doc_id": F.col(id_col), "tag": F.xxhash64(text_col)}, chosen)
 
 
 def op7_simhash_bytes(spark: SparkSession, sf_dir: str) -> DataFrame:
