@@ -9,7 +9,8 @@ turns votes into rates of the label. The nearest examples and their cosines are
 
 Bounds that are parameters: MOST_EXAMPLES labelled rows (those with the smallest hash of their id), MOST_TERMS terms.
 
-Defined cases: a null, empty or unknown text has no vector; its score is the rate of the label among examples without one. An
+Defined cases: a null, empty or unknown text has no vector; its score is the rate of the label among examples without one,
+smoothed towards the rate among all. An
 id labelled more than once takes its largest label; null labels and ids teach nothing. Equal cosines go to the earlier example.
 With no examples every score is 0. Empty tables give empty results; further columns are left alone.
 """
@@ -94,7 +95,7 @@ class Model:
         vectors = [self.vector(e[2]) for e in examples]
         self.index = BlockMax(vectors, max(1, len(self.term)))
         bare = np.array([not len(v[0]) for v in vectors], bool)
-        self.base = float((self.label[bare].sum() + 1) / (bare.sum() + 2)) if len(examples) else 0.0
+        self.base = float((self.label[bare].sum() + self.label.mean()) / (bare.sum() + 1)) if len(examples) else 0.0
         votes, truth = [], []
         for i in np.flatnonzero(~bare):
             near, cosine, _ = self.index.search(*vectors[i], self.k + 1)
