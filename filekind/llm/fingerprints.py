@@ -65,23 +65,25 @@ def with_successor(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return every.select("*", F.row_number().over(order).alias("pos"), F.when(F.col("doc_id").isNotNull(), F.lead("text").over(order)).alias("next_text"))
 
 
-def _hashes(found: str, whole: Column, rates: tuple) -> Column:
-    """The hash of each subset's sorted terms; 0 for a subset without terms."""
-    ordered = F.sort_array(found)
+def _nothing(k: int) -> Column:
+    """The hash of a subset without terms."""
+    return F.xxhash64(F.lit(k), F.array().cast("array<string>"))
+
+
+def _hashes(ordered: str, whole: Column, rates: tuple) -> Column:
+    """The hash of each subset's terms, out of the sorted entries in column `ordered`."""
     each = []
     for k in range(len(rates)):
         bit = F.lit(1 << k)
-        mine = F.filter(ordered, lambda x: x["mask"].bitwiseAND(bit) != 0)
-        nothing = F.xxhash64(F.lit(k), F.array().cast("array<string>"))
-        each.append(F.coalesce(F.nullif(F.xxhash64(F.lit(k), mine["term"]), nothing), F.lit(0)))
-    return F.when(F.size(found) == 0, F.array(*(F.xxhash64(F.lit(k), whole) for k in range(len(rates))))).otherwise(F.array(*each))
+        each.append(F.xxhash64(F.lit(k), F.filter(ordered, lambda x: x["mask"].bitwiseAND(bit) != 0)["term"]))
+    return F.when(F.size(ordered) == 0, F.array(*(F.xxhash64(F.lit(k), whole) for k in range(len(rates))))).otherwise(F.array(*each))
 
 
 def likeness(a: str, b: str, size: int) -> Column:
     """Share of equal hashes among the subsets that have terms in either document."""
-    pairs = [(F.get(a, F.lit(i)), F.get(b, F.lit(i))) for i in range(size)]
-    alike = sum(((x == y) & (x != 0)).cast("int") for x, y in pairs)
-    there = sum(((x != 0) | (y != 0)).cast("int") for x, y in pairs)
+    pairs = [(F.get(a, F.lit(i)), F.get(b, F.lit(i)), _nothing(i)) for i in range(size)]
+    alike = sum(((x == y) & (x != none)).cast("int") for x, y, none in pairs)
+    there = sum(((x != none) | (y != none)).cast("int") for x, y, none in pairs)
     return F.coalesce(alike / F.nullif(there, F.lit(0)), F.lit(0.0)).cast("double")
 
 
@@ -103,7 +105,9 @@ def imatch(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", low: f
         F.collect_list(F.when((F.col("mask") != 0) & (F.col("v") == 0), entry)).alias("own"),
         F.collect_list(F.when((F.col("mask") != 0) & (F.col("v") == 1), entry)).alias("other"),
     )
-    hashed = held.select("bucket", "pos", "row.*", "own", "other").select(
+    # Sorted in a step of their own: inside the hashes below they would be sorted once for each subset.
+    ordered = held.select("bucket", "pos", "row.*", F.sort_array("own").alias("own"), F.sort_array("other").alias("other"))
+    hashed = ordered.select(
         "bucket", "pos", "tail", "doc_id", "n_chars", "edited_sha256", _hashes("own", F.col("whole"), rates).alias("a"), _hashes("other", F.col("edited_whole"), rates).alias("b"),
     )
     following = hashed.withColumn("c", F.when(F.col("doc_id").isNotNull(), F.lead("a").over(Window.partitionBy("bucket").orderBy("pos"))))
