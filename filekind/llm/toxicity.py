@@ -1,7 +1,7 @@
 """Toxicity by the nearest labelled examples under exact TF-IDF cosine.
 
 Examples are a bounded sample of labelled documents. Document frequencies are counted over all documents. The term space
-holds the terms whose presence goes with the label beyond chance (a likelihood-ratio test corrected for the
+holds the terms whose presence raises the rate of the label beyond chance (a likelihood-ratio test corrected for the
 number of terms tried); cosines are exact within it. Examples lie in an inverted index cut into blocks, with the largest weight of each term
 in each block, so a query opens only blocks whose bound reaches its k-th best cosine: the result equals a full scan.
 Neighbours vote by squared cosine, and a monotone table, fitted on the examples with each left out of its own vote,
@@ -40,43 +40,45 @@ LETTERS = re.compile(r"[^\W\d_]+")
 
 
 class BlockMax:
-    """Cosine search over sparse unit vectors; exact, opening blocks in the order of their bounds."""
+    """Cosine search over sparse unit vectors; exact, opening blocks in the order of their bounds.
+
+    Within a block the postings of a term are one dense row of BLOCK weights, so a block costs the same whatever it holds.
+    """
 
     def __init__(self, vectors: list[tuple[np.ndarray, np.ndarray]], terms: int):
         # Examples with the same heaviest term lie together, so that block bounds are tight.
         lead = [int(t[np.argmax(w)]) if len(t) else terms for t, w in vectors]
         self.order = np.argsort(np.array(lead, np.int64), kind="stable")
-        self.size = len(vectors)
-        self.blocks = max(1, -(-self.size // BLOCK))
-        place = np.empty(self.size, np.int64)
-        place[self.order] = np.arange(self.size)
+        self.blocks = max(1, -(-len(vectors) // BLOCK))
+        place = np.empty(len(vectors), np.int64)
+        place[self.order] = np.arange(len(vectors))
         t = np.concatenate([v[0] for v in vectors] or [np.zeros(0, np.int64)]).astype(np.int64)
         w = np.concatenate([v[1] for v in vectors] or [np.zeros(0)])
         p = np.repeat(place, [len(v[0]) for v in vectors])
-        by = np.lexsort((p, t))
-        self.post, self.weight, t = p[by], w[by], t[by]
-        cell = t * self.blocks + self.post // BLOCK
-        self.start = np.searchsorted(cell, np.arange(terms * self.blocks + 1))
-        self.bound = np.zeros(terms * self.blocks)
-        np.maximum.at(self.bound, cell, self.weight)
-        self.bound = self.bound.reshape(terms, self.blocks)
+        cells, row = np.unique(t * self.blocks + p // BLOCK, return_inverse=True)
+        self.rows = np.zeros((len(cells) + 1, BLOCK))  # the first stands for terms that a block lacks
+        self.rows[row + 1, p % BLOCK] = w
+        self.at = np.zeros(terms * self.blocks, np.int32)
+        self.at[cells] = np.arange(1, len(cells) + 1)
+        self.bound = self.rows.max(axis=1)[self.at].reshape(terms, self.blocks)
+        self.at = self.at.reshape(terms, self.blocks)
 
     def search(self, t: np.ndarray, w: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, int]:
         """(examples, cosines, blocks opened): the k nearest with a cosine over 0, nearest first, ties by example number."""
         bounds = w @ self.bound[t]
         best_i, best_s = np.zeros(0, np.int64), np.zeros(0)
-        ranked, opened = np.argsort(-bounds, kind="stable"), 0
-        for b in ranked:
-            if bounds[b] <= 0 or len(best_s) == k and bounds[b] < best_s[-1] - 1e-12:
+        ranked = np.argsort(-bounds, kind="stable")
+        ranked, opened, step = ranked[: int((bounds > 0).sum())], 0, 1
+        while opened < len(ranked):
+            least = best_s[-1] - 1e-9 if len(best_s) == k else 0.0
+            some = ranked[opened : opened + step]
+            some = some[bounds[some] >= least]
+            if not len(some):
                 break
-            opened += 1
-            got = np.zeros(BLOCK)
-            for term, weight in zip(t, w, strict=True):
-                lo, hi = self.start[term * self.blocks + b], self.start[term * self.blocks + b + 1]
-                if hi > lo:
-                    got[self.post[lo:hi] - b * BLOCK] += weight * self.weight[lo:hi]
-            hit = np.flatnonzero(got)
-            best_i, best_s = np.concatenate([best_i, self.order[hit + b * BLOCK]]), np.concatenate([best_s, np.round(got[hit], 12)])
+            opened, step = opened + len(some), min(2 * step, 32)
+            got = np.round(np.tensordot(w, self.rows[self.at[np.ix_(t, some)]], 1), 12)
+            b, j = np.nonzero((got > 0) & (got >= least))
+            best_i, best_s = np.concatenate([best_i, self.order[some[b] * BLOCK + j]]), np.concatenate([best_s, got[b, j]])
             top = np.lexsort((best_i, -best_s))[:k]
             best_i, best_s = best_i[top], best_s[top]
         return best_i, best_s, opened
@@ -171,7 +173,7 @@ def fit(docs: DataFrame, labelled: DataFrame, id_col: str = "doc_id", text_col:
     a, m, e, p = F.col("a"), F.col("m"), F.lit(float(max(examples, 1))), F.lit(float(positive))
     ratio = 2 * (part(a, m * p / e) + part(m - a, m * (e - p) / e) + part(p - a, (e - m) * p / e) + part(e - m - p + a, (e - m) * (e - p) / e))
     least = 2 * math.log(max(tried, 1) / ALPHA)
-    chosen = counted.select("term", "df", ratio.alias("ratio")).where(F.col("ratio") >= least).orderBy(F.desc("ratio"), "term").limit(most_terms).collect() if 0 < positive < examples else []
+    chosen = counted.select("term", "df", ratio.alias("ratio")).where((F.col("ratio") >= least) & (a * e > m * p)).orderBy(F.desc("ratio"), "term").limit(most_terms).collect() if 0 < positive < examples else []
     idf = {r.term: math.log((1 + n) / (1 + r.df)) + 1 for r in chosen}
     letters, space = LETTERS, frozenset(idf)
 
