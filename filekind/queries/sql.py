@@ -36,6 +36,9 @@ T2 = "SELECT *, sha1(content) AS sha FROM (" + " UNION ALL ".join((
     _lines("embeddings", "vec_id // 20", "array_to_string(list_transform(embedding, lambda x: round(x::DOUBLE * 1000)::BIGINT), ' ')", "vec_id", "'vec'"),
 )) + ")"
 
+#: T2 without kinds that have less than one file in a hundred.
+T2C = f"SELECT * FROM ({T2}) WHERE label IN (SELECT label FROM ({T2}) GROUP BY label HAVING count(*) * 100 >= (SELECT count(*) FROM ({T2})))"
+
 
 def bucket(key: str, seed, modulus: int) -> str:
     return f"(('0x' || substr(md5({key} || ':{seed}'), 1, 8))::BIGINT % {modulus})"

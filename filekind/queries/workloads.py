@@ -33,7 +33,7 @@ def rounded(df: DataFrame, *columns: str) -> DataFrame:
 
 # --- corpora and models that several queries share -----------------------------------------------------------------
 
-CORPORA = {"T1": corpus.prose, "T2": corpus.mixed, "T3": lambda s, sf: corpus.prose(s, sf, "source"), "T4": lambda s, sf: corpus.judged(s, sf, "quality"), "T5": lambda s, sf: corpus.judged(s, sf, "toxic"), "T6": corpus.dated}
+CORPORA = {"T1": corpus.prose, "T2": corpus.mixed, "T2c": lambda s, sf: prep.drop_rare(task(s, sf, "T2").drop("split"), (1, 100)), "T3": lambda s, sf: corpus.prose(s, sf, "source"), "T4": lambda s, sf: corpus.judged(s, sf, "quality"), "T5": lambda s, sf: corpus.judged(s, sf, "toxic"), "T6": corpus.dated}
 _MODELS: dict = {}
 
 
@@ -69,8 +69,8 @@ def predictions(spark: SparkSession, sf: str, name: str = "T1", split: str = "te
 
 VAL = sql.chain(sql.T1, scored="split = 'val'")
 TEST = sql.chain(sql.T1)
-VAL2 = sql.chain(sql.T2, scored="split = 'val'")
-TEST2 = sql.chain(sql.T2)
+VAL2 = sql.chain(sql.T2C, scored="split = 'val'")
+TEST2 = sql.chain(sql.T2C)
 
 # --- preparation -----------------------------------------------------------------------------------------------------
 
@@ -240,7 +240,7 @@ _RELATED = """SELECT least(i, j) AS a, greatest(i, j) AS b, round(max(t), 6) AS
 CASE WHEN bool_or(by_t) AND bool_or(by_s) THEN 'both' WHEN bool_or(by_t) THEN 't' ELSE 's' END AS via FROM dd GROUP BY ALL"""
 
 
-def _matrices(spark, sf, name="T2"):
+def _matrices(spark, sf, name="T2c"):
     pred = predictions(spark, sf, name, "val")
     return confusion.t_matrix(pred), confusion.s_matrix(pred)
 
@@ -270,10 +270,10 @@ def confusion_cliques(spark, sf):
     return reduce(DataFrame.unionByName, (confusion.groups(t, s, b) for b in ("cliques", "mutual", "per_statistic")))
 
 
-@query(sql.query([*VAL2, *sql.t_s(), _DIRECTED], f"SELECT DISTINCT label FROM ({sql.T2}) WHERE label NOT IN (SELECT i FROM dd UNION SELECT j FROM dd)"))
+@query(sql.query([*VAL2, *sql.t_s(), _DIRECTED], f"SELECT DISTINCT label FROM c WHERE label NOT IN (SELECT i FROM dd UNION SELECT j FROM dd)"))
 def clean_classes(spark, sf):
     """Kinds in no related pair."""
-    return confusion.clean_classes(task(spark, sf, "T2"), confusion.related(*_matrices(spark, sf)))
+    return confusion.clean_classes(task(spark, sf, "T2c"), confusion.related(*_matrices(spark, sf)))
 
 
 @query(sql.query(TEST, "SELECT i, j, coalesce(n, 0) AS n FROM (SELECT DISTINCT label AS i FROM c) CROSS JOIN (SELECT DISTINCT label AS j FROM c) LEFT JOIN (SELECT label AS i, pred AS j, count(*) AS n FROM p GROUP BY ALL) USING (i, j)"))
@@ -287,17 +287,17 @@ _PRF = ['"precision"', "recall", "f1"]
 @query(sql.query(TEST2, sql.rounded(sql.per_class("p"), _PRF, ["label", "support", "tp", "fp", "fn"])))
 def per_class_prf(spark, sf):
     """Precision, recall and F of each kind (T2 test files)."""
-    return rounded(metrics.per_class(metrics.confusion(predictions(spark, sf, "T2"))), "precision", "recall", "f1")
+    return rounded(metrics.per_class(metrics.confusion(predictions(spark, sf, "T2c"))), "precision", "recall", "f1")
 
 
 @query(sql.query([*TEST2, f"m AS ({sql.per_class('p')})"], sql.rounded(sql.averages("m"), _PRF, ["kind"])))
 def avg_micro_macro(spark, sf):
-    return rounded(metrics.averages(metrics.per_class(metrics.confusion(predictions(spark, sf, "T2")))), "precision", "recall", "f1")
+    return rounded(metrics.averages(metrics.per_class(metrics.confusion(predictions(spark, sf, "T2c")))), "precision", "recall", "f1")
 
 
 @query(sql.query(TEST2, """SELECT 'T2' AS task, sum(n)::BIGINT AS files, round(sum(hits) / sum(n), 6) AS accuracy, round(avg(hits / n), 6) AS class_accuracy FROM (SELECT label, count(*) AS n, sum((label = pred)::INT) AS hits FROM p GROUP BY label)"""))
 def accuracy(spark, sf):
-    return rounded(metrics.accuracy(predictions(spark, sf, "T2")).select(F.lit("T2").alias("task"), "*"), "accuracy", "class_accuracy")
+    return rounded(metrics.accuracy(predictions(spark, sf, "T2c")).select(F.lit("T2").alias("task"), "*"), "accuracy", "class_accuracy")
 
 
 _AGE = "(epoch_us(arrival) < (SELECT (min(epoch_us(arrival)) + max(epoch_us(arrival))) // 2 FROM c{t}))"
@@ -403,11 +403,11 @@ _HITS = "SELECT '{n}' AS baseline, count(*) AS files, count(pred) AS answered, r
 
 
 def _base_predictions(spark, sf) -> dict[str, DataFrame]:
-    t2 = corpus.named(spark, sf, task(spark, sf, "T2"))
+    t2 = corpus.named(spark, sf, task(spark, sf, "T2c"))
     train, test = t2.where("split = 'train'"), t2.where("split = 'test'")
     return {
         "suffix": baselines.by_extension(test, train), "origin": baselines.by_origin(train, test), "cues": baselines.by_cues(test),
-        "prior": baselines.prior(train, test), "naive_bayes": predictions(spark, sf, "T2"),
+        "prior": baselines.prior(train, test), "naive_bayes": predictions(spark, sf, "T2c"),
     }
 
 
@@ -451,7 +451,7 @@ _MERGE = "CASE {c} " + " ".join(f"WHEN '{a}' THEN '{b}'" for a, b in ALIAS.items
 @query(sql.query([*TEST2, f"pm AS (SELECT file_id, {_MERGE.format(c='label')} AS label, {_MERGE.format(c='pred')} AS pred FROM p)"], _measured_sql("p", "apart") + " UNION ALL " + _measured_sql("pm", "merged")))
 def merged_labels(spark, sf):
     """T2 before and after twins get one name."""
-    pred = predictions(spark, sf, "T2")
+    pred = predictions(spark, sf, "T2c")
     return rounded(_measured(pred, "apart").unionByName(_measured(confusion.merge_labels(pred, ALIAS), "merged")), "accuracy", "macro_recall", "macro_f1")
 
 
