@@ -8,6 +8,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -82,7 +83,7 @@ def vectorize_sql(df: DataFrame, space: Space, trimmed: bool = False) -> DataFra
 
 
 def counter(space: Space):
-    """A function from a list of tokens to (indices, frequencies), for Arrow stages."""
+    """A function from one list of tokens to (indices, frequencies): the plain definition, for single rows."""
     cfg, index = space.cfg, space.index
 
     def run(tokens: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -101,6 +102,60 @@ def counter(space: Space):
     return run
 
 
+def batch_counter(space: Space):
+    """A function from an Arrow array of token lists to (indices, frequencies) of each, by array operations over the whole batch."""
+    cfg, first = space.cfg, {t: i for i, t in enumerate(space.terms[1])}
+    base, unknown = len(first) + 1, len(first)
+    words, width = pa.array(space.terms[1], pa.string()), space.size
+    coded, offset, bounds = {}, 0, []
+    for n in cfg.orders:
+        if n > 1:
+            codes = [sum(first.get(t, unknown) * base ** (n - 1 - k) for k, t in enumerate(g.split(" "))) for g in space.terms[n]]
+            by = np.argsort(np.array(codes, np.int64), kind="stable")
+            coded[n] = np.array(codes, np.int64)[by], by
+        bounds.append((n, offset))
+        offset += len(space.terms[n]) + 1
+
+    def run(tokens: pa.ListArray) -> list[tuple[np.ndarray, np.ndarray]]:
+        starts = tokens.offsets.to_numpy().astype(np.int64)
+        sizes = np.diff(starts)
+        doc = np.repeat(np.arange(len(sizes)), sizes)
+        code = pc.index_in(tokens.flatten(), value_set=words).fill_null(unknown).to_numpy(zero_copy_only=False).astype(np.int64)
+        keys = []
+        for n, at in bounds:
+            if n == 1:
+                keys.append(doc * width + at + code)
+                continue
+            m = max(len(code) - n + 1, 0)
+            whole = doc[:m] == doc[n - 1 : n - 1 + m]
+            gram = np.zeros(m, np.int64)
+            for k in range(n):
+                gram = gram * base + code[k : k + m]
+            gram, where = gram[whole], doc[:m][whole]
+            known, by = coded[n]
+            place = np.minimum(np.searchsorted(known, gram), max(len(known) - 1, 0))
+            found = known[place] == gram if len(known) else np.zeros(len(gram), bool)
+            keys.append(where * width + at + np.where(found, by[place] if len(known) else 0, len(known)))
+        key, times = np.unique(np.concatenate(keys), return_counts=True)
+        row, idx = key // width, key % width
+        size = sizes[row].astype(np.float64)
+        if cfg.denom != "tokens":
+            for n, at in bounds:
+                size[idx >= at] = sizes[row[idx >= at]] - n + 1
+        ends = np.searchsorted(row, np.arange(1, len(sizes)))
+        return list(zip(np.split(idx, ends), np.split(times / size, ends), strict=True)) if len(sizes) else []
+
+    return run
+
+
+#: Files that are counted at a time.
+TOGETHER = 1000
+
+
+def counted(tokens: pa.ListArray, count) -> list[tuple[np.ndarray, np.ndarray]]:
+    return [row for at in range(0, len(tokens), TOGETHER) for row in count(tokens.slice(at, TOGETHER))]
+
+
 def token_column(cfg: Config, trimmed: bool):
     t = tokens_of(F.col("content"), cfg.unit)
     return trim(t, cfg.head, cfg.tail) if trimmed else t
@@ -111,15 +166,15 @@ CSR = "file_id string, label string, n_tokens int, indices array<int>, freqs arr
 
 def vectorize(df: DataFrame, space: Space, trimmed: bool = False) -> DataFrame:
     """VECTORS_CSR in one narrow stage; a file without tokens is a zero vector."""
-    count = counter(space)
+    count = batch_counter(space)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = [count(t) for t in b.column(2).to_pylist()]
-            yield pa.RecordBatch.from_arrays(
-                [b.column(0), b.column(1), pa.array([len(t) for t in b.column(2)], pa.int32()), pa.array([i for i, _ in rows], pa.list_(pa.int32())), pa.array([f.astype(np.float32) for _, f in rows], pa.list_(pa.float32()))],
-                ["file_id", "label", "n_tokens", "indices", "freqs"],
-            )
+            rows = counted(b.column(2), count)
+            ends = np.cumsum([0, *(len(i) for i, _ in rows)]).astype(np.int32)
+            flat = [np.concatenate([r[k] for r in rows]) if rows else np.zeros(0) for k in (0, 1)]
+            lists = [pa.ListArray.from_arrays(pa.array(ends), pa.array(flat[0].astype(np.int32))), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat[1].astype(np.float32)))]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pc.list_value_length(b.column(2)).cast(pa.int32()), *lists], ["file_id", "label", "n_tokens", "indices", "freqs"])
 
     return df.select("file_id", "label", token_column(space.cfg, trimmed).alias("tokens")).mapInArrow(run, CSR)
 

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .features import Space, counter, token_column
+from .features import Space, batch_counter, counted, token_column
 
 TOP = pa.list_(pa.struct([("class", pa.string()), ("p", pa.float64())]))
 PREDICTIONS = "pred string, p double, top array<struct<class: string, p: double>>"
@@ -46,12 +46,12 @@ def predict(df: DataFrame, model, space: Space, k: int = 5, keep: tuple[str, ...
 
     df needs `content` unless a column of tokens is given.
     """
-    sent, count = df.sparkSession.sparkContext.broadcast(model), counter(space)
+    sent, count = df.sparkSession.sparkContext.broadcast(model), batch_counter(space)
     k = min(k, len(model.classes))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            p = softmax(sent.value.logits([count(t) for t in b.column(len(keep)).to_pylist()])) if b.num_rows else np.zeros((0, k))
+            p = softmax(sent.value.logits(counted(b.column(len(keep)), count))) if b.num_rows else np.zeros((0, k))
             top = ranked(sent.value.classes, p, k) if b.num_rows else []
             yield pa.RecordBatch.from_arrays(
                 [*b.columns[: len(keep)], pa.array([t[0]["class"] for t in top], pa.string()), pa.array([t[0]["p"] for t in top], pa.float64()), pa.array(top, TOP)], [*keep, "pred", "p", "top"],

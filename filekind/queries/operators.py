@@ -263,11 +263,11 @@ for _name, _table in (("render_json", "events"), ("render_csv", "orders"), ("ren
     _render_query(_name, _table)
 
 
-@query("SELECT event_id, (props->>'k')::BIGINT AS k, json_keys(props) AS names FROM events")
+@query("SELECT event_id, (props->>'k')::BIGINT AS k, array_to_string(json_keys(props), '|') AS names FROM events")
 def parse_props(spark, sf):
     """A field of the JSON column, and the names it has."""
     e = load(spark, sf, "events")
-    return e.select("event_id", F.from_json("props", "k long")["k"].alias("k"), F.json_object_keys("props").alias("names"))
+    return e.select("event_id", F.from_json("props", "k long")["k"].alias("k"), F.array_join(F.json_object_keys("props"), "|").alias("names"))
 
 
 @query("SELECT vec_id, round(sqrt(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE))), 6) AS norm, len(embedding)::INT AS size FROM embeddings")

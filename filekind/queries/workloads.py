@@ -127,12 +127,13 @@ def textual_class_filter(spark, sf):
     return prep.keep_textual(corpus.injected(spark, sf), scope="class_sample", content="content_bytes", binary=True, sample=50).groupBy("label").agg(F.count("*").alias("files"))
 
 
-@query(f"WITH c AS ({sql.T3}) SELECT sha, list_sort(list(DISTINCT label)) AS labels, count(*) AS files FROM c GROUP BY sha HAVING count(DISTINCT label) > 1")
+@query(f"WITH c AS ({sql.T3}) SELECT sha, string_agg(DISTINCT label, '|' ORDER BY label) AS labels, count(*) AS files FROM c GROUP BY sha HAVING count(DISTINCT label) > 1")
 def ambiguous_labels(spark, sf):
     """Contents of T3 that occur under several labels."""
     t3 = CORPORA["T3"](spark, sf)
     bad = t3.join(prep.ambiguous(t3), "sha", "left_semi")
-    return prep.label_sets(bad).join(bad.groupBy("sha").agg(F.count("*").alias("files")), "sha")
+    sets = prep.label_sets(bad).select("sha", F.array_join("labels", "|").alias("labels"))
+    return sets.join(bad.groupBy("sha").agg(F.count("*").alias("files")), "sha")
 
 
 @query(sql.query(sql.chain(sql.T1)[:4], "SELECT split, label, file_id FROM ba"))
@@ -240,6 +241,10 @@ _RELATED = """SELECT least(i, j) AS a, greatest(i, j) AS b, round(max(t), 6) AS
 CASE WHEN bool_or(by_t) AND bool_or(by_s) THEN 'both' WHEN bool_or(by_t) THEN 't' ELSE 's' END AS via FROM dd GROUP BY ALL"""
 
 
+def _named_groups(groups: DataFrame) -> DataFrame:
+    return groups.withColumn("members", F.array_join("members", "|"))
+
+
 def _matrices(spark, sf, name="T2c"):
     pred = predictions(spark, sf, name, "val")
     return confusion.t_matrix(pred), confusion.s_matrix(pred)
@@ -252,15 +257,15 @@ def related_pairs(spark, sf):
 
 
 @query("WITH RECURSIVE " + ",\n".join([*VAL2, *sql.t_s(), _DIRECTED, "ed AS (SELECT i AS x, j AS y FROM dd UNION SELECT j, i FROM dd)", "re(x, y) AS (SELECT x, y FROM ed UNION SELECT re.x, ed.y FROM re JOIN ed ON re.y = ed.x)"])
-       + "\nSELECT (row_number() OVER (ORDER BY members) - 1)::INT AS group_id, members, 'components' AS builder FROM (SELECT DISTINCT list_sort(list_distinct(list(y))) AS members FROM re GROUP BY x)")
+       + "\nSELECT (row_number() OVER (ORDER BY members) - 1)::INT AS group_id, array_to_string(members, '|') AS members, 'components' AS builder FROM (SELECT DISTINCT list_sort(list_distinct(list(y))) AS members FROM re GROUP BY x)")
 def confusion_groups(spark, sf):
     """Groups of kinds joined by related pairs."""
-    return confusion.groups(*_matrices(spark, sf))
+    return _named_groups(confusion.groups(*_matrices(spark, sf)))
 
 
-@query(sql.query([*VAL2, *sql.t_s(), _DIRECTED], "SELECT (row_number() OVER (ORDER BY members) - 1)::INT AS group_id, members, 'stars' AS builder FROM (SELECT DISTINCT list_sort(list_append(list(j), i)) AS members FROM dd GROUP BY i)"))
+@query(sql.query([*VAL2, *sql.t_s(), _DIRECTED], "SELECT (row_number() OVER (ORDER BY members) - 1)::INT AS group_id, array_to_string(members, '|') AS members, 'stars' AS builder FROM (SELECT DISTINCT list_sort(list_append(list(j), i)) AS members FROM dd GROUP BY i)"))
 def confusion_stars(spark, sf):
-    return confusion.groups(*_matrices(spark, sf), builder="stars")
+    return _named_groups(confusion.groups(*_matrices(spark, sf), builder="stars"))
 
 
 @query()

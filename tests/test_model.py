@@ -34,6 +34,21 @@ def test_both_vectorizers_agree(t1, orders, denom):
     assert all(abs(m - 1) < 1e-9 for m in mass.values())
 
 
+def test_batch_counts_equal_single_counts(t1):
+    import pyarrow as pa
+
+    from filekind.functions.text import tokens_of
+    from filekind.operators.features import batch_counter, counted
+
+    for orders, denom in (((1,), "tokens"), ((1, 2), "tokens"), ((1, 2, 3), "ngrams")):
+        sp = learn_space(training(t1).where("split = 'vocab'"), Config(orders=orders, denom=denom))
+        lists = [r[0] for r in t1.limit(60).select(tokens_of(F.col("content"))).collect()] + [[], ["x"], ["the", "the"], []]
+        one, many = counter(sp), counted(pa.array(lists, pa.list_(pa.string())).slice(1), batch_counter(sp))
+        for got, tokens in zip(many, lists[1:], strict=True):
+            want = one(tokens)
+            assert got[0].tolist() == want[0].tolist() and np.allclose(got[1], want[1])
+
+
 def test_empty_files_are_zero_vectors(spark, space):
     df = spark.createDataFrame([("a", "", "x"), ("b", None, "x"), ("c", "one", "x")], "file_id string, content string, label string")
     got = {r.file_id: r for r in vectorize(df, space).collect()}
