@@ -21,13 +21,13 @@ from .common import clean_text, one_row_each, stash, table
 #: Chunk lengths in characters. A cut falls after a letter pair and a space that the pattern names, between both bounds.
 LEAST, MOST = 64, 4096
 #: About one space in 40 of European prose cuts, far apart against LEAST, so that chunks fall into step soon after an
-#: edit; other scripts cut at MOST or at their stop marks.
-CUT_AFTER = r"[a-h][n-t] (?=[a-h][l-t])|[。，।]"
+#: edit; text without such places is cut at MOST. The space leads, so that other characters are passed over at once.
+CUT_AFTER = r" (?<=[a-h][n-t] )(?=[a-h][l-t])"
 
 
 def normalised(text: Column) -> Column:
     """Each run of ASCII white space as one space. Lone spaces, the usual case, are not touched."""
-    return F.regexp_replace(text, r"[\x20\x09-\x0D]{2,}|[\x09-\x0D]", " ")
+    return F.regexp_replace(text, r"[\x20\x09-\x0D](?:[\x20\x09-\x0D]+|(?<!\x20))", " ")
 
 
 def chunks(text: Column, least: int = LEAST, most: int = MOST) -> Column:
