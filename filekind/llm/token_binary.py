@@ -156,6 +156,7 @@ class Words:
     #: Pre-tokens of the vocabulary's splitting pattern, for pieces of these characters.
     PLAIN = "^[!-~\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f]+$"
     PIECES = "'s|'t|'re|'ve|'m|'ll|'d|[a-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f]+|[0-9]|[^a-z0-9\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f]+"
+    WORD = "^[a-zA-Z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f]+$"
     #: A letter, signs that form one pre-token after it, and the end of the piece.
     SIGNS = "([a-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f])([.,;:!?*%$#&]+)(\\s|$)"
     TOGETHER = 2000
@@ -180,7 +181,10 @@ class Words:
         texts = easy.to_pylist()
         found = self.tokenizer.encode_batch_fast([" ".join(texts[i : i + self.TOGETHER]) for i in range(0, len(texts), self.TOGETHER)], add_special_tokens=False)
         ids = np.concatenate([np.array(e.ids, np.uint32) for e in found]) if found else np.zeros(0, np.uint32)
-        last = np.cumsum(pc.count_substring_regex(pc.utf8_lower(easy), self.PIECES).to_numpy(zero_copy_only=False))
+        parts = np.ones(len(easy), np.int64)  # of letters alone: one pre-token
+        if len(more := np.flatnonzero(~pc.match_substring_regex(easy, self.WORD).to_numpy(zero_copy_only=False))):
+            parts[more] = pc.count_substring_regex(pc.utf8_lower(easy.take(pa.array(more))), self.PIECES).to_numpy(zero_copy_only=False)
+        last = np.cumsum(parts)
         stops = np.flatnonzero(self.ends[ids]) + 1
         if len(stops) != (last[-1] if len(last) else 0):
             raise RuntimeError("pre-tokens do not add up")
