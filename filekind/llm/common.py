@@ -54,19 +54,28 @@ def clean_text(name: str = "text") -> Column:
     return F.coalesce(F.col(name), F.lit(""))
 
 
-def running_before(df: DataFrame, group: list[str], slice_: str, order: list[Column], sums: dict[str, str]) -> DataFrame:
+#: Rows of about a hundred bytes up to which a counted table is broadcast.
+BROADCAST_ROWS = 200_000
+
+
+def sized(df: DataFrame, rows: int) -> DataFrame:
+    """df for a join: broadcast where its counted (or bounded) rows are few, else left to a shuffle."""
+    return F.broadcast(df) if rows <= BROADCAST_ROWS else df
+
+
+def running_before(df: DataFrame, group: list[str], slice_: str, order: list[Column], sums: dict[str, str], slices: int = 0) -> DataFrame:
     """Add, for each (new name: column) of sums, the total of the column over the rows that come earlier in the group.
 
     Rows of a group are ordered by the slice number first and by `order` within a slice. Only slice totals meet
     across tasks: a window runs over the slice totals of each group, and another over the rows of each slice, so no
-    task holds a whole group. The number of slices is the caller's bound, which makes the totals small enough to broadcast.
+    task holds a whole group. `slices` is the caller's bound on the number of slices of all groups, which decides how the totals travel.
     """
     keys = [*group, slice_]
     totals = df.groupBy(*keys).agg(*(F.sum(c).alias(f"__t_{n}") for n, c in sums.items()))
     earlier = Window.partitionBy(*group).orderBy(slice_).rowsBetween(Window.unboundedPreceding, -1)
     offsets = totals.select(*keys, *(F.coalesce(F.sum(f"__t_{n}").over(earlier), F.lit(0)).alias(f"__o_{n}") for n in sums))
     within = Window.partitionBy(*keys).orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
-    out = df.join(F.broadcast(offsets), keys)
+    out = df.join(sized(offsets, slices), keys)
     for n, c in sums.items():
         out = out.withColumn(n, F.coalesce(F.sum(c).over(within), F.lit(0)) + F.col(f"__o_{n}"))
     return out.drop(*(f"__o_{n}" for n in sums))

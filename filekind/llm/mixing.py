@@ -21,7 +21,7 @@ from collections.abc import Mapping
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, clean_text, running_before, shuffle_width, stash, table
+from .common import WORD, clean_text, running_before, shuffle_width, sized, stash, table
 
 LEVELS = ("domain", "lang", "source")
 #: Weights of nodes by level; others have weight 1.
@@ -45,8 +45,8 @@ def _weight(level: str, weights: Mapping[str, Mapping[str, float]]) -> Column:
     return out
 
 
-def budgets(leaves: DataFrame, total: Column, weights: Mapping[str, Mapping[str, float]] = WEIGHTS, epochs: int = EPOCHS, levels: tuple[str, ...] = LEVELS) -> DataFrame:
-    """leaves: the levels and `tokens`. Adds `budget`, in tokens (a whole number), no more than tokens x epochs."""
+def budgets(leaves: DataFrame, total: Column, weights: Mapping[str, Mapping[str, float]] = WEIGHTS, epochs: int = EPOCHS, levels: tuple[str, ...] = LEVELS, size: int = 0) -> DataFrame:
+    """leaves: the levels and `tokens`; size: how many there are, if that is known to be many. Adds `budget`, in tokens (a whole number), no more than tokens x epochs."""
     names = [f"__{c}" for c in levels]
     # Null names are nodes; windows and joins below see them as a name that no text has.
     nodes = leaves.select(*leaves.columns, *(F.coalesce(F.col(c), F.lit("\x00")).alias(n) for c, n in zip(levels, names, strict=True)), F.when(sum((_weight(c, weights) > 0).cast("int") for c in levels) == len(levels), (F.col("tokens") * epochs).cast("double")).otherwise(0.0).alias("__cap"))
@@ -66,7 +66,7 @@ def budgets(leaves: DataFrame, total: Column, weights: Mapping[str, Mapping[str,
         open_w = F.sum(F.when(F.col("__full"), 0.0).otherwise(F.col("__w"))).over(whole)
         share = F.when(F.col("__full"), F.col("__c")).otherwise(F.least(F.col("__c"), left * F.col("__w") / F.nullif(open_w, F.lit(0.0))))
         family = family.select(*here, share.alias(f"__b{depth + 1}"))
-        nodes = nodes.join(F.broadcast(family), here)  # as many rows as the tree has nodes at this level
+        nodes = nodes.join(sized(family, size), here)  # as many rows as the tree has nodes at this level
     return nodes.select(*leaves.columns, F.floor(F.col(f"__b{len(levels)}") + 1e-6).cast("long").alias("budget"))
 
 
@@ -87,16 +87,16 @@ def mix(df: DataFrame, share: float = SHARE, weights: Mapping[str, Mapping[str,
     """(chosen, leaves). chosen: doc_id, domain, lang, source, epoch, start, tokens, taken for each document an epoch takes;
     leaves: the levels, tokens, docs and budget."""
     docs = stash(_prepared(df, id_col, text_col))
-    leaves = docs.groupBy(*LEVELS).agg(F.sum("tokens").alias("tokens"), F.count("*").alias("docs"))
-    leaves = stash(budgets(leaves, F.floor(F.sum("tokens").over(Window.partitionBy()) * share), weights, epochs))
-    rows = leaves.agg(F.sum("docs")).first()[0] or 0
+    leaves = stash(docs.groupBy(*LEVELS).agg(F.sum("tokens").alias("tokens"), F.count("*").alias("docs")))
+    size, rows = leaves.agg(F.count("*"), F.coalesce(F.sum("docs"), F.lit(0))).first()
+    leaves = stash(budgets(leaves, F.floor(F.sum("tokens").over(Window.partitionBy()) * share), weights, epochs, size=size))
     most = max(1, rows // (4 * shuffle_width(df.sparkSession)))
     each = leaves.select(*(F.coalesce(c, F.lit("\x00")).alias(f"__{c}") for c in LEVELS), F.col("tokens").alias("__all"), "budget", F.ceil(F.col("docs") / most).alias("__slices"))
-    keyed = docs.select("*", *(F.coalesce(c, F.lit("\x00")).alias(f"__{c}") for c in LEVELS)).join(F.broadcast(each), [f"__{c}" for c in LEVELS])
+    keyed = docs.select("*", *(F.coalesce(c, F.lit("\x00")).alias(f"__{c}") for c in LEVELS)).join(sized(each, size), [f"__{c}" for c in LEVELS])
     # Epochs are numbered from 0; those before the last are whole.
     told = keyed.where("budget > 0").withColumn("epoch", F.explode(F.sequence(F.lit(0), F.ceil(F.col("budget") / F.col("__all")).cast("int") - 1)))
     told = told.withColumn("__key", _order_key(F.col("epoch"), seed)).withColumn("__slice", F.floor(F.col("__key") / F.lit(float(1 << 60)) * F.col("__slices")))
-    placed = running_before(told, ["__domain", "__lang", "__source", "epoch"], "__slice", [F.col("__key"), F.col("__id"), F.col("tokens")], {"start": "tokens"})
+    placed = running_before(told, ["__domain", "__lang", "__source", "epoch"], "__slice", [F.col("__key"), F.col("__id"), F.col("tokens")], {"start": "tokens"}, epochs * (size + 4 * shuffle_width(df.sparkSession)))
     wanted = F.col("budget") - F.col("epoch") * F.col("__all")
     taken = F.least("tokens", wanted - F.col("start"))
     chosen = placed.where(wanted > F.col("start")).select(F.col("__id").alias("doc_id"), *LEVELS, "epoch", F.col("start").cast("long").alias("start"), "tokens", taken.cast("long").alias("taken"))
@@ -119,7 +119,7 @@ def keep_mixed(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", **
         "__id": F.col(id_col).cast("long"), "__domain": domain_of(F.col("source")), "__lang": F.coalesce("lang", F.lit("\x00")),
         "__source": F.coalesce("source", F.lit("\x00")), "__n": F.regexp_count(clean_text(text_col), F.lit(WORD)).cast("long"),
     }).where("__n > 0")
-    met = told.join(F.broadcast(cuts), ["__domain", "__lang", "__source"]).withColumn("__key", _order_key(F.col("__epoch"), seed))
+    met = told.join(sized(cuts, cuts.count()), ["__domain", "__lang", "__source"]).withColumn("__key", _order_key(F.col("__epoch"), seed))
     return met.where(F.struct("__key", "__id", "__n") <= F.col("__last")).select(*own)
 
 
