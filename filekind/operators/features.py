@@ -9,7 +9,7 @@ from dataclasses import dataclass, field
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.text import UNKNOWN, map_unknown, ngrams, tokens_of, trim
@@ -26,6 +26,7 @@ class Config:
     unit: str = "codepoint"
     denom: str = "tokens"
     unknown_in_ngrams: str = "keep"
+    max_chars: int = 0  # over 0: of a longer file only as many characters are read, in three windows; approximate, so off by default
 
 
 @dataclass(frozen=True)
@@ -156,8 +157,15 @@ def counted(tokens: pa.ListArray, count) -> list[tuple[np.ndarray, np.ndarray]]:
     return [row for at in range(0, len(tokens), TOGETHER) for row in count(tokens.slice(at, TOGETHER))]
 
 
-def token_column(cfg: Config, trimmed: bool):
-    t = tokens_of(F.col("content"), cfg.unit)
+def windows(content: Column, most: int) -> Column:
+    """Head, middle and tail of a text over `most` characters, apart by a line feed; shorter texts as they are."""
+    third, size = most // 3, F.length(content)
+    middle = F.substring(content, F.floor((size - third) / 2).cast("int") + 1, F.lit(third))
+    return F.when(size > most, F.concat_ws("\n", F.left(content, F.lit(third)), middle, F.right(content, F.lit(third)))).otherwise(content)
+
+
+def token_column(cfg: Config, trimmed: bool) -> Column:
+    t = tokens_of(windows(F.col("content"), cfg.max_chars) if cfg.max_chars else F.col("content"), cfg.unit)
     return trim(t, cfg.head, cfg.tail) if trimmed else t
 
 

@@ -56,6 +56,13 @@ def test_empty_files_are_zero_vectors(spark, space):
     assert {r.file_id for r in vectorize(df, space, trimmed=True).collect() if r.indices} == set()
 
 
+def test_windows_of_long_files(spark):
+    from filekind.operators.features import windows
+
+    df = spark.createDataFrame([("abcdefghijklmnopqrstuvwxyz",), ("short",), (None,)], "s string")
+    assert [r[0] for r in df.select(windows(F.col("s"), 9)).collect()] == ["abc\nlmn\nxyz", "short", None]
+
+
 def test_unknowns_can_leave_ngrams(t1):
     sp = learn_space(training(t1).where("split = 'vocab'"), Config(unknown_in_ngrams="drop"))
     assert not any("<unk>" in t for t in sp.terms[2]) and sp.terms[2]
