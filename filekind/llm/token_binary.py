@@ -31,6 +31,8 @@ BLOCK = 128
 END_ID = 2
 #: Ids per segment after which a new one begins, and bytes of text that are tokenised at a time.
 SEGMENT_IDS, TEXT_BYTES = 1 << 20, 1 << 23
+#: Distinct words whose ids a worker process keeps.
+MOST_WORDS = 400_000
 #: Bits of an id under each selector; selector 0 is the escape, 1 is not used.
 BITS = np.array([64, 0, 1, 2, 3, 4, 5, 6, 7, 8, 10, 12, 15, 20, 30, 60], np.uint64)
 COUNTS = np.array([1, 0] + [60 // int(b) for b in BITS[2:]], np.int64)
@@ -167,11 +169,23 @@ class Words:
         os.environ["RAYON_NUM_THREADS"] = "1"  # tasks already use every core
         from tokenizers import Tokenizer
 
+        self.words, self.values, self.start, self.size = pa.array([], pa.string()), np.zeros(0, np.uint32), np.zeros(0, np.int64), np.zeros(0, np.int64)
         self.tokenizer = Tokenizer.from_file(path)
         self.ends = np.zeros(self.tokenizer.get_vocab_size(), bool)
         for token, i in self.tokenizer.get_vocab().items():
             self.ends[i] = token.endswith("</w>")
 
+    @classmethod
+    def of(cls, path: str) -> Words:
+        """The one of this worker process: its tasks share the loaded vocabulary and the ids of the first MOST_WORDS distinct words."""
+        import sys
+        import types
+
+        held = vars(sys.modules.setdefault("_filekind_words", types.ModuleType("_filekind_words")))
+        if path not in held:
+            held[path] = cls(path)
+        return held[path]
+
     def distinct(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(ids of the words one after another, the number of ids of each)."""
         plain = pc.and_(pc.match_substring_regex(words, self.PLAIN), pc.invert(pc.match_substring(words, "<|"))).to_numpy(zero_copy_only=False)
@@ -202,12 +216,23 @@ class Words:
         apart = pc.replace_substring_regex(pc.ascii_lower(texts), self.SIGNS, r"\1 \2\3")  # both change no id, and leave fewer distinct pieces
         pieces = pc.ascii_split_whitespace(apart)
         coded = pieces.flatten().dictionary_encode()
-        values, size = self.distinct(coded.dictionary)
+        at = pc.index_in(coded.dictionary, value_set=self.words)
+        new = np.flatnonzero(at.is_null().to_numpy(zero_copy_only=False))
+        fresh = coded.dictionary.take(pa.array(new))
+        more, lengths = self.distinct(fresh)
+        values = np.concatenate([self.values, more])
+        begin = len(self.values) + np.cumsum(lengths) - lengths
+        at = at.fill_null(0).to_numpy(zero_copy_only=False)
+        start, size = (x[at] if len(x) else np.zeros(len(at), np.int64) for x in (self.start, self.size))
+        start[new], size[new] = begin, lengths
+        if len(self.words) + len(fresh) <= MOST_WORDS:
+            self.words, self.values = pa.concat_arrays([self.words, fresh]), values
+            self.start, self.size = np.concatenate([self.start, begin]), np.concatenate([self.size, lengths])
         which = coded.indices.to_numpy(zero_copy_only=False)
         lengths = size[which]
         ends = np.cumsum(lengths)
         total = int(ends[-1]) if len(ends) else 0
-        source = np.repeat((np.cumsum(size) - size)[which] - (ends - lengths), lengths) + np.arange(total)
+        source = np.repeat(start[which] - (ends - lengths), lengths) + np.arange(total)
         bounds = np.concatenate([[0], ends])[pieces.offsets.to_numpy() - pieces.offsets[0].as_py()]
         return values[source], np.diff(bounds)
 
@@ -228,7 +253,7 @@ def write_segments(df: DataFrame, vocabulary: str, end_id: int = END_ID, id_col:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        part, seq, words = TaskContext.get().partitionId(), 0, Words(vocabulary)
+        part, seq, words = TaskContext.get().partitionId(), 0, Words.of(vocabulary)
         docs, sizes, held, total = [], [], [], 0
 
         def flush() -> pa.RecordBatch:
