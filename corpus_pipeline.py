@@ -9,7 +9,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from filekind.llm import exact_dedup, mixing, packing, simhash, toxicity
+from filekind.llm import exact_dedup, mixing, packing, simhash, similar, toxicity
 from filekind.llm.common import stash, table
 
 #: The pipeline's mix never repeats a document.
@@ -27,9 +27,15 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Under the digest contract of op7, which takes almost identical texts only. Not a stage: the pipeline runs drop_similar."""
     return simhash.keep_one(docs)
 
 
+def drop_similar(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that share at least 0.8 of their five-word shingles, directly or over others, are one document."""
+    return similar.keep_one(docs)
+
+
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return mixing.keep_mixed(docs, **MIX)
 
@@ -41,7 +47,7 @@ def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 STAGES = [
     ("toxicity", drop_toxic),
     ("exact_dedup", drop_copies),
-    ("near_dedup", drop_near_copies),
+    ("near_dedup", drop_similar),
     ("mix_sources", mix_sources),
     ("best_fit_packing", pack_sequences),
 ]
