@@ -1,15 +1,19 @@
 """Toxicity by the nearest labelled examples under exact TF-IDF cosine.
 
-Examples are a bounded sample of labelled documents. Document frequencies are counted over all documents. The term space
-holds the terms whose presence raises the rate of the label beyond chance (a likelihood-ratio test corrected for the
-number of terms tried); cosines are exact within it. Examples lie in an inverted index cut into blocks, with the largest weight of each term
-in each block, so a query opens only blocks whose bound reaches its k-th best cosine: the result equals a full scan.
-Neighbours vote by squared cosine, and a monotone table, fitted on the examples with each left out of its own vote,
-turns votes into rates of the label. The nearest examples and their cosines are the evidence.
+Examples are a bounded sample of labelled documents. The term space holds every term of the examples; document frequencies are counted
+over all documents, and every text is searched with its whole vector in that space. Terms that many examples hold are dense rows, multiplied for
+many texts at once; the others are postings. Cosines fall into blocks of examples, and only blocks whose largest cosine
+reaches the k-th best block are opened: the result equals a full scan. The nearest examples and their cosines are the evidence.
 
-Bounds that are parameters: MOST_EXAMPLES labelled rows (those with the smallest hash of their id), MOST_TERMS terms.
+Neighbours vote by squared cosine. As a few telling words drown in a long text, a second vote is taken among examples in the space of the terms whose
+presence raises the rate of the label beyond chance (a likelihood-ratio test corrected for the number of terms tried). Monotone tables, fitted on
+the examples with each left out of its own votes, turn each vote into a rate of the label; the odds of both rates are multiplied, and a third
+table turns the product into the score.
 
-Defined cases: a null, empty or unknown text has no vector; its score is the rate of the label among examples without one,
+Bounds that are parameters: MOST_EXAMPLES labelled rows (those with the smallest hash of their id), MOST_TERMS telling terms of the second vote.
+Terms are told apart by 64-bit hashes.
+
+Defined cases: a null, empty or unknown text has no vector; its score is the rate of the label among examples without telling terms,
 smoothed towards the rate among all. An
 id labelled more than once takes its largest label; null labels and ids teach nothing. Equal cosines go to the earlier example.
 With no examples every score is 0. Empty tables give empty results; further columns are left alone.
@@ -20,10 +24,12 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Collection, Iterable, Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -34,117 +40,224 @@ MOST_TERMS = 4_096
 #: Least examples with a term, and the chance that any term passes by luck.
 SUPPORT, ALPHA = 3, 0.05
 NEIGHBOURS, BLOCK, EVIDENCE = 25, 64, 5
+#: A term that one in so many examples holds is a dense row; texts whose dense parts are multiplied together, and texts whose vectors are held at once.
+COMMON, TOGETHER, SLICE = 8, 64, 1024
+#: Words whose numbers a task remembers.
+MEMO = 200_000
 #: Steps of the vote in the calibration table.
 STEPS = 20
 LETTERS = re.compile(r"[^\W\d_]+")
 
 
+Vector = tuple[np.ndarray, np.ndarray]
+
+
 class BlockMax:
-    """Cosine search over sparse unit vectors; exact, opening blocks in the order of their bounds.
+    """Cosine search over sparse unit vectors; exact, opening only blocks whose largest cosine can be among the k best.
 
-    Within a block the postings of a term are one dense row of BLOCK weights, so a block costs the same whatever it holds.
+    Terms that at least one in COMMON examples holds are dense rows, the others are postings.
     """
 
-    def __init__(self, vectors: list[tuple[np.ndarray, np.ndarray]], terms: int):
-        # Examples with the same heaviest term lie together, so that block bounds are tight.
-        lead = [int(t[np.argmax(w)]) if len(t) else terms for t, w in vectors]
-        self.order = np.argsort(np.array(lead, np.int64), kind="stable")
-        self.blocks = max(1, -(-len(vectors) // BLOCK))
-        place = np.empty(len(vectors), np.int64)
-        place[self.order] = np.arange(len(vectors))
-        t = np.concatenate([v[0] for v in vectors] or [np.zeros(0, np.int64)]).astype(np.int64)
+    def __init__(self, vectors: list[Vector], terms: int):
+        self.size, self.blocks = len(vectors), max(1, -(-len(vectors) // BLOCK))
+        t = np.concatenate([np.zeros(0, np.int32), *(v[0] for v in vectors)]).astype(np.int32)
         w = np.concatenate([v[1] for v in vectors] or [np.zeros(0)])
-        p = np.repeat(place, [len(v[0]) for v in vectors])
-        cells, row = np.unique(t * self.blocks + p // BLOCK, return_inverse=True)
-        self.rows = np.zeros((len(cells) + 1, BLOCK))  # the first stands for terms that a block lacks
-        self.rows[row + 1, p % BLOCK] = w
-        self.at = np.zeros(terms * self.blocks, np.int32)
-        self.at[cells] = np.arange(1, len(cells) + 1)
-        self.bound = self.rows.max(axis=1)[self.at].reshape(terms, self.blocks)
-        self.at = self.at.reshape(terms, self.blocks)
+        p = np.repeat(np.arange(len(vectors), dtype=np.int32), [len(v[0]) for v in vectors])
+        held = np.bincount(t, minlength=terms)
+        common = np.flatnonzero(held * COMMON >= max(1, len(vectors)))
+        self.slot = np.full(terms, -1, np.int32)
+        self.slot[common] = np.arange(len(common))
+        at = self.slot[t]
+        self.rows = np.zeros((len(common), self.blocks * BLOCK))
+        self.rows[at[at >= 0], p[at >= 0]] = w[at >= 0]
+        by = np.argsort(t, kind="stable").astype(np.int32)
+        by = by[at[by] < 0]
+        self.place, self.weight = p[by], w[by]
+        self.start = np.concatenate([[0], np.cumsum(np.where(self.slot < 0, held, 0))])
 
     def search(self, t: np.ndarray, w: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, int]:
         """(examples, cosines, blocks opened): the k nearest with a cosine over 0, nearest first, ties by example number."""
-        bounds = w @ self.bound[t]
-        best_i, best_s = np.zeros(0, np.int64), np.zeros(0)
-        ranked = np.argsort(-bounds, kind="stable")
-        ranked, opened, step = ranked[: int((bounds > 0).sum())], 0, 1
-        while opened < len(ranked):
-            least = best_s[-1] - 1e-9 if len(best_s) == k else 0.0
-            some = ranked[opened : opened + step]
-            some = some[bounds[some] >= least]
-            if not len(some):
-                break
-            opened, step = opened + len(some), min(2 * step, 32)
-            got = np.round(np.tensordot(w, self.rows[self.at[np.ix_(t, some)]], 1), 12)
-            b, j = np.nonzero((got > 0) & (got >= least))
-            best_i, best_s = np.concatenate([best_i, self.order[some[b] * BLOCK + j]]), np.concatenate([best_s, got[b, j]])
-            top = np.lexsort((best_i, -best_s))[:k]
-            best_i, best_s = best_i[top], best_s[top]
-        return best_i, best_s, opened
+        return next(self.search_all([(t, w)], k))
+
+    def search_all(self, vectors: list[Vector], k: int) -> Iterator[tuple[np.ndarray, np.ndarray, int]]:
+        """search() for each vector."""
+        for first in range(0, len(vectors), TOGETHER):
+            some = vectors[first : first + TOGETHER]
+            asked = np.zeros((len(some), len(self.rows)))
+            for i, (t, w) in enumerate(some):
+                at = self.slot[t]
+                asked[i, at[at >= 0]] = w[at >= 0]
+            for (t, w), dense in zip(some, asked @ self.rows, strict=True):
+                rare = self.slot[t] < 0
+                starts, ends = self.start[t[rare]], self.start[t[rare] + 1]
+                cuts = list(map(slice, starts.tolist(), ends.tolist()))
+                if cuts:
+                    weights = np.concatenate([self.weight[c] for c in cuts]) * np.repeat(w[rare], ends - starts)
+                    dense = dense + np.bincount(np.concatenate([self.place[c] for c in cuts]), weights, self.blocks * BLOCK)
+                yield self.nearest(dense, k)
+
+    def nearest(self, cosine: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, int]:
+        cosine = cosine.reshape(self.blocks, BLOCK)
+        most = cosine.max(axis=1)
+        # The k-th largest of the blocks' maxima is not above the k-th best cosine.
+        least = np.partition(most, -k)[-k] - 1e-9 if k < self.blocks else 0.0
+        opened = np.flatnonzero((most >= least) & (most > 0))
+        got = np.round(cosine[opened], 12)
+        b, j = np.nonzero((got > 0) & (got >= least))
+        found, near = opened[b] * BLOCK + j, got[b, j]
+        top = np.lexsort((found, -near))[:k]
+        return found[top], near[top], len(opened)
+
+
+def calibrate(votes: np.ndarray, truth: np.ndarray) -> np.ndarray:
+    """Rate of the label for each step of the vote: smoothed towards the step's own value, then made monotone by pooling neighbours."""
+    pools: list[list[float]] = []
+    for s in range(STEPS + 1):
+        mine = np.round(votes * STEPS) == s if len(votes) else np.zeros(0, bool)
+        pools.append([float(truth[mine].sum()) + s / STEPS, float(mine.sum()) + 1, 1])
+        while len(pools) > 1 and pools[-2][0] / pools[-2][1] > pools[-1][0] / pools[-1][1]:
+            last = pools.pop()
+            pools[-1] = [a + b for a, b in zip(pools[-1], last, strict=True)]
+    return np.concatenate([np.full(int(n), a / b) for a, b, n in pools])
+
+
+def rate(votes, table: np.ndarray):
+    return np.interp(np.asarray(votes) * STEPS, np.arange(STEPS + 1), table)
+
+
+def log_odds(p):
+    p = np.clip(p, 1e-3, 1 - 1e-3)
+    return np.log(p / (1 - p))
 
 
 class Model:
-    """What a scoring task needs; bounded by MOST_EXAMPLES and MOST_TERMS."""
-
-    def __init__(self, idf: dict[str, float], examples: list[tuple[int, int, dict[str, int]]], k: int = NEIGHBOURS):
-        self.k = k
-        self.term = {t: i for i, t in enumerate(sorted(idf))}
-        self.idf = np.array([idf[t] for t in sorted(idf)])
-        examples = sorted(examples, key=lambda e: e[0])
-        self.ids = np.array([e[0] for e in examples], np.int64)
-        self.label = np.array([e[1] for e in examples], float)
-        vectors = [self.vector(e[2]) for e in examples]
-        self.index = BlockMax(vectors, max(1, len(self.term)))
-        bare = np.array([not len(v[0]) for v in vectors], bool)
-        self.base = float((self.label[bare].sum() + self.label.mean()) / (bare.sum() + 1)) if len(examples) else 0.0
-        votes, truth = [], []
-        for i in np.flatnonzero(~bare):
-            near, cosine, _ = self.index.search(*vectors[i], self.k + 1)
-            other = near != i
-            votes.append(self.vote(near[other][: self.k], cosine[other][: self.k]))
-            truth.append(self.label[i])
-        self.table = self.calibrate(np.array(votes), np.array(truth))
-        self.memo: dict = {}
-
-    def vector(self, counts: dict[str, int]) -> tuple[np.ndarray, np.ndarray]:
+    """What a scoring task needs; bounded by MOST_EXAMPLES and the terms they hold.
+
+    vocabulary: hashes of terms in ascending order, with idf; telling: the term numbers of the second vote; ids in ascending order, with
+    labels; counts: (term numbers, counts) of each example.
+    """
+
+    def __init__(self, vocabulary: np.ndarray, idf: np.ndarray, telling: np.ndarray, ids: np.ndarray, label: np.ndarray, counts: list[Vector], k: int = NEIGHBOURS):
+        self.k, self.vocabulary, self.idf = k, vocabulary, idf
+        self.second = np.full(len(vocabulary), -1, np.int64)
+        self.second[telling] = np.arange(len(telling))
+        self.ids, self.label = ids, label
+        whole = [self.vector(t, n) for t, n in counts]
+        short = [self.narrowed(v) for v in whole]
+        self.index, self.told = BlockMax(whole, max(1, len(vocabulary))), BlockMax(short, max(1, len(telling)))
+        bare = np.array([not len(v[0]) for v in short], bool)
+        self.prior = float(self.label.mean()) if len(ids) else 0.0
+        self.base = float((self.label[bare].sum() + self.prior) / (bare.sum() + 1)) if len(ids) else 0.0
+
+        def left_out(index: BlockMax, vectors: list[Vector]) -> np.ndarray:
+            votes = []
+            for i, (near, cosine, _) in enumerate(index.search_all(vectors, self.k + 1)):
+                other = near != i
+                votes.append(self.vote(near[other][: self.k], cosine[other][: self.k], self.prior))
+            return np.array(votes)
+
+        first, second = left_out(self.index, whole), left_out(self.told, short)
+        filled = np.array([bool(len(v[0])) for v in whole], bool)
+        self.whole_table = calibrate(first[filled], self.label[filled])
+        self.told_table = calibrate(second[~bare], self.label[~bare])
+        both = self.joint(first, np.where(bare, self.base, rate(second, self.told_table)))
+        self.table = calibrate(both[filled], self.label[filled])
+
+    def vector(self, t: np.ndarray, counts: np.ndarray) -> Vector:
         """Unit vector of (1 + ln count) x idf over the term space."""
-        known = sorted((self.term[t], n) for t, n in counts.items() if t in self.term)
-        t = np.array([i for i, _ in known], np.int64)
-        w = np.array([1 + math.log(n) for _, n in known]) * self.idf[t] if known else np.zeros(0)
-        return t, w / np.sqrt((w * w).sum()) if known else w
+        w = (1 + np.log(counts)) * self.idf[t]
+        return t, w / np.sqrt((w * w).sum()) if len(t) else w
+
+    def narrowed(self, v: Vector) -> Vector:
+        """The unit vector over the telling terms alone."""
+        at = self.second[v[0]]
+        w = v[1][at >= 0]
+        return at[at >= 0], w / np.sqrt((w * w).sum()) if len(w) else w
 
-    def vote(self, near: np.ndarray, cosine: np.ndarray) -> float:
+    def vote(self, near: np.ndarray, cosine: np.ndarray, otherwise: float) -> float:
         weight = cosine * cosine
-        return float((weight * self.label[near]).sum() / weight.sum()) if len(near) else self.base
-
-    def calibrate(self, votes: np.ndarray, truth: np.ndarray) -> np.ndarray:
-        """Rate of the label for each step of the vote: smoothed towards the step's own value, then made monotone by pooling neighbours."""
-        pools: list[list[float]] = []
-        for s in range(STEPS + 1):
-            mine = np.round(votes * STEPS) == s if len(votes) else np.zeros(0, bool)
-            pools.append([float(truth[mine].sum()) + s / STEPS, float(mine.sum()) + 1, 1])
-            while len(pools) > 1 and pools[-2][0] / pools[-2][1] > pools[-1][0] / pools[-1][1]:
-                last = pools.pop()
-                pools[-1] = [a + b for a, b in zip(pools[-1], last, strict=True)]
-        return np.concatenate([np.full(int(n), a / b) for a, b, n in pools])
-
-    def score(self, text: str | None) -> tuple[float, list[int], list[float]]:
-        counts = Counter(w for w in LETTERS.findall(text.lower()) if w in self.term) if text else {}
-        if not counts or not len(self.ids):
-            return self.base, [], []
-        key = tuple(sorted(counts.items()))
-        if (known := self.memo.get(key)) is None:
-            near, cosine, _ = self.index.search(*self.vector(counts), self.k)
-            rate = float(np.interp(self.vote(near, cosine) * STEPS, np.arange(STEPS + 1), self.table))
-            known = rate, self.ids[near[:EVIDENCE]].tolist(), cosine[:EVIDENCE].tolist()
-            if len(self.memo) < 50_000:
-                self.memo[key] = known
-        return known
-
-
-def words(text: Column) -> Column:
-    return F.array_distinct(F.split(F.lower(text), r"[^\p{L}]+"))
+        return float((weight * self.label[near]).sum() / weight.sum()) if len(near) else otherwise
+
+    def joint(self, first, second_rate):
+        """The odds of both rates multiplied, over the odds of the label."""
+        return 1 / (1 + np.exp(-(log_odds(rate(first, self.whole_table)) + log_odds(second_rate) - log_odds(self.prior))))
+
+    def score_all(self, texts: Iterable[str | None], numbers: Numbers) -> list[tuple[float, list[int], list[float]]]:
+        vectors = [self.vector(*numbers(t)) for t in texts]
+        out: list = [(self.base, [], [])] * len(vectors)
+        if not len(self.ids):
+            return out
+        known = [i for i, v in enumerate(vectors) if len(v[0])]
+        whole = [vectors[i] for i in known]
+        short = [self.narrowed(v) for v in whole]
+        first, second, shown = [], np.full(len(known), self.base), []
+        for near, cosine, _ in self.index.search_all(whole, self.k):
+            first.append(self.vote(near, cosine, self.prior))
+            shown.append((self.ids[near[:EVIDENCE]].tolist(), cosine[:EVIDENCE].tolist()))
+        told = [j for j, v in enumerate(short) if len(v[0])]
+        for j, (near, cosine, _) in zip(told, self.told.search_all([short[j] for j in told], self.k), strict=True):
+            second[j] = rate(self.vote(near, cosine, self.base), self.told_table)
+        scores = rate(self.joint(np.array(first), second), self.table)
+        for i, p, (ids, cosines) in zip(known, scores.tolist(), shown, strict=True):
+            out[i] = p, ids, cosines
+        return out
+
+
+def hashed(words: Collection[str]) -> np.ndarray:
+    return np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words)).view(np.int64)
+
+
+class Numbers:
+    """Turns texts into (term numbers, counts); the numbers of the first MEMO words seen are kept."""
+
+    def __init__(self, vocabulary: np.ndarray):
+        self.vocabulary, self.memo = vocabulary, {}
+
+    def __call__(self, text: str | None) -> Vector:
+        counts = Counter(LETTERS.findall(text.lower())) if text and len(self.vocabulary) else {}
+        at = list(map(self.memo.get, counts))
+        if missing := [w for w, i in zip(counts, at, strict=True) if i is None]:
+            found = hashed(missing)
+            place = np.minimum(np.searchsorted(self.vocabulary, found), len(self.vocabulary) - 1)
+            new = dict(zip(missing, np.where(self.vocabulary[place] == found, place, -1).tolist(), strict=True))
+            at = [new[w] if i is None else i for w, i in zip(counts, at, strict=True)]
+            if len(self.memo) < MEMO:
+                self.memo.update(new)
+        t, n = np.array(at, np.int64), np.fromiter(counts.values(), np.int64, len(counts))
+        return t[t >= 0], n[t >= 0]
+
+
+def telling_terms(held: np.ndarray, positive: np.ndarray, examples: int, labelled: float, most_terms: int) -> np.ndarray:
+    """Numbers of the terms whose presence raises the rate of the label beyond chance; held and positive count examples with each term."""
+    if not 0 < labelled < examples:
+        return np.zeros(0, np.int64)
+    tried = np.flatnonzero(held >= SUPPORT)
+    m, a, e, p = held[tried].astype(float), positive[tried].astype(float), float(examples), float(labelled)
+
+    def part(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        return np.where(x > 0, x * np.log(np.where(x > 0, x, 1) / np.where(x > 0, y, 1)), 0.0)
+
+    ratio = 2 * (part(a, m * p / e) + part(m - a, m * (e - p) / e) + part(p - a, (e - m) * p / e) + part(e - m - p + a, (e - m) * (e - p) / e))
+    passed = (ratio >= 2 * math.log(max(len(tried), 1) / ALPHA)) & (a * e > m * p)
+    return np.sort(tried[passed][np.argsort(-ratio[passed], kind="stable")][:most_terms])
+
+
+def frequencies(plain: DataFrame, vocabulary: np.ndarray) -> np.ndarray:
+    """Rows of plain (column text) that hold each term of the vocabulary."""
+    sent = plain.sparkSession.sparkContext.broadcast(vocabulary)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        numbers, total = Numbers(sent.value), np.zeros(len(sent.value), np.int64)
+        for batch in batches:
+            for text in batch.column(0):
+                total[numbers(text.as_py())[0]] += 1
+        some = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(total[some])], ["term", "n"])
+
+    got = plain.select("text").mapInArrow(run, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
+    out = np.zeros(len(vocabulary), np.int64)
+    out[got["term"].to_numpy()] = got["n"].to_numpy()
+    return out
 
 
 def fit(docs: DataFrame, labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "label", most_examples: int = MOST_EXAMPLES, most_terms: int = MOST_TERMS, k: int = NEIGHBOURS) -> Model:
@@ -158,48 +271,39 @@ def fit(docs: DataFrame, labelled: DataFrame, id_col: str = "doc_id", text_col:
     n = docs.count()
     # Rows that repeat an id are one example.
     held = plain.join(wanted, "__id").groupBy("__id").agg(F.max("__label").alias("label"), F.max("text").alias("text"))
-    counted = (
-        plain.join(wanted, "__id", "left").select("__label", F.explode(words(F.col("text"))).alias("term")).where("term != ''")
-        .groupBy("term").agg(F.count("*").alias("df"), F.count("__label").alias("m"), F.coalesce(F.sum("__label"), F.lit(0)).alias("a"))
-        .where(F.col("m") >= SUPPORT)
-    )
-    counted = stash(counted)
-    tried = counted.count()
-    examples, positive = held.agg(F.count("*"), F.coalesce(F.sum("label"), F.lit(0))).first()
-
-    def part(x: Column, y: Column) -> Column:
-        return F.when(x > 0, x * F.ln(x / y)).otherwise(F.lit(0.0))
-
-    a, m, e, p = F.col("a"), F.col("m"), F.lit(float(max(examples, 1))), F.lit(float(positive))
-    ratio = 2 * (part(a, m * p / e) + part(m - a, m * (e - p) / e) + part(p - a, (e - m) * p / e) + part(e - m - p + a, (e - m) * (e - p) / e))
-    least = 2 * math.log(max(tried, 1) / ALPHA)
-    chosen = counted.select("term", "df", ratio.alias("ratio")).where((F.col("ratio") >= least) & (a * e > m * p)).orderBy(F.desc("ratio"), "term").limit(most_terms).collect() if 0 < positive < examples else []
-    idf = {r.term: math.log((1 + n) / (1 + r.df)) + 1 for r in chosen}
-    letters, space = LETTERS, frozenset(idf)
 
-    def vectors(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def counted(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for x in parts:
-            found = [Counter(w for w in letters.findall(t.lower()) if w in space) for t in x["text"]]
-            yield pd.DataFrame({"id": x["__id"], "label": x["label"], "terms": [list(c) for c in found], "counts": [list(c.values()) for c in found]})
+            found = [Counter(LETTERS.findall(t.lower())) for t in x["text"]]
+            yield pd.DataFrame({"id": x["__id"], "label": x["label"], "terms": [hashed(c) for c in found], "counts": [np.fromiter(c.values(), np.int32, len(c)) for c in found]})
 
-    rows = held.mapInPandas(vectors, "id long, label int, terms array<string>, counts array<int>").collect()
-    return Model(idf, [(r.id, r.label, dict(zip(r.terms, r.counts, strict=True))) for r in rows], k)
+    rows = held.mapInPandas(counted, "id long, label int, terms array<long>, counts array<int>").toArrow().sort_by("id").combine_chunks()
+    ids, label = rows["id"].to_numpy(), rows["label"].to_numpy().astype(float)
+    vocabulary, t = np.unique(np.concatenate([np.zeros(0, np.int64), *(c.flatten().to_numpy() for c in rows["terms"].chunks)]), return_inverse=True)
+    t, times = t.astype(np.int32), np.concatenate([np.zeros(0, np.int32), *(c.flatten().to_numpy() for c in rows["counts"].chunks)])
+    lengths = np.concatenate([np.zeros(0, np.int64), *(c.value_lengths().to_numpy() for c in rows["terms"].chunks)]).astype(np.int64)
+    del rows
+    idf = np.log((1 + n) / (1 + frequencies(plain, vocabulary))) + 1 if len(vocabulary) else np.zeros(0)
+    telling = telling_terms(np.bincount(t, minlength=len(vocabulary)), np.bincount(t, np.repeat(label, lengths), len(vocabulary)), len(ids), label.sum(), most_terms)
+    ends = np.cumsum(lengths)
+    return Model(vocabulary, idf, telling, ids, label, [(t[e - m : e], times[e - m : e]) for e, m in zip(ends.tolist(), lengths.tolist(), strict=True)], k)
 
 
 def scored(df: DataFrame, model: Model, text_col: str = "text", prefix: str = "") -> DataFrame:
     """df with columns score, evidence (ids of the nearest examples) and cosines, named with the prefix. Only the text is read."""
-    spark = df.sparkSession
-    state = {k: v for k, v in vars(model).items() if k != "memo"}
-    index = vars(state.pop("index"))
-    sent = spark.sparkContext.broadcast((state, index))
+    sent = df.sparkSession.sparkContext.broadcast({k: vars(v) if isinstance(v, BlockMax) else v for k, v in vars(model).items()})
 
     @F.pandas_udf("score double, evidence array<long>, cosines array<double>")
     def run(parts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         m = Model.__new__(Model)
-        vars(m).update(sent.value[0], memo={}, index=BlockMax.__new__(BlockMax))
-        vars(m.index).update(sent.value[1])
+        vars(m).update(sent.value)
+        for name in ("index", "told"):
+            index = BlockMax.__new__(BlockMax)
+            vars(index).update(sent.value[name])
+            setattr(m, name, index)
+        numbers = Numbers(m.vocabulary)
         for texts in parts:
-            yield pd.DataFrame([m.score(t) for t in texts], columns=["score", "evidence", "cosines"])
+            yield pd.DataFrame([r for at in range(0, len(texts), SLICE) for r in m.score_all(texts[at : at + SLICE], numbers)], columns=["score", "evidence", "cosines"])
 
     got = f"__{prefix}scored"
     out = df.withColumn(got, run(clean_text(text_col)))

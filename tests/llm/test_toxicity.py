@@ -1,5 +1,7 @@
+import math
 import random
 import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -68,3 +70,25 @@ def test_edges(spark):
     assert {r.score for r in tox.scored(df.drop("score"), empty).collect()} == {0.0}
     assert tox.scored(df.limit(0).drop("score"), model).count() == 0
     assert len(tox.fit(df, labelled, most_examples=10).ids) <= 10
+
+
+def test_every_text_is_searched_with_its_whole_vector(spark, sf):
+    """Plain words that no test ties to the label find their examples: cosines of a full scan over all terms of the examples."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    got = {r.doc_id: r for r in tox.op5_nearest_examples(spark, sf).collect()}
+    text = {r.doc_id: r.text for r in docs.collect()}
+    examples = [r.doc_id for r in tox.training_labels(spark, sf).where("label IS NOT NULL").collect() if r.doc_id in text]
+    counts = {d: Counter(tox.LETTERS.findall((t or "").lower())) for d, t in text.items()}
+    df = Counter(w for c in counts.values() for w in c)
+    space = {w for e in examples for w in counts[e]}
+
+    def unit(d):
+        v = {w: (1 + math.log(n)) * (math.log((1 + len(text)) / (1 + df[w])) + 1) for w, n in counts[d].items() if w in space}
+        size = math.sqrt(sum(x * x for x in v.values()))
+        return {w: x / size for w, x in v.items()}
+
+    units = {d: unit(d) for d in text}
+    for d, r in got.items():
+        want = sorted((sum(x * units[e].get(w, 0.0) for w, x in units[d].items()) for e in examples), reverse=True)[:5]
+        assert np.allclose(r.cosines, [c for c in want if c > 1e-12], atol=1e-9), d
+    assert len({r.score for r in got.values()}) > 1 and all(r.evidence for d, r in got.items() if units[d])
