@@ -23,10 +23,10 @@ from itertools import repeat
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import one_row_each, stash
+from .common import discard, one_row_each, sized, stash
 from .components import components
 
 SHINGLE, SEED = 5, 42
@@ -111,20 +111,24 @@ def grouped(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size:
             yield pa.RecordBatch.from_arrays([pa.array(list(map(entry_of, found)), pa.int64()), _lists(found)], ["entry", "found"])
 
     held = stash(texts.mapInArrow(heads, f"doc_id {kind}, tag long, entry long, size long, heads array<long>"))
-    entries = held.select("entry", "size", "heads", "tag").dropDuplicates(["entry"])
-    filed = entries.select("entry", "size", F.posexplode("heads").alias("place", "head"))
-    shared = filed.groupBy("head").agg(F.count("*").alias("n"), F.min(F.struct("entry", "size")).alias("leader")).where("n > 1")
-    lists = stash(filed.join(shared.drop("n"), "head"))
+    filed = held.select("entry", F.col("size").cast("int").alias("size"), F.posexplode("heads").alias("place", "head"))
+    # Rows of one head meet once, in one exchange; most heads have one entry and go.
+    each = Window.partitionBy("head")
+    met = filed.withColumns({"leader": F.min(F.struct("entry", "size")).over(each), "last": F.max("entry").over(each)}).where("leader.entry != last").drop("last")
+    lists = stash(met.dropDuplicates(["head", "entry"]))
 
     def verified(pairs: DataFrame) -> DataFrame:
         """The pairs (a, b: entries) that are alike."""
         pairs = stash(pairs.distinct())
         wanted = pairs.select(F.col("a").alias("entry")).union(pairs.select(F.col("b").alias("entry"))).distinct()
-        tags = held.join(wanted, "entry", "left_semi").select("tag").distinct()
-        read = texts.join(tags, "tag", "left_semi").select("text").mapInArrow(sets, "entry long, found array<long>")
+        tags = stash(held.join(wanted, "entry", "left_semi").select("tag").distinct())
+        read = texts.join(sized(tags, tags.count()), "tag", "left_semi").select("text").mapInArrow(sets, "entry long, found array<long>")
         known = stash(read.dropDuplicates(["entry"]))
         met = pairs.join(known.select(F.col("entry").alias("a"), F.col("found").alias("x")), "a").join(known.select(F.col("entry").alias("b"), F.col("found").alias("y")), "b")
-        return stash(met.where(_shares(F.size(F.array_intersect("x", "y")), F.size("x") + F.size("y"), alike)).select("a", "b"))
+        out = stash(met.where(_shares(F.size(F.array_intersect("x", "y")), F.size("x") + F.size("y"), alike)).select("a", "b"))
+        for used in (pairs, tags, known):
+            discard(used)
+        return out
 
     led = lists.where((F.col("entry") != F.col("leader.entry")) & _size_fits(F.col("size"), F.col("leader.size"), alike))
     links = verified(led.select(F.col("leader.entry").alias("a"), F.col("entry").alias("b")))
@@ -137,6 +141,8 @@ def grouped(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size:
     left = F.least(F.col("x.size") - F.col("x.place"), F.col("y.size") - F.col("y.place"))  # all they can share from their first common shingle on
     rest = x.join(y, (F.col("x.head") == F.col("y.head")) & (F.col("x.entry") < F.col("y.entry")) & (F.col("x.root") != F.col("y.root"))).where(_size_fits(F.col("x.size"), F.col("y.size"), alike) & _shares(left, F.col("x.size") + F.col("y.size"), alike))
     more = verified(rest.select(F.col("x.entry").alias("a"), F.col("y.entry").alias("b")))
+    discard(lists)
+    discard(apart)
     if not more.isEmpty():
         roots = components(links.union(more), "a", "b")
     return held.select("doc_id", "tag", "entry").join(roots, F.col("entry") == F.col("node"), "left").select("doc_id", "tag", F.coalesce("root", "entry").alias("root"))
