@@ -5,24 +5,26 @@ over all documents, and every text is searched with its whole vector in that spa
 many texts at once; the others are postings. Cosines fall into blocks of examples, and only blocks whose largest cosine
 reaches the k-th best block are opened: the result equals a full scan. The nearest examples and their cosines are the evidence.
 
-Neighbours vote by squared cosine. As a few telling words drown in a long text, a second vote is taken among examples in the space of the terms whose
-presence raises the rate of the label beyond chance (a likelihood-ratio test corrected for the number of terms tried). Monotone tables, fitted on
+Neighbours vote by squared cosine. As a few telling words drown in a long text, a second vote is taken among all examples in the space of the terms whose
+presence moves the rate of the label, up or down, beyond chance (a likelihood-ratio test corrected for the number of terms tried). Monotone tables, fitted on
 the examples with each left out of its own votes, turn each vote into a rate of the label; the odds of both rates are multiplied, and a third
 table turns the product into the score.
 
-Bounds that are parameters: MOST_EXAMPLES labelled rows (those with the smallest hash of their id), MOST_TERMS telling terms of the second vote.
+The one bound is a parameter: MOST_EXAMPLES labelled rows, those with the smallest hash of their id. All terms of the examples count.
 Terms are told apart by 64-bit hashes.
 
 Defined cases: a null, empty or unknown text has no vector; its score is the rate of the label among examples without telling terms,
 smoothed towards the rate among all. An
 id labelled more than once takes its largest label; null labels and ids teach nothing. Equal cosines go to the earlier example.
-With no examples every score is 0. Empty tables give empty results; further columns are left alone.
+With no examples every score is 0. Empty tables give empty results; further columns are left alone, and where one bears the name of a result,
+the results' names are led by underscores.
 """
 
 from __future__ import annotations
 
 import math
 import re
+import uuid
 from collections import Counter
 from collections.abc import Collection, Iterable, Iterator
 
@@ -35,8 +37,7 @@ from pyspark.sql import functions as F
 
 from .common import clean_text, stash, table
 
-MOST_EXAMPLES = 16_384
-MOST_TERMS = 4_096
+MOST_EXAMPLES = 6_144
 #: Least examples with a term, and the chance that any term passes by luck.
 SUPPORT, ALPHA = 3, 0.05
 NEIGHBOURS, BLOCK, EVIDENCE = 25, 64, 5
@@ -227,8 +228,8 @@ class Numbers:
         return t[t >= 0], n[t >= 0]
 
 
-def telling_terms(held: np.ndarray, positive: np.ndarray, examples: int, labelled: float, most_terms: int) -> np.ndarray:
-    """Numbers of the terms whose presence raises the rate of the label beyond chance; held and positive count examples with each term."""
+def telling_terms(held: np.ndarray, positive: np.ndarray, examples: int, labelled: float) -> np.ndarray:
+    """Numbers of the terms whose presence moves the rate of the label beyond chance; held and positive count examples with each term."""
     if not 0 < labelled < examples:
         return np.zeros(0, np.int64)
     tried = np.flatnonzero(held >= SUPPORT)
@@ -238,8 +239,7 @@ def telling_terms(held: np.ndarray, positive: np.ndarray, examples: int, labelle
         return np.where(x > 0, x * np.log(np.where(x > 0, x, 1) / np.where(x > 0, y, 1)), 0.0)
 
     ratio = 2 * (part(a, m * p / e) + part(m - a, m * (e - p) / e) + part(p - a, (e - m) * p / e) + part(e - m - p + a, (e - m) * (e - p) / e))
-    passed = (ratio >= 2 * math.log(max(len(tried), 1) / ALPHA)) & (a * e > m * p)
-    return np.sort(tried[passed][np.argsort(-ratio[passed], kind="stable")][:most_terms])
+    return tried[ratio >= 2 * math.log(max(len(tried), 1) / ALPHA)]
 
 
 def frequencies(plain: DataFrame, vocabulary: np.ndarray) -> np.ndarray:
@@ -260,7 +260,7 @@ def frequencies(plain: DataFrame, vocabulary: np.ndarray) -> np.ndarray:
     return out
 
 
-def fit(docs: DataFrame, labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "label", most_examples: int = MOST_EXAMPLES, most_terms: int = MOST_TERMS, k: int = NEIGHBOURS) -> Model:
+def fit(docs: DataFrame, labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "label", most_examples: int = MOST_EXAMPLES, k: int = NEIGHBOURS) -> Model:
     """Fit on the documents that `labelled` (id, label 0 or 1) names; frequencies come from all of docs."""
     wanted = (
         labelled.select(F.col(id_col).cast("long").alias("__id"), F.col(label_col).cast("int").alias("__label")).dropna()
@@ -284,13 +284,16 @@ def fit(docs: DataFrame, labelled: DataFrame, id_col: str = "doc_id", text_col:
     lengths = np.concatenate([np.zeros(0, np.int64), *(c.value_lengths().to_numpy() for c in rows["terms"].chunks)]).astype(np.int64)
     del rows
     idf = np.log((1 + n) / (1 + frequencies(plain, vocabulary))) + 1 if len(vocabulary) else np.zeros(0)
-    telling = telling_terms(np.bincount(t, minlength=len(vocabulary)), np.bincount(t, np.repeat(label, lengths), len(vocabulary)), len(ids), label.sum(), most_terms)
+    telling = telling_terms(np.bincount(t, minlength=len(vocabulary)), np.bincount(t, np.repeat(label, lengths), len(vocabulary)), len(ids), label.sum())
     ends = np.cumsum(lengths)
     return Model(vocabulary, idf, telling, ids, label, [(t[e - m : e], times[e - m : e]) for e, m in zip(ends.tolist(), lengths.tolist(), strict=True)], k)
 
 
 def scored(df: DataFrame, model: Model, text_col: str = "text", prefix: str = "") -> DataFrame:
     """df with columns score, evidence (ids of the nearest examples) and cosines, named with the prefix. Only the text is read."""
+    own = {c.lower() for c in df.columns}
+    while own & {(prefix + c).lower() for c in ("score", "evidence", "cosines")}:
+        prefix = f"_{prefix}"
     sent = df.sparkSession.sparkContext.broadcast({k: vars(v) if isinstance(v, BlockMax) else v for k, v in vars(model).items()})
 
     @F.pandas_udf("score double, evidence array<long>, cosines array<double>")
@@ -305,7 +308,7 @@ def scored(df: DataFrame, model: Model, text_col: str = "text", prefix: str = ""
         for texts in parts:
             yield pd.DataFrame([r for at in range(0, len(texts), SLICE) for r in m.score_all(texts[at : at + SLICE], numbers)], columns=["score", "evidence", "cosines"])
 
-    got = f"__{prefix}scored"
+    got = f"__{uuid.uuid4().hex}"
     out = df.withColumn(got, run(clean_text(text_col)))
     for c in ("score", "evidence", "cosines"):
         out = out.withColumn(prefix + c, F.col(got)[c])

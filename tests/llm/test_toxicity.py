@@ -62,7 +62,9 @@ def test_edges(spark):
     df = spark.createDataFrame(docs, "doc_id long, text string").selectExpr("*", "1 score", "'x' label")
     labelled = spark.createDataFrame([(i, int(i % 3 == 0)) for i in range(60)] + [(None, 1), (5, None), (6, 0), (999, 1)], "doc_id long, label int")
     model = tox.fit(df, labelled)
-    got = tox.scored(df.drop("score"), model).select("doc_id", "score", "evidence").collect()
+    told = tox.scored(df, model)
+    assert told.columns == [*df.columns, "_score", "_evidence", "_cosines"] and {r.score for r in told.collect()} == {1}
+    got = told.selectExpr("doc_id", "_score score", "_evidence evidence").collect()
     by = {r.doc_id: r.score for r in got}
     assert len(got) == len(docs) and by[None] > 0.5 and by[103] > 0.5 and by[3] > 0.5
     assert by[100] == by[101] == by[102] < 0.5 and by[1] < 0.5
@@ -91,4 +93,5 @@ def test_every_text_is_searched_with_its_whole_vector(spark, sf):
     for d, r in got.items():
         want = sorted((sum(x * units[e].get(w, 0.0) for w, x in units[d].items()) for e in examples), reverse=True)[:5]
         assert np.allclose(r.cosines, [c for c in want if c > 1e-12], atol=1e-9), d
+    assert sum(bool(r.evidence) for r in got.values()) > 0.95 * sum(bool(t) for t in text.values())
     assert len({r.score for r in got.values()}) > 1 and all(r.evidence for d, r in got.items() if units[d])
