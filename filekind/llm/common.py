@@ -2,8 +2,13 @@
 
 from __future__ import annotations
 
+import atexit
+import contextlib
+import re
+import shutil
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -14,11 +19,17 @@ WORD = r"[^\x20\x09-\x0D]+"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; a temporary one is set only where the session names none."""
+    """The folder of spark.checkpoint.dir. A session that names none gets a temporary one if it runs on this machine alone, else an error."""
     sc = spark.sparkContext
     if (named := sc.getConf().get("spark.checkpoint.dir")) is None:
         current = sc._jsc.sc().getCheckpointDir()
-        named = current.get() if current.isDefined() else tempfile.mkdtemp(prefix="filekind-")
+        if current.isDefined():
+            named = current.get()
+        elif re.match(r"local(\[|$)", sc.master):
+            named = tempfile.mkdtemp(prefix="filekind-")
+            atexit.register(shutil.rmtree, named, ignore_errors=True)
+        else:
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     if not sc._jsc.sc().getCheckpointDir().isDefined():
         sc.setCheckpointDir(named)
     return named
@@ -28,22 +39,49 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Paths of the stashes that stand, in the order of their writing.
+_STANDING: list[str] = []
+
+
 def stash(df: DataFrame) -> DataFrame:
     """Write df as Parquet into the shared folder and read it back: a cut of the lineage that any executor can read again."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/stash-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _STANDING.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def _remove(spark: SparkSession, place: str) -> None:
+    path = spark._jvm.org.apache.hadoop.fs.Path(place)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def discard(df: DataFrame) -> None:
     """Remove a stash that no later plan reads."""
-    spark = df.sparkSession
-    jvm, conf = spark._jvm, spark.sparkContext._jsc.hadoopConfiguration()
     for place in {f.rpartition("/")[0] for f in df.inputFiles()}:
         if "/stash-" in place:
-            path = jvm.org.apache.hadoop.fs.Path(place)
-            path.getFileSystem(conf).delete(path, True)
+            _remove(df.sparkSession, place)
+            _STANDING[:] = [p for p in _STANDING if p.rpartition("/")[2] != place.rpartition("/")[2]]
+
+
+def stash_alone(make: Callable[[], DataFrame]) -> DataFrame:
+    """stash(make()), after which the stashes that make() wrote on its way are removed."""
+    first = len(_STANDING)
+    out = stash(make())
+    for path in _STANDING[first:-1]:
+        _remove(out.sparkSession, path)
+    del _STANDING[first:-1]
+    return out
+
+
+@atexit.register
+def _sweep() -> None:
+    """Remove what still stands when the driver ends in good order."""
+    if _STANDING and (spark := SparkSession.getActiveSession()) is not None:
+        with contextlib.suppress(Exception):  # the session's other half may be gone already
+            for path in _STANDING:
+                _remove(spark, path)
 
 
 def shuffle_width(spark: SparkSession) -> int:
@@ -54,8 +92,28 @@ def clean_text(name: str = "text") -> Column:
     return F.coalesce(F.col(name), F.lit(""))
 
 
-#: Rows of about a hundred bytes up to which a counted table is broadcast.
-BROADCAST_ROWS = 200_000
+#: Rows of numbers and short names up to which a counted table is broadcast, and measured bytes up to which any table is.
+BROADCAST_ROWS, BROADCAST_BYTES = 200_000, 32 << 20
+#: What a row and a value take in a hashed table besides their characters.
+ROW_BYTES, VALUE_BYTES = 64, 16
+
+
+def measured(df: DataFrame) -> int:
+    """Bytes that a (stashed) table takes when it is broadcast, about: one aggregate over it. Strings and arrays of strings count in full."""
+    size = F.lit(ROW_BYTES + VALUE_BYTES * len(df.columns)).cast("long")
+    for c, kind in df.dtypes:
+        if kind in ("string", "binary"):
+            size = size + F.coalesce(F.octet_length(c), F.lit(0))
+        elif kind == "array<string>":
+            size = size + F.coalesce(F.aggregate(c, F.lit(0).cast("long"), lambda n, x: n + VALUE_BYTES + F.octet_length(x)), F.lit(0))
+        elif kind.startswith("array"):
+            size = size + F.coalesce(F.size(c), F.lit(0)) * VALUE_BYTES
+    return df.agg(F.coalesce(F.sum(size), F.lit(0))).first()[0]
+
+
+def offered(df: DataFrame, limit: int = BROADCAST_BYTES) -> DataFrame:
+    """A stashed table for a join: broadcast where its measured bytes are within the limit, else left to a shuffle."""
+    return F.broadcast(df) if measured(df) <= limit else df
 
 
 def sized(df: DataFrame, rows: int) -> DataFrame:
