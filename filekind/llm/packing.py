@@ -1,14 +1,14 @@
 """Best-fit packing into sequences of several permitted lengths.
 
 Documents longer than the longest sequence are cut into pieces of that length and a rest. Pieces are dealt to packing groups of
-bounded size by a hash of their document. Within a group pieces go, longest first, into the fullest open bin that takes
+bounded size by a hash of their document and, among equal pieces, of their number. Within a group pieces go, longest first, into the fullest open bin that takes
 them. When none does, a new bin opens; its length is the permitted one with the least cost for the tokens it can
 hold, among those that the plan under trial allows. Every group tries each plan (a least length for new bins), shrinks each bin to the smallest permitted
 length that holds its contents, and keeps the plan of least total cost. A bin costs a fixed overhead, its length, and the square of
 its length for attention.
 
-Defined cases: a null or empty text has no tokens and gets one row without a bin (piece 0, length 0); null ids share their hash,
-rows that repeat an id are packed separately, and ties go by id and piece; an empty table gives an empty result; further columns are left alone.
+Defined cases: a null or empty text has no tokens and gets one row without a bin (piece 0, length 0); null ids and
+rows that repeat an id are packed separately and dealt to many groups, and ties go by id and piece; an empty table gives an empty result; further columns are left alone.
 """
 
 from __future__ import annotations
@@ -106,9 +106,11 @@ def pack(df: DataFrame, lengths: tuple[int, ...] = LENGTHS, group: int = GROUP,
     """One row for each piece: doc_id, piece, start, length, bin (group:number), bin_length, offset."""
     lengths = tuple(sorted(lengths))
     tokens = F.regexp_count(clean_text(text_col), F.lit(WORD)) if tokens is None else tokens
-    cut = stash(pieces(df, tokens, lengths[-1], id_col))
-    groups = max(1, -(-cut.count() // group))
-    dealt = cut.withColumn("grp", F.pmod(F.xxhash64("doc_id", "piece", "length"), F.lit(groups)).cast("long"))
+    # Equal pieces (of rows that repeat an id) are counted first and get numbers, so that their hashes differ.
+    cut = stash(pieces(df, tokens, lengths[-1], id_col).groupBy("doc_id", "piece", "start", "length").agg(F.count("*").alias("copies")))
+    groups = max(1, -(-cut.agg(F.coalesce(F.sum("copies"), F.lit(0))).first()[0] // group))
+    each = cut.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), "copies")))
+    dealt = each.withColumn("grp", F.pmod(F.xxhash64("doc_id", "piece", "length", "copy"), F.lit(groups)).cast("long"))
 
     def run(x: pd.DataFrame) -> pd.DataFrame:
         x = x.sort_values(["doc_id", "piece", "length"], kind="stable").reset_index(drop=True)

@@ -1,5 +1,5 @@
 import random
-from collections import defaultdict
+from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
@@ -70,3 +70,41 @@ def test_edges(spark):
     check(got, {1: 0, 2: 0, 3: 2, None: 2, 4: 25, 5: 8}, (4, 8))
     assert sorted(r.length for r in got if r.doc_id == 4) == [1, 8, 8, 8] and [r.bin for r in got if r.doc_id in (1, 2)] == [None, None]
     assert packing.pack(df.limit(0)).count() == 0
+
+
+def test_repeated_rows_are_dealt_to_many_groups(spark):
+    df = spark.createDataFrame([(None, "a b c")] * 3000 + [(7, "d e f")] * 3000, "doc_id long, text string")
+    got = packing.pack(df, lengths=(4, 8), group=200).collect()
+    groups = Counter(r.bin.split(":")[0] for r in got)
+    assert len(got) == 6000 and len(groups) == 30 and max(groups.values()) < 400
+    assert len({(r.bin, r.offset) for r in got}) == 6000 and all(r.length == 3 for r in got)
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_plan_of_a_group_is_the_cheapest_of_all(seed):
+    """Every plan by the plain scan: new bins of the least length or more, or of the lengths up to one as far as pieces fit."""
+    rng = random.Random(seed)
+    lengths = (8, 16, 32)
+    sizes = np.array([rng.choice((rng.randint(1, 32), rng.randint(1, 6))) for _ in range(120)])
+    down = sorted(sizes.tolist(), reverse=True)
+
+    def total(allowed, least):
+        bins = []
+        for s in down:
+            free = [(b[0] - b[1], -i) for i, b in enumerate(bins) if b[0] - b[1] >= s]
+            if free:
+                bins[-min(free)[1]][1] += s
+            else:
+                bins.append([min((n for n in allowed if n >= max(s, least)), key=lambda n: (packing.cost(n) / n, n)), s])
+        return sum(packing.cost(min(n for n in lengths if n >= used)) for _, used in bins)
+
+    tried = [total(lengths, n) for n in lengths]
+    for top in lengths[:-1]:
+        allowed = [n for n in lengths if n <= top or n >= min(x for x in lengths if x >= down[0]) and n > top]
+        tried.append(total(allowed, lengths[0]))
+    bins, offsets, final = packing.pack_group(sizes, lengths)
+    assert abs(sum(map(packing.cost, final)) - min(tried)) < 1e-9
+    used = Counter()
+    for b, n in zip(bins, sizes.tolist()):
+        used[b] += n
+    assert all(used[b] <= n for b, n in enumerate(final))
