@@ -5,8 +5,8 @@ string: header, document ids, document lengths, an index of word offsets with on
 The top four bits of a word select how many ids it packs and in how many bits; blocks start at a word of their own, so blocks are packed and read as arrays.
 An id of 60 bits or more is written as an escape word followed by the id itself.
 
-Segments are rows of a Parquet table in the shared folder, so that Spark's commit protocol covers lost executors and any
-store that Spark writes serves; `export_segments` puts them into plain files where a mounted folder is wanted.
+Each segment is a file of the shared folder, in whatever store pyarrow opens by its URI. A file is written under a name of its own and moved into place; a task that
+runs again writes the same bytes again, and readers go by the list of files, which Spark commits, so lost executors leave nothing that counts.
 
 Defined cases: a null or empty text holds the end id alone; null ids come first; rows that repeat an id keep
 their own entries, ordered by the hash of the text; an empty table gives no segments; further columns are left alone.
@@ -15,8 +15,10 @@ their own entries, ordered by the hash of the text; an empty table gives no segm
 from __future__ import annotations
 
 import struct
+import uuid
 import zlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -24,7 +26,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import clean_text, shuffle_width, stash, table
+from .common import clean_text, shared_dir, shuffle_width, stash, table
 
 MAGIC, VERSION = b"FKS8", 1
 BLOCK = 128
@@ -149,19 +151,14 @@ def read_segment(data: bytes) -> tuple[list[int | None], np.ndarray, np.ndarray]
 class Words:
     """Ids of texts, encoding each distinct white-space-separated piece once.
 
-    The tokenizer of the contract drops white space and never joins pieces across it, so the ids of a text are
-    those of its pieces one after another. Distinct pieces of plain Latin letters, digits and ASCII signs go to the library as long strings of
-    pieces; as the number of pre-tokens in such a piece is certain, and an id that ends a pre-token shows it, the
-    ids are dealt back to the pieces. All others are encoded one by one.
+    The tokenizer of the contract treats white space as a gap that no token, letter composition or special token crosses, so the ids of a
+    text are those of its pieces one after another. Every piece goes to the library as it is, by itself; ids of pieces seen before are kept.
     """
 
-    #: Pre-tokens of the vocabulary's splitting pattern, for pieces of these characters.
-    PLAIN = "^[!-~\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f]+$"
-    PIECES = "'s|'t|'re|'ve|'m|'ll|'d|[a-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f]+|[0-9]|[^a-z0-9\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f]+"
-    WORD = "^[a-zA-Z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f]+$"
-    #: A letter, signs that form one pre-token after it, and the end of the piece.
-    SIGNS = "([a-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f])([.,;:!?*%$#&]+)(\\s|$)"
-    TOGETHER = 2000
+    #: A letter, signs that are one pre-token after it, and the end of the piece: parting them by a space changes no id and leaves fewer distinct pieces.
+    SIGNS = "([a-zA-Z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff])([.,;:!?*%$#&]+)(\\s|$)"
+    #: Where letters must keep their case: special tokens are told by it, and a small letter may be composed with a mark that a capital is not.
+    CASED = "<\\||[\u0300-\u036f]"
 
     def __init__(self, path: str):
         import os
@@ -169,52 +166,26 @@ class Words:
         os.environ["RAYON_NUM_THREADS"] = "1"  # tasks already use every core
         from tokenizers import Tokenizer
 
-        self.words, self.values, self.start, self.size = pa.array([], pa.string()), np.zeros(0, np.uint32), np.zeros(0, np.int64), np.zeros(0, np.int64)
         self.tokenizer = Tokenizer.from_file(path)
-        self.ends = np.zeros(self.tokenizer.get_vocab_size(), bool)
-        for token, i in self.tokenizer.get_vocab().items():
-            self.ends[i] = token.endswith("</w>")
+        self.words, self.values, self.start, self.size = pa.array([], pa.string()), np.zeros(0, np.uint32), np.zeros(0, np.int64), np.zeros(0, np.int64)
 
     @classmethod
     def of(cls, path: str) -> Words:
         """The one of this worker process: its tasks share the loaded vocabulary and the ids of the first MOST_WORDS distinct words."""
-        import sys
-        import types
-
-        held = vars(sys.modules.setdefault("_filekind_words", types.ModuleType("_filekind_words")))
-        if path not in held:
-            held[path] = cls(path)
-        return held[path]
+        if path not in _WORDS:
+            _WORDS[path] = cls(path)
+        return _WORDS[path]
 
     def distinct(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        """(ids of the words one after another, the number of ids of each)."""
-        plain = pc.and_(pc.match_substring_regex(words, self.PLAIN), pc.invert(pc.match_substring(words, "<|"))).to_numpy(zero_copy_only=False)
-        size = np.zeros(len(words), np.int64)
-        at, rest = np.flatnonzero(plain), np.flatnonzero(~plain)
-        easy = words.take(pa.array(at))
-        texts = easy.to_pylist()
-        found = self.tokenizer.encode_batch_fast([" ".join(texts[i : i + self.TOGETHER]) for i in range(0, len(texts), self.TOGETHER)], add_special_tokens=False)
-        ids = np.concatenate([np.array(e.ids, np.uint32) for e in found]) if found else np.zeros(0, np.uint32)
-        parts = np.ones(len(easy), np.int64)  # of letters alone: one pre-token
-        if len(more := np.flatnonzero(~pc.match_substring_regex(easy, self.WORD).to_numpy(zero_copy_only=False))):
-            parts[more] = pc.count_substring_regex(pc.utf8_lower(easy.take(pa.array(more))), self.PIECES).to_numpy(zero_copy_only=False)
-        last = np.cumsum(parts)
-        stops = np.flatnonzero(self.ends[ids]) + 1
-        if len(stops) != (last[-1] if len(last) else 0):
-            raise RuntimeError("pre-tokens do not add up")
-        size[at] = np.diff(stops[last - 1], prepend=0)
-        odd = [e.ids for e in self.tokenizer.encode_batch_fast(words.take(pa.array(rest)).to_pylist(), add_special_tokens=False)]
-        size[rest] = np.fromiter(map(len, odd), np.int64, len(odd))
-        values = np.empty(int(size.sum()), np.uint32)
-        mine = np.repeat(plain, size)
-        values[mine] = ids
-        values[~mine] = np.fromiter((i for e in odd for i in e), np.uint32, int(size[rest].sum()))
-        return values, size
+        """(ids of the words one after another, the number of ids of each), each word encoded by the library."""
+        found = [e.ids for e in self.tokenizer.encode_batch_fast(words.to_pylist(), add_special_tokens=False)]
+        size = np.fromiter(map(len, found), np.int64, len(found))
+        return np.fromiter(chain.from_iterable(found), np.uint32, int(size.sum())), size
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts in order, the number of ids of each)."""
-        apart = pc.replace_substring_regex(pc.ascii_lower(texts), self.SIGNS, r"\1 \2\3")  # both change no id, and leave fewer distinct pieces
-        pieces = pc.ascii_split_whitespace(apart)
+        texts = pc.if_else(pc.match_substring_regex(texts, self.CASED), texts, pc.ascii_lower(texts))
+        pieces = pc.ascii_split_whitespace(pc.replace_substring_regex(texts, self.SIGNS, r"\1 \2\3"))
         coded = pieces.flatten().dictionary_encode()
         at = pc.index_in(coded.dictionary, value_set=self.words)
         new = np.flatnonzero(at.is_null().to_numpy(zero_copy_only=False))
@@ -237,6 +208,10 @@ class Words:
         return values[source], np.diff(bounds)
 
 
+#: The Words of this worker process by path of the vocabulary.
+_WORDS: dict[str, Words] = {}
+
+
 def with_end(ids: np.ndarray, lengths: np.ndarray, end_id: int) -> tuple[np.ndarray, np.ndarray]:
     out = np.empty(len(ids) + len(lengths), np.uint32)
     stops = np.cumsum(lengths + 1) - 1
@@ -247,8 +222,30 @@ def with_end(ids: np.ndarray, lengths: np.ndarray, end_id: int) -> tuple[np.ndar
     return out, lengths + 1
 
 
-def write_segments(df: DataFrame, vocabulary: str, end_id: int = END_ID, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Tokenise, pack and write; the table of segments as read back: part, seq, n_docs, n_tokens, payload."""
+def put_file(folder: str, name: str, data: bytes) -> None:
+    """Write a file of the shared folder (a URI or path) under a name of its own and move it into place, so that no reader sees a part of it."""
+    from pyarrow import fs
+
+    store, path = fs.FileSystem.from_uri(folder)
+    with store.open_output_stream(under_way := f"{path}/_{name}-{uuid.uuid4().hex}") as f:
+        f.write(data)
+    store.move(under_way, f"{path}/{name}")
+
+
+def get_file(folder: str, name: str) -> bytes:
+    from pyarrow import fs
+
+    store, path = fs.FileSystem.from_uri(folder)
+    with store.open_input_file(f"{path}/{name}") as f:
+        return f.read()
+
+
+def write_segments(df: DataFrame, vocabulary: str, folder: str, end_id: int = END_ID, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Tokenise, pack, and write a file for each segment into the folder; the (written) list of files: part, seq, file, bytes, n_docs, n_tokens."""
+    from pyarrow import fs
+
+    store, place = fs.FileSystem.from_uri(folder)
+    store.create_dir(place, recursive=True)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -259,7 +256,8 @@ def write_segments(df: DataFrame, vocabulary: str, end_id: int = END_ID, id_col:
         def flush() -> pa.RecordBatch:
             nonlocal seq, docs, sizes, held, total
             data = segment_bytes(docs, np.concatenate(sizes), np.concatenate(held))
-            row = pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([seq], pa.int32()), pa.array([len(docs)], pa.int64()), pa.array([total], pa.int64()), pa.array([data], pa.binary())], ["part", "seq", "n_docs", "n_tokens", "payload"])
+            put_file(folder, name := f"{part:06d}-{seq:06d}.s8b", data)
+            row = pa.RecordBatch.from_pylist([{"part": part, "seq": seq, "file": name, "bytes": len(data), "n_docs": len(docs), "n_tokens": total}], LISTED)
             seq, docs, sizes, held, total = seq + 1, [], [], [], 0
             return row
 
@@ -280,22 +278,24 @@ def write_segments(df: DataFrame, vocabulary: str, end_id: int = END_ID, id_col:
             yield flush()
 
     spark = df.sparkSession
-    ordered = df.select(F.col(id_col).cast("long").alias("doc_id"), clean_text(text_col).alias("text")).repartitionByRange(shuffle_width(spark), "doc_id").sortWithinPartitions("doc_id", F.xxhash64("text"))
-    return stash(ordered.mapInArrow(run, "part int, seq int, n_docs long, n_tokens long, payload binary"))
+    ordered = df.select(F.col(id_col).cast("long").alias("doc_id"), clean_text(text_col).alias("text")).repartitionByRange(shuffle_width(spark), "doc_id", F.xxhash64("text")).sortWithinPartitions("doc_id", F.xxhash64("text"))
+    return stash(ordered.mapInArrow(run, "part int, seq int, file string, bytes long, n_docs long, n_tokens long"))
+
+
+LISTED = pa.schema([("part", pa.int32()), ("seq", pa.int32()), ("file", pa.string()), ("bytes", pa.int64()), ("n_docs", pa.int64()), ("n_tokens", pa.int64())])
 
 
-def read_documents(segments: DataFrame) -> DataFrame:
-    """(doc_id, start, n_tokens, ids_crc32) of every document, from the segments."""
-    sizes = segments.select("part", "seq", "n_tokens")
-    parts = sizes.groupBy("part").agg(F.sum("n_tokens").alias("ids"))  # as many rows as range partitions
+def read_documents(segments: DataFrame, folder: str) -> DataFrame:
+    """(doc_id, start, n_tokens, ids_crc32) of every document, from the files of the folder that `segments` lists."""
+    parts = segments.groupBy("part").agg(F.sum("n_tokens").alias("ids"))  # as many rows as range partitions
     base = parts.select("part", F.coalesce(F.sum("ids").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
     inside = F.coalesce(F.sum("n_tokens").over(Window.partitionBy("part").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    starts = sizes.withColumn("inside", inside).join(F.broadcast(base), "part").select("part", "seq", (F.col("base") + F.col("inside")).alias("start"))
+    starts = segments.select("part", "file", inside.alias("inside")).join(F.broadcast(base), "part").select("file", (F.col("base") + F.col("inside")).alias("start"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for start, payload in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                docs, lengths, ids = read_segment(payload.as_buffer().to_pybytes())
+            for name, start in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                docs, lengths, ids = read_segment(get_file(folder, name))
                 ends = np.cumsum(lengths.astype(np.int64))
                 data = memoryview(ids.astype("<u4").tobytes())
                 crcs = [zlib.crc32(data[4 * (e - n) : 4 * e]) for e, n in zip(ends.tolist(), lengths.tolist(), strict=True)]
@@ -303,28 +303,12 @@ def read_documents(segments: DataFrame) -> DataFrame:
                     [pa.array(docs, pa.int64()), pa.array(start + ends - lengths, pa.int64()), pa.array(lengths, pa.int64()), pa.array(crcs, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"],
                 )
 
-    return segments.select("part", "seq", "payload").join(starts, ["part", "seq"]).select("start", "payload").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
-
-
-def export_segments(segments: DataFrame, folder: str) -> DataFrame:
-    """Write each segment to a file of its own in a folder that all executors mount; (part, seq, file, bytes)."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import os
-
-        for batch in batches:
-            rows = batch.to_pylist()
-            for r in rows:
-                r["file"] = f"{folder}/{r['part']:06d}-{r['seq']:06d}.s8b"
-                with open(tmp := f"{r['file']}.{os.getpid()}", "wb") as f:
-                    f.write(r["payload"])
-                os.replace(tmp, r["file"])
-            yield pa.RecordBatch.from_pylist([{"part": r["part"], "seq": r["seq"], "file": r["file"], "bytes": len(r["payload"])} for r in rows], pa.schema([("part", pa.int32()), ("seq", pa.int32()), ("file", pa.string()), ("bytes", pa.int64())]))
-
-    return segments.mapInArrow(run, "part int, seq int, file string, bytes long")
+    # Only names and offsets move; each task reads its files where they are.
+    return starts.repartition(shuffle_width(segments.sparkSession), "file").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def op8_simple8b_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
-    return read_documents(write_segments(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json")))
+    folder = f"{shared_dir(spark)}/segments-{uuid.uuid4().hex}"
+    return read_documents(write_segments(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), folder), folder)

@@ -3,6 +3,7 @@ import zlib
 
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
 from tokenizers import Tokenizer
 
 from filekind.llm import token_binary as tb
@@ -41,11 +42,31 @@ def test_edges(spark, tmp_path):
     rows = [(7, "Don't STOP we're 12 <|endoftext|> ok"), (3, None), (5, ""), (-2, " \t"), (9, "x" * 30_000), (8, "é café  ΣΑΣ \x85 end"), (11, "中文 字　字")]
     df = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("*", "'clash' payload", "1 part")
     path = public_tokenizers.path("word_bpe_49k.json")
-    segments = tb.write_segments(df, path)
-    assert sorted(map(tuple, tb.read_documents(segments).collect())) == want(sorted(rows))
-    files = tb.export_segments(segments, str(tmp_path)).collect()
-    back = {d: i for f in files for d, i in zip(*(lambda x: (x[0], np.split(x[2], np.cumsum(x[1])[:-1])))(tb.read_segment(open(f.file, "rb").read())))}
+    folder = f"file://{tmp_path}/a"
+    segments = tb.write_segments(df, path, folder)
+    assert sorted(map(tuple, tb.read_documents(segments, folder).collect())) == want(sorted(rows))
+    names = {r.file for r in segments.collect()}
+    assert names == {f.name for f in (tmp_path / "a").iterdir()}
+    back = {d: i for f in names for d, i in zip(*(lambda x: (x[0], np.split(x[2], np.cumsum(x[1])[:-1])))(tb.read_segment((tmp_path / "a" / f).read_bytes())))}
     assert sorted(back) == sorted(d for d, _ in rows) and back[5].tolist() == [2]
-    assert tb.read_documents(tb.write_segments(df.limit(0), path)).count() == 0
+    assert tb.read_documents(tb.write_segments(df.limit(0), path, f"{folder}b"), f"{folder}b").count() == 0
     nulls = spark.createDataFrame([(None, "b"), (1, "a"), (1, "a")], "doc_id long, text string")
-    assert [r.doc_id for r in tb.read_documents(tb.write_segments(nulls, path)).orderBy("start").collect()] == [None, 1, 1]
+    assert [r.doc_id for r in tb.read_documents(tb.write_segments(nulls, path, f"{folder}c"), f"{folder}c").orderBy("start").collect()] == [None, 1, 1]
+
+
+def test_ids_are_the_librarys_for_any_text(monkeypatch):
+    rng = random.Random(5)
+    path = public_tokenizers.path("word_bpe_49k.json")
+    library, words = Tokenizer.from_file(path), tb.Words(path)
+    parts = [
+        "a", "B", "z", "don't", "'S", "'", "1", "23", ",", ".", "!!", "#", "_", "-", " ", "  ", "\t", "\n", "\x0b", "\x0c", "\x1c", "\x85", "\u00a0", "\u2028", "\u3000", "<|", "|>", "<|endoftext|>", "<|ENDOFTEXT|>", "<|StartOfText|>",
+        "<|startoftext|>", "endoftext", "é", "É", "ß", "ÿ", "Ÿ", "Œ", "İ", "ı", "Ⱥ", "Ⱦ", "ⱥ", "Σ", "ς", "Å", "K", "\u0301", "\u0331", "\u030c", "H\u0331", "J\u030c", "T\u0308", "ǰ", "ẖ", "中", "文", "가", "ᄀ", "ᅡ", "ﬁ", "٣", "²", "½", "😀", "\u200d", "\u200b", "\x00", "\x1a", "&amp;", "$", "%",
+    ]
+    texts = ["".join(rng.choice(parts) for _ in range(rng.randint(0, 12))) for _ in range(12_000)] + ["aȺ1", "_Ⱦ'.Z", "<|ENDOFTEXT|>", "H\u0331."]
+    for most in (400_000, 50):
+        monkeypatch.setattr(tb, "MOST_WORDS", most)
+        for at in range(0, len(texts), 1500):
+            some = texts[at : at + 1500]
+            ids, lengths = words.encode(pa.array(some, pa.string()))
+            for t, got in zip(some, np.split(ids, np.cumsum(lengths)[:-1]), strict=True):
+                assert got.tolist() == library.encode(t, add_special_tokens=False).ids, t
