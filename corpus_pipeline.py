@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from filekind.llm import exact_dedup, mixing, packing, simhash, similar, toxicity
-from filekind.llm.common import stash, table
+from filekind.llm.common import discard, stash_alone, table
 
 #: The pipeline's mix never repeats a document.
 MIX = {"share": 0.6, "epochs": 1}
@@ -57,7 +57,9 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The rows of the last stage. What a stage wrote on its way goes once its result is written, and that once the next one's is."""
     docs = table(spark, sf_dir, "documents")
     for _, stage in STAGES:
-        docs = stash(stage(spark, docs, sf_dir))
+        before, docs = docs, stash_alone(lambda docs=docs, stage=stage: stage(spark, docs, sf_dir))
+        discard(before)
     return docs
