@@ -18,11 +18,13 @@ PRINTABLE = r"[\x20-\x7e\t\n\r]"
 
 
 def to_ascii(text: Column, unit: str = "codepoint") -> Column:
-    """Map what is not ASCII to the sentinel: one for each character, or (unit `byte`) one for each of its UTF-8 bytes."""
+    """Map what is not ASCII to the sentinel: one for each character, or (unit `byte`) one for each of its UTF-8 bytes; unit `none` maps nothing."""
+    if unit == "none":
+        return text
     if unit == "codepoint":
         return F.regexp_replace(text, r"[^\x00-\x7f]", SENTINEL)
     if unit != "byte":
-        raise ValueError(f"unit {unit!r}: codepoint or byte")
+        raise ValueError(f"unit {unit!r}: codepoint, byte or none")
     for span, size in ((r"[\x{80}-\x{7ff}]", 2), (r"[\x{800}-\x{ffff}]", 3), (r"[\x{10000}-\x{10ffff}]", 4)):
         text = F.regexp_replace(text, span, SENTINEL * size)
     return text

@@ -6,6 +6,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..store import keep, offered
 from ..functions.text import extension, tokens_of
 from .features import Space, to_sparse, vectorize_sql
 from .score import Linear
@@ -21,7 +22,7 @@ def by_origin(train: DataFrame, df: DataFrame) -> DataFrame:
     """The most frequent class of the file's origin; equal counts by name."""
     n = train.groupBy("origin", "label").agg(F.count("*").alias("n"))
     best = n.groupBy("origin").agg(F.min(F.struct((-F.col("n")).alias("k"), "label")).alias("b")).select("origin", F.col("b.label").alias("pred"))
-    return df.join(F.broadcast(best), "origin", "left")
+    return df.join(offered(keep(best)), "origin", "left")  # origins may grow with the corpus
 
 
 #: Cues of well-known formats: (pattern of the content, class).

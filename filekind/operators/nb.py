@@ -36,3 +36,18 @@ def fit(df: DataFrame, space: Space, trimmed: bool = True, prior: bool = False)
     theta = (counts + 1) / (counts.sum(axis=0) + space.size)
     bias = np.array([math.log(sizes[c] / sum(sizes.values())) if prior else 0.0 for c in classes])
     return Linear(classes, np.log(theta), bias)
+
+
+#: Tokens that a vector of relative frequencies stands for.
+SCALE = 100
+
+
+def fit_vectors(vectors: DataFrame, space: Space) -> Linear:
+    """The same from vectors (file_id, label, idx, freq), real or made up: each counts as SCALE tokens."""
+    sums = vectors.groupBy("label", "idx").agg((F.sum("freq") * SCALE).alias("n")).collect()  # at most classes x features rows
+    classes = sorted({r.label for r in sums})
+    at = {c: i for i, c in enumerate(classes)}
+    counts = np.zeros((space.size, len(classes)))
+    for r in sums:
+        counts[r.idx, at[r.label]] = r.n
+    return Linear(classes, np.log((counts + 1) / (counts.sum(axis=0) + space.size)), np.zeros(len(classes)))

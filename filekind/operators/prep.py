@@ -8,12 +8,15 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import bucket, extension, nonprintable_ratio
+from ..store import BROADCAST_BYTES, keep, measured, offered
 
 
 def dedup_content(df: DataFrame, key: str = "sha") -> DataFrame:
-    """One row for each content, that of the smallest file id. Only hashes and ids are grouped; contents are fetched by a semi join."""
-    first = df.groupBy(key).agg(F.min("file_id").alias("file_id"))
-    return df.join(first, [key, "file_id"], "left_semi")
+    """One row for each content, that of the smallest file id. Only hashes and ids move: the files that go are found in them, and contents are filtered where they are read."""
+    held = df.select(key, "file_id")
+    first = held.groupBy(key).agg(F.min("file_id").alias("first"))
+    surplus = keep(held.join(first, key).where("file_id <> first").select("file_id"))
+    return df.join(offered(surplus), "file_id", "left_anti")
 
 
 def name_map(df: DataFrame) -> DataFrame:
@@ -81,26 +84,44 @@ class Config:
     unit: str = "codepoint"
 
 
-def steps(df: DataFrame, cfg: Config = Config()) -> list[tuple[str, DataFrame]]:
-    """The corpus after each step, in the order in which shares are defined: copies of one label, rare, binary, ambiguous, copies."""
-    pairs = df.join(df.groupBy("sha", "label").agg(F.min("file_id").alias("file_id")), ["sha", "label", "file_id"], "left_semi")
-    frequent = drop_rare(pairs, cfg.min_freq)
-    textual = keep_textual(frequent, cfg.max_ratio, unit=cfg.unit)
-    clear = drop_ambiguous(textual)
-    return [("raw", df), ("distinct", pairs), ("frequent", frequent), ("textual", textual), ("unambiguous", clear)]
+#: Names of the steps, in the order in which shares are defined.
+STEPS = ("raw", "distinct", "frequent", "textual", "unambiguous")
 
 
-def prepare(df: DataFrame, cfg: Config = Config()) -> DataFrame:
-    return steps(df, cfg)[-1][1]
+def levels(df: DataFrame, cfg: Config = Config()) -> DataFrame:
+    """(file_id, sha, label, level), written: how many steps each file passes. Copies of one label go, then rare classes, binary content, contents of several labels.
+
+    Contents are read once, for their share of non-printables; all steps work on what is left of a file without its content.
+    """
+    odd = F.coalesce(nonprintable_ratio(F.col("content"), cfg.unit), F.lit(0.0)) > cfg.max_ratio
+    facts = keep(df.select("file_id", "sha", "label", odd.alias("odd")))
+    pairs = keep(facts.groupBy("sha", "label").agg(F.min("file_id").alias("first"), F.bool_or("odd").alias("odd")))
+    frequent = frequent_classes(pairs, cfg.min_freq).withColumn("frequent", F.lit(True))  # as many rows as classes
+    flagged = pairs.join(offered(keep(frequent)), "label", "left").withColumns({"frequent": F.coalesce("frequent", F.lit(False)), "fine": ~F.col("odd")})
+    clear = F.count_if(F.col("frequent") & F.col("fine")).over(Window.partitionBy("sha")) == 1  # as many rows as labels of a content
+    level = 1 + F.when(~F.col("frequent"), 0).when(~F.col("fine"), 1).when(~clear, 2).otherwise(3)
+    known = flagged.select("sha", "label", "first", level.alias("level"))
+    return keep(facts.select("file_id", "sha", "label").join(known, ["sha", "label"]).select("file_id", "sha", "label", F.when(F.col("file_id") == F.col("first"), F.col("level")).otherwise(0).alias("level")))
+
+
+def prepare(df: DataFrame, cfg: Config = Config(), limit: int = BROADCAST_BYTES) -> DataFrame:
+    """The files that pass every step. What goes, or else what stays, is broadcast if it is small, so that contents are filtered where they are read."""
+    told = levels(df, cfg)
+    last = len(STEPS) - 1
+    gone, stays = (told.where(test).select("file_id") for test in (F.col("level") < last, F.col("level") == last))
+    if measured(gone) <= limit:
+        return df.join(F.broadcast(gone), "file_id", "left_anti")
+    return df.join(offered(stays, limit), "file_id", "left_semi")
 
 
 def funnel(df: DataFrame, cfg: Config = Config()) -> DataFrame:
-    """(step, name, files, classes): what is left after each step."""
-    out = None
-    for i, (name, rows) in enumerate(steps(df, cfg)):
-        one = rows.agg(F.count("*").alias("files"), F.count_distinct("label").alias("classes")).select(F.lit(i).alias("step"), F.lit(name).alias("name"), "files", "classes")
-        out = one if out is None else out.unionByName(one)
-    return out
+    """(step, name, files, classes): what is left after each step, out of one pass."""
+    counted = levels(df, cfg).groupBy("level", "label").agg(F.count("*").alias("n"))  # as many rows as classes and levels
+    reached = counted.select("label", "n", F.explode(F.sequence(F.lit(0), "level")).alias("step"))
+    sums = reached.groupBy("step").agg(F.sum("n").alias("files"), F.count_distinct("label").alias("classes"))
+    names = df.sparkSession.createDataFrame(list(enumerate(STEPS)), "step int, name string")
+    zero = F.lit(0).cast("long")
+    return names.join(sums, "step", "left").select("step", "name", F.coalesce("files", zero).alias("files"), F.coalesce("classes", zero).alias("classes"))
 
 
 def class_distribution(df: DataFrame) -> DataFrame:

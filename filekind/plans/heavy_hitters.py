@@ -8,6 +8,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..store import keep, offered
+
 
 def summarize(counters: dict[str, int], term: str, times: int, room: int) -> None:
     """Misra-Gries: any term with more than 1 / (room + 1) of all occurrences stays."""
@@ -25,28 +27,56 @@ def summarize(counters: dict[str, int], term: str, times: int, room: int) -> Non
             counters[term] = times - cut
 
 
-def candidates(terms: DataFrame, tau: tuple[int, int]) -> DataFrame:
-    """(label, term): at most den / num + 1 terms for each class and partition, among them every term over the share.
+#: Summaries that are merged at a time.
+FAN = 64
 
-    A term with more than the share of a class has more than the share of the class in some partition.
-    """
-    room = tau[1] // tau[0] + 1
 
+def summaries(terms: DataFrame, room: int) -> DataFrame:
+    """(label, part, term, n): a summary of each class in each partition, and with term null the number of its terms there."""
     def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        from pyspark import TaskContext
+
         held: dict[str, dict[str, int]] = {}
+        totals: dict[str, int] = {}
         for x in parts:
             for (label, term), n in x.groupby(["label", "term"], sort=False).size().items():
                 summarize(held.setdefault(label, {}), term, int(n), room)
-        yield pd.DataFrame([(label, t) for label, c in held.items() for t in c], columns=["label", "term"])
+                totals[label] = totals.get(label, 0) + int(n)
+        part = TaskContext.get().partitionId()
+        rows = [(label, part, t, n) for label, c in held.items() for t, n in c.items()] + [(label, part, None, n) for label, n in totals.items()]
+        yield pd.DataFrame(rows, columns=["label", "part", "term", "n"])
+
+    return terms.select("label", "term").mapInPandas(run, "label string, part long, term string, n long")
 
-    return terms.select("label", "term").mapInPandas(run, "label string, term string").distinct()
+
+def merged(held: DataFrame, room: int, partitions: int) -> DataFrame:
+    """One summary for each class: FAN of them become one in each round, so a task holds at most FAN x room counters, whatever the number of partitions."""
+    def add(x: pd.DataFrame) -> pd.DataFrame:
+        counts = x.groupby("term", dropna=False, as_index=False)["n"].sum()
+        known = counts[counts["term"].notna()]
+        cut = int(known["n"].nlargest(room + 1).iloc[-1]) if len(known) > room else 0
+        kept = known[known["n"] > cut].assign(n=lambda y: y["n"] - cut)
+        out = pd.concat([kept, counts[counts["term"].isna()]])
+        return out.assign(label=x["label"].iloc[0], part=x["part"].iloc[0] // FAN)[["label", "part", "term", "n"]]
+
+    while True:
+        held = held.withColumn("group", F.floor(F.col("part") / FAN)).groupBy("label", "group").applyInPandas(add, "label string, part long, term string, n long")
+        if partitions <= FAN:
+            return held.select("label", "term", "n")
+        partitions = -(-partitions // FAN)
 
 
 def frequent_terms(terms: DataFrame, tau: tuple[int, int]) -> DataFrame:
-    """(label, term, n, total) of the terms over the share; equal to counting everything."""
+    """(label, term, n, total) of the terms over the share; equal to counting everything.
+
+    The terms are read twice: for summaries, which hold every term over the share, and for the exact counts of what they hold.
+    """
     num, den = tau
-    found = candidates(terms, tau)
-    totals = terms.groupBy("label").agg(F.count("*").alias("total"))
-    # Candidates number at most classes x partitions x den / num, whatever the corpus holds.
-    counted = terms.join(F.broadcast(found), ["label", "term"], "left_semi").groupBy("label", "term").agg(F.count("*").alias("n"))
-    return counted.join(F.broadcast(totals), "label").where(F.col("n") * den > F.col("total") * num).select("label", "term", "n", "total")
+    room = den // num + 1
+    parts = keep(summaries(terms, room))
+    width = parts.agg(F.coalesce(F.max("part"), F.lit(0)) + 1).first()[0]
+    held = keep(merged(parts, room, width))
+    found = held.where("term is not null").select("label", "term")  # at most classes x (den / num + 1) rows
+    totals = held.where("term is null").select("label", F.col("n").alias("total"))
+    counted = terms.join(offered(found), ["label", "term"], "left_semi").groupBy("label", "term").agg(F.count("*").alias("n"))
+    return counted.join(offered(totals), "label").where(F.col("n") * den > F.col("total") * num).select("label", "term", "n", "total")

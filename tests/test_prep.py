@@ -28,6 +28,12 @@ def test_steps(small):
     assert {(r.filename, r.label) for r in prep.name_map(small).collect()} == {(f"f{i}.{c}", c) for i, c in enumerate("x x y x x y x rare".split(), 1)}
 
 
+def test_preparation_does_not_depend_on_what_is_broadcast(spark, small):
+    cfg = prep.Config(min_freq=(2, 10))
+    assert ids(prep.prepare(small, cfg, limit=0)) == ids(prep.prepare(small, cfg)) == ["f5", "f6", "f7"]
+    assert [r.files for r in prep.funnel(small.limit(0)).orderBy("step").collect()] == [0] * 5
+
+
 def test_guessed_text(spark):
     df = spark.createDataFrame([(bytearray("é".encode()),), (bytearray(b"\xe9"),)], "b binary")
     assert [r[0] for r in df.select(prep.guessed_text(F.col("b"))).collect()] == ["é", "é"]
@@ -38,14 +44,16 @@ def test_class_sample_filter(spark, sf):
     assert "blob" not in {r.label for r in kept.select("label").distinct().collect()}
 
 
-def test_undersampling_is_exact_and_does_not_depend_on_partitions(spark, sf):
+def test_undersampling_is_exact_and_does_not_depend_on_partitions(spark, sf, monkeypatch):
     t1 = corpus.prose(spark, sf)
     got = balance.undersample(t1)
     sizes = {r.label: r["count"] for r in got.groupBy("label").count().collect()}
     assert set(sizes.values()) == {17}
     assert ids(got) == ids(balance.undersample(t1.repartition(13)))
     assert {r["count"] for r in balance.undersample(t1, per_class=5).groupBy("label").count().collect()} == {5}
-    assert ids(balance.undersample(t1, slack=0.01)) == ids(got)
+    for slices in (1, 7, 1_000_000):
+        monkeypatch.setattr(balance, "SLICES", slices)
+        assert ids(balance.undersample(t1)) == ids(got)
 
 
 def test_oversampling(spark, sf):
@@ -86,6 +94,15 @@ def test_heavy_hitters_equal_full_counts(spark, sf):
     assert sorted(frequent_terms(vocab.terms(toks).repartition(7), (1, 100)).collect()) == sorted(full.collect())
 
 
+def test_summaries_merge_in_rounds(spark, sf, monkeypatch):
+    from filekind.plans import heavy_hitters
+
+    monkeypatch.setattr(heavy_hitters, "FAN", 2)
+    toks = vocab.tokens(corpus.prose(spark, sf))
+    full = vocab.class_term_freq(toks).where("n * 100 > total")
+    assert sorted(frequent_terms(vocab.terms(toks.repartition(9)), (1, 100)).collect()) == sorted(full.collect())
+
+
 def test_summary_never_loses_a_frequent_term():
     import random
 
