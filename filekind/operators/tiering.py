@@ -64,9 +64,9 @@ def fit(vectors: DataFrame, groups: list[list[str]], base, size: int, spec: mlp.
         classes = sorted(x["label"].unique())
         net = mlp.start(size, classes, spec)
         rows = [(np.array(i, np.int64), np.array(f, np.float32)) for i, f in zip(x["indices"], x["freqs"])]
-        y, dense, adam = np.array([classes.index(c) for c in x["label"]]), mlp.dense(rows, size), mlp.Adam(net, spec)
+        y, adam = np.array([classes.index(c) for c in x["label"]]), mlp.Adam(net, spec)
         for epoch in range(spec.epochs):
-            mlp.epoch_pass(net, adam, dense, y, spec, epoch)
+            mlp.epoch_pass(net, adam, rows, y, spec, epoch)
         parts = [p for wb in zip(net.weights, net.biases) for p in wb]
         return pd.DataFrame({"grp": [int(x["grp"].iloc[0])], "classes": [classes], "shapes": [[",".join(map(str, p.shape)) for p in parts]], "data": [[p.astype(np.float32).tobytes() for p in parts]]})
 

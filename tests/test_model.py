@@ -133,6 +133,22 @@ def test_sync_does_not_depend_on_partitions(t1, space):
     net = mlp.start(space.size, ["de", "en", "es", "fr"], SPEC)
     one, four = (mlp.sync_gradient(train.repartition(k), net, space.size) for k in (1, 4))
     assert abs(one[1] - four[1]) < 1e-6 and all(np.allclose(a, b, atol=1e-6) for a, b in zip(one[0], four[0]))
+    spec = mlp.Spec(hidden=SPEC.hidden, dropout=0.5, steps=3)  # batches and masks follow names
+    parts = [[mlp.sync_gradient(train.repartition(k), net, space.size, spec, 2, step) for step in range(3)] for k in (1, 4)]
+    assert sum(n for _, _, n in parts[0]) == train.count()
+    for a, b in zip(*parts):
+        assert a[2] == b[2] and abs(a[1] - b[1]) < 1e-6 and all(np.allclose(x, y, atol=1e-6) for x, y in zip(a[0], b[0]))
+    masks = mlp.masks_of(["f1", "f2"], [4000], spec, 0)[0]
+    assert abs((masks >= 0.5).mean() - 0.5) < 0.03 and (mlp.masks_of(["f2"], [4000], spec, 0)[0][0] == masks[1]).all() and (mlp.masks_of(["f2"], [4000], spec, 1)[0][0] != masks[1]).any()
+
+
+def test_distributed_validation_equals_a_local_one(t1, space):
+    val = vectorize(t1.where("split = 'val'"), space)
+    net = mlp.start(space.size, ["de", "en", "fr"], SPEC)
+    rows, y, _ = mlp.collected(val, net.classes)
+    loss, accuracy, n = mlp.judge_all(net, val.repartition(3))
+    assert n == len(y) and np.allclose((loss, accuracy), mlp.judge(net, rows, y))
+    assert mlp.judge_all(net, val.limit(0))[2] == 0
 
 
 def test_model_store(spark, space, tmp_path):
