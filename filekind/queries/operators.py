@@ -8,12 +8,12 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import extension, ngrams, token_rows, tokens_of, trim
-from ..operators import confusion, metrics, vocab
+from ..operators import confusion, metrics, splits, vocab
 from ..plans.heavy_hitters import frequent_terms
 from ..sources import corpus
 from ..sources.tables import load
 from . import sql
-from .workloads import CORPORA, TEST, _timed, predictions, task
+from .workloads import CORPORA, TEST, _timed, predictions, raw, task
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -86,12 +86,14 @@ def anti_labeled(spark, sf):
     return load(spark, sf, "documents").select("doc_id", "lang").join(load(spark, sf, "labels").select("doc_id"), "doc_id", "left_anti")
 
 
-@query("SELECT a.item_id AS a, b.item_id AS b FROM benchmark a JOIN benchmark b ON a.item_id < b.item_id AND length(a.text) * 10 BETWEEN length(b.text) * 9 AND length(b.text) * 11")
+@query("SELECT a.item_id, count(*) AS near FROM benchmark a JOIN benchmark b ON length(a.text) * 10 BETWEEN length(b.text) * 9 AND length(b.text) * 11 GROUP BY a.item_id")
 def theta_length_pairs(spark, sf):
-    """Pairs of benchmark items of nearly one length; lengths are binned by tenths of their logarithm, so pairs meet by key."""
-    b = load(spark, sf, "benchmark").select("item_id", F.length("text").alias("n"), F.floor(F.log(F.greatest(F.length("text"), F.lit(1))) * 5).alias("bin"))
-    near = b.select(F.col("item_id").alias("b"), F.col("n").alias("m"), F.explode(F.array(F.col("bin") - 1, F.col("bin"), F.col("bin") + 1)).alias("bin"))
-    return b.withColumnRenamed("item_id", "a").join(near, "bin").where((F.col("a") < F.col("b")) & (F.col("n") * 10).between(F.col("m") * 9, F.col("m") * 11)).select("a", "b")
+    """How many benchmark items are nearly as long as each. Lengths are counted first, so the theta join is between different lengths, by bins of their logarithm; it never pairs items."""
+    b = load(spark, sf, "benchmark").select("item_id", F.length("text").alias("n"))
+    sizes = b.groupBy("n").agg(F.count("*").alias("items")).withColumn("bin", F.floor(F.log(F.greatest("n", F.lit(1))) * 5))
+    near = sizes.select(F.col("n").alias("m"), "items", F.explode(F.array(F.col("bin") - 1, F.col("bin"), F.col("bin") + 1)).alias("bin"))
+    met = sizes.select("n", "bin").join(near, "bin").where((F.col("n") * 10).between(F.col("m") * 9, F.col("m") * 11)).groupBy("n").agg(F.sum("items").alias("near"))
+    return b.join(met, "n").select("item_id", "near")
 
 
 _BINS = [(0, 100), (100, 1_000), (1_000, 5_000), (5_000, 10_000_000)]
@@ -134,23 +136,26 @@ def interval_events(spark, sf):
     return met.where(F.expr("ts BETWEEN arrival - INTERVAL '1' HOUR AND arrival + INTERVAL '1' HOUR")).groupBy("doc_id").agg(F.count("*").alias("near"))
 
 
-@query("""SELECT label, o.n AS n_old, w.n AS n_new FROM (SELECT lang AS label, count(*) AS n FROM documents WHERE doc_id % 2 = 0 AND lang <> 'es' GROUP BY lang) o
-FULL JOIN (SELECT lang AS label, count(*) AS n FROM documents WHERE doc_id % 2 = 1 AND lang <> 'fr' GROUP BY lang) w USING (label)""")
+@query("""SELECT label, o.n AS n_old, w.n AS n_new FROM (SELECT lang || (doc_id // 200 % 7) AS label, count(*) AS n FROM documents WHERE doc_id % 2 = 0 GROUP BY 1) o
+FULL JOIN (SELECT lang || (doc_id // 200 % 5) AS label, count(*) AS n FROM documents WHERE doc_id % 2 = 1 GROUP BY 1) w USING (label)""")
 def outer_metrics(spark, sf):
-    """Two tables of class counts side by side."""
-    d = load(spark, sf, "documents").select("doc_id", F.col("lang").alias("label"))
-    old = d.where("doc_id % 2 = 0 AND label <> 'es'").groupBy("label").agg(F.count("*").alias("n_old"))
-    new = d.where("doc_id % 2 = 1 AND label <> 'fr'").groupBy("label").agg(F.count("*").alias("n_new"))
-    return old.join(new, "label", "full_outer")
+    """Two tables of class counts side by side, with classes that either lacks."""
+    d = load(spark, sf, "documents").select("doc_id", "lang")
 
+    def counts(half: int, parts: int, name: str) -> DataFrame:
+        label = F.concat("lang", (F.floor(F.col("doc_id") / 200) % parts).cast("string"))
+        return d.where(F.col("doc_id") % 2 == half).groupBy(label.alias("label")).agg(F.count("*").alias(name))
 
-@query("""SELECT i, j, coalesce(n, 0) AS n FROM (SELECT DISTINCT lang AS i FROM documents) CROSS JOIN (SELECT DISTINCT source AS j FROM documents)
-LEFT JOIN (SELECT lang AS i, source AS j, count(*) AS n FROM documents WHERE n_chars > 5000 GROUP BY ALL) USING (i, j)""")
+    return counts(0, 7, "n_old").join(counts(1, 5, "n_new"), "label", "full_outer")
+
+
+@query("""SELECT i, j, coalesce(n, 0) AS n FROM (SELECT DISTINCT lang AS i FROM documents) CROSS JOIN (SELECT DISTINCT floor(log2(n_chars + 1))::INT AS j FROM documents)
+LEFT JOIN (SELECT lang AS i, floor(log2(n_chars + 1))::INT AS j, count(*) AS n FROM documents GROUP BY ALL) USING (i, j)""")
 def cross_zero_fill(spark, sf):
-    """A dense table of counts: the product of two small sets of names, filled with zeros."""
-    d = load(spark, sf, "documents").select("lang", "source", "n_chars")
-    grid = d.select(F.col("lang").alias("i")).distinct().crossJoin(F.broadcast(d.select(F.col("source").alias("j")).distinct()))
-    n = d.where("n_chars > 5000").groupBy(F.col("lang").alias("i"), F.col("source").alias("j")).agg(F.count("*").alias("n"))
+    """A dense table of counts by language and magnitude: the product of two small sets of names, filled with zeros."""
+    d = load(spark, sf, "documents").select(F.col("lang").alias("i"), F.floor(F.log2(F.col("n_chars") + 1)).cast("int").alias("j"))
+    grid = d.select("i").distinct().crossJoin(F.broadcast(d.select("j").distinct()))  # languages x at most 63 magnitudes
+    n = d.groupBy("i", "j").agg(F.count("*").alias("n"))
     return grid.join(n, ["i", "j"], "left").select("i", "j", F.coalesce("n", F.lit(0)).alias("n"))
 
 
@@ -173,19 +178,19 @@ _SETS = f"SELECT origin, label, count(*) AS files FROM (SELECT origin, label FRO
 
 @query(_SETS + "CUBE (origin, label)")
 def cube_origin_lang(spark, sf):
-    return task(spark, sf, "T2").cube("origin", "label").agg(F.count("*").alias("files"))
+    return raw(spark, sf, "T2").cube("origin", "label").agg(F.count("*").alias("files"))
 
 
 @query(_SETS + "ROLLUP (origin, label)")
 def rollup_origin_lang(spark, sf):
-    return task(spark, sf, "T2").rollup("origin", "label").agg(F.count("*").alias("files"))
+    return raw(spark, sf, "T2").rollup("origin", "label").agg(F.count("*").alias("files"))
 
 
 @query(sql.query([f"c AS ({sql.T2})", f"sp AS (SELECT *, {sql.split()} AS split FROM (SELECT *, {sql.bucket('sha', 42, 100)} AS b FROM c))"],
                  "SELECT split, origin, label, count(*) AS files FROM sp GROUP BY GROUPING SETS ((split, origin), (split, label), ())"))
 def grouping_sets_split(spark, sf):
     s, o, l = F.col("split"), F.col("origin"), F.col("label")
-    return task(spark, sf, "T2").groupingSets([[s, o], [s, l], []], s, o, l).agg(F.count("*").alias("files"))
+    return splits.assign(raw(spark, sf, "T2")).groupingSets([[s, o], [s, l], []], s, o, l).agg(F.count("*").alias("files"))
 
 
 @query(sql.query(TEST, "SELECT label, " + ", ".join(f"count(*) FILTER (pred = '{c}') AS {c}" for c in ("de", "en", "es", "fr")) + " FROM p GROUP BY label"))
@@ -197,18 +202,18 @@ def pivot_confusion(spark, sf):
 @query(f"""SELECT label, n, (rank() OVER o)::INT AS rank, (dense_rank() OVER o)::INT AS dense, (row_number() OVER (ORDER BY n DESC, label))::INT AS number,
 (ntile(4) OVER (ORDER BY n DESC, label))::INT AS quarter, round(percent_rank() OVER o, 6) AS percent FROM (SELECT label, count(*) AS n FROM ({sql.T2}) GROUP BY label) WINDOW o AS (ORDER BY n DESC)""")
 def rank_classes(spark, sf):
-    n = task(spark, sf, "T2").groupBy("label").agg(F.count("*").alias("n"))
+    n = raw(spark, sf, "T2").groupBy("label").agg(F.count("*").alias("n"))
     by, full = Window.orderBy(F.desc("n")), Window.orderBy(F.desc("n"), "label")
     return n.select("label", "n", F.rank().over(by).alias("rank"), F.dense_rank().over(by).alias("dense"), F.row_number().over(full).alias("number"), F.ntile(4).over(full).alias("quarter"), F.round(F.percent_rank().over(by), 6).alias("percent"))
 
 
 @query(f"SELECT label, n, round(sum(n) OVER (ORDER BY n DESC, label ROWS UNBOUNDED PRECEDING) / sum(n) OVER (), 6) AS share FROM (SELECT label, count(*) AS n FROM ({sql.T2}) GROUP BY label)")
 def running_share(spark, sf):
-    n = task(spark, sf, "T2").groupBy("label").agg(F.count("*").alias("n"))
+    n = raw(spark, sf, "T2").groupBy("label").agg(F.count("*").alias("n"))
     return n.select("label", "n", F.round(F.sum("n").over(Window.orderBy(F.desc("n"), "label").rowsBetween(Window.unboundedPreceding, 0)) / F.sum("n").over(Window.partitionBy()), 6).alias("share"))
 
 
-_TIMED = sql.chain(sql.T6, scored="split IN ('val', 'test')")
+_TIMED = sql.chain(sql.P6, scored="split IN ('val', 'test')")
 
 
 @query(sql.query(_TIMED, "SELECT file_id, round(avg((p.label = pred)::INT) OVER (PARTITION BY date_trunc('day', arrival) ORDER BY arrival, file_id ROWS BETWEEN 19 PRECEDING AND CURRENT ROW), 6) AS accuracy FROM p JOIN c USING (file_id)"))

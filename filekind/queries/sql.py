@@ -36,15 +36,28 @@ T2 = "SELECT *, sha1(content) AS sha FROM (" + " UNION ALL ".join((
     _lines("embeddings", "vec_id // 20", "array_to_string(list_transform(embedding, lambda x: round(x::DOUBLE * 1000)::BIGINT), ' ')", "vec_id", "'vec'"),
 )) + ")"
 
-#: T2 without kinds that have less than one file in a hundred.
-T2C = f"SELECT * FROM ({T2}) WHERE label IN (SELECT label FROM ({T2}) GROUP BY label HAVING count(*) * 100 >= (SELECT count(*) FROM ({T2})))"
+def prepared(corpus: str, num: int = 1, den: int = 10_000) -> str:
+    """A corpus without copies, rare classes, binary contents and contents of several labels."""
+    return f"""SELECT * FROM (WITH pc AS ({corpus}), pd AS (SELECT * FROM pc QUALIFY row_number() OVER (PARTITION BY sha, label ORDER BY file_id) = 1),
+pf AS (SELECT * FROM pd WHERE label IN (SELECT label FROM pd GROUP BY label HAVING count(*) * {den} >= (SELECT count(*) FROM pd) * {num})),
+px AS (SELECT * FROM pf WHERE coalesce(length(regexp_replace(content, '[\\x20-\\x7e\\t\\n\\r]', '', 'g')) / nullif(length(content), 0), 0) <= 0.2)
+SELECT * FROM px WHERE sha NOT IN (SELECT sha FROM px GROUP BY sha HAVING count(DISTINCT label) > 1))"""
+
+
+#: The corpora that models learn from. T2C is T2 without kinds that have less than one file in a hundred.
+P1, P3, P6, T2C = prepared(T1), prepared(T3), prepared(T6), prepared(T2, 1, 100)
+#: T6 in two snapshots, each prepared by itself; `old` tells which.
+CUT6 = f"(SELECT (min(epoch_us(arrival)) + max(epoch_us(arrival))) // 2 FROM ({T6}))"
+SNAPSHOTS = " UNION ALL ".join(f"SELECT *, {old} AS old FROM ({prepared(f'SELECT * FROM ({T6}) WHERE (epoch_us(arrival) < {CUT6}) = {old}')})" for old in ("true", "false"))
 
 
 def bucket(key: str, seed, modulus: int) -> str:
     return f"(('0x' || substr(md5({key} || ':{seed}'), 1, 8))::BIGINT % {modulus})"
 
 
-def tokens(content: str) -> str:
+def tokens(content: str, ascii_: bool = True) -> str:
+    if not ascii_:
+        return f"regexp_extract_all(coalesce({content}, ''), '{TOKEN}')"
     return f"regexp_extract_all(regexp_replace(coalesce({content}, ''), '[^\\x00-\\x7f]', chr(26), 'g'), '{TOKEN}')"
 
 
@@ -70,26 +83,29 @@ def _chosen(grams: str, totals: str, tau: tuple[int, int], combine: str) -> str:
     return f"SELECT DISTINCT term FROM (SELECT label, term, count(*) AS n FROM {grams} GROUP BY ALL) JOIN ({totals}) USING (label) WHERE n * {den} > total * {num}"
 
 
-def chain(corpus: str, tag: str = "", orders=(1, 2), head: int = 10, tail: int = 10, balance: bool = True, combine: str = "any", holdout: str = "vocab",
-          learn: str = "true", scored: str = "split = 'test'", cut: str = "t", taus=((1, 100), (1, 1000), (1, 1000))) -> list[str]:
+def chain(corpus: str, tag: str = "", orders=(1, 2), head: int = 10, tail: int = 10, balance: bool | str = True, combine: str = "any", holdout: str = "vocab",
+          learn: str = "true", scored: str = "split = 'test'", cut: str = "t", taus=((1, 100), (1, 1000), (1, 1000)), ascii_: bool = True) -> list[str]:
     """Steps from a corpus to naive Bayes predictions (p{tag}: file_id, label, pred, p, and r{tag}: all classes of each file).
 
-    learn: rows that may train; scored: rows that are predicted; cut: the tokens of these that are read.
+    balance: whether the vocab and train splits are balanced, or `vocab`: that one alone; learn: rows that may train; scored: rows that are predicted; cut: the tokens of these that are read.
     """
     def n(x: str) -> str:
         return x + tag
 
+    taken = balanced(n("lr")) if balance else f"SELECT * FROM {n('lr')}"
+    if balance == "vocab":
+        taken = f"SELECT * FROM ({taken}) WHERE split = 'vocab' UNION ALL SELECT * FROM {n('lr')} WHERE split = 'train'"
     steps = [
         f"{n('c')} AS ({corpus})",
         f"{n('sp')} AS (SELECT *, {split()} AS split FROM (SELECT *, {bucket('sha', 42, 100)} AS b FROM {n('c')}))",
         f"{n('lr')} AS (SELECT * FROM {n('sp')} WHERE {learn} AND split IN ('vocab', 'train'))",
-        f"{n('ba')} AS ({balanced(n('lr')) if balance else f'SELECT * FROM {n('lr')}'})",
-        f"{n('tt')} AS (SELECT file_id, label, split, {tokens('content')} AS t FROM {n('ba')})",
+        f"{n('ba')} AS ({taken})",
+        f"{n('tt')} AS (SELECT file_id, label, split, {tokens('content', ascii_)} AS t FROM {n('ba')})",
         f"{n('tr')} AS (SELECT file_id, label, split, CASE WHEN len(t) > {head + tail} THEN t[{head + 1}:len(t) - {tail}] ELSE [] END AS t FROM {n('tt')})",
         f"{n('hv')} AS (SELECT * FROM {n('tr')} WHERE split = '{holdout}')",
         f"{n('u1')} AS (SELECT label, unnest(t) AS term FROM {n('hv')})",
         f"{n('v1')} AS ({_chosen(n('u1'), f'SELECT label, sum(len(t)) AS total FROM {n('hv')} GROUP BY label', taus[0], combine)})",
-        f"{n('te')} AS (SELECT file_id, label, 'scored' AS split, {cut} AS t FROM (SELECT file_id, label, {tokens('content')} AS t FROM {n('sp')} WHERE {scored}))",
+        f"{n('te')} AS (SELECT file_id, label, 'scored' AS split, {cut} AS t FROM (SELECT file_id, label, {tokens('content', ascii_)} AS t FROM {n('sp')} WHERE {scored}))",
         f"{n('al')} AS (SELECT 1 AS role, * FROM {n('tr')} UNION ALL SELECT 2, * FROM {n('te')})",
         f"""{n('mp')} AS (SELECT role, file_id, label, split, size, pos, coalesce(v.term, '<unk>') AS tok
   FROM (SELECT role, file_id, label, split, len(t) AS size, unnest(t) AS raw, generate_subscripts(t, 1) AS pos FROM {n('al')}) x LEFT JOIN {n('v1')} v ON x.raw = v.term)""",

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import balance, baselines, confusion, drift, metrics, nb, prep, score, splits, vocab
+from ..functions.text import bucket, tokens_of
 from ..operators.features import Config, Space, learn_space, vectorize_sql
 from ..sources import corpus
 from ..store import keep, once
@@ -33,13 +34,22 @@ def rounded(df: DataFrame, *columns: str) -> DataFrame:
 
 # --- corpora and models that several queries share -----------------------------------------------------------------
 
-CORPORA = {"T1": corpus.prose, "T2": corpus.mixed, "T2c": lambda s, sf: prep.drop_rare(task(s, sf, "T2").drop("split"), (1, 100)), "T3": lambda s, sf: corpus.prose(s, sf, "source"), "T4": lambda s, sf: corpus.judged(s, sf, "quality"), "T5": lambda s, sf: corpus.judged(s, sf, "toxic"), "T6": corpus.dated}
+CORPORA = {"T1": corpus.prose, "T2": corpus.mixed, "T2c": corpus.mixed, "T3": lambda s, sf: corpus.prose(s, sf, "source"), "T4": lambda s, sf: corpus.judged(s, sf, "quality"), "T5": lambda s, sf: corpus.judged(s, sf, "toxic"), "T6": corpus.dated}
 _MODELS: dict = {}
 
 
+#: Preparation of each corpus; T2c is T2 without kinds that have less than one file in a hundred.
+PREPARED = {"T2c": prep.Config(min_freq=(1, 100))}
+
+
+def raw(spark: SparkSession, sf: str, name: str) -> DataFrame:
+    """A corpus as it comes, written once."""
+    return once(spark, ("raw", sf, "T2" if name == "T2c" else name), lambda: CORPORA[name](spark, sf))
+
+
 def task(spark: SparkSession, sf: str, name: str) -> DataFrame:
-    """A corpus with its splits, written once."""
-    return once(spark, ("task", sf, name), lambda: splits.assign(CORPORA[name](spark, sf)))
+    """A prepared corpus with its splits, written once."""
+    return once(spark, ("task", sf, name), lambda: splits.assign(prep.prepare(raw(spark, sf, name), PREPARED.get(name, prep.Config()))))
 
 
 def training(df: DataFrame, balanced: bool = True) -> DataFrame:
@@ -67,8 +77,8 @@ def predictions(spark: SparkSession, sf: str, name: str = "T1", split: str = "te
     return once(spark, ("pred", sf, name, split), lambda: score.predict(task(spark, sf, name).where(F.col("split") == split), m, space, keep=("file_id", "label", "origin")))
 
 
-VAL = sql.chain(sql.T1, scored="split = 'val'")
-TEST = sql.chain(sql.T1)
+VAL = sql.chain(sql.P1, scored="split = 'val'")
+TEST = sql.chain(sql.P1)
 VAL2 = sql.chain(sql.T2C, scored="split = 'val'")
 TEST2 = sql.chain(sql.T2C)
 
@@ -86,7 +96,7 @@ UNION ALL SELECT 4, 'unambiguous', count(*), count(DISTINCT label), '{{t}}' FROM
 @query("SELECT * FROM (" + _FUNNEL.format(corpus=sql.T3, num=1, den=10_000, t="T3") + ") UNION ALL SELECT * FROM (" + _FUNNEL.format(corpus=sql.T2, num=1, den=100, t="T2") + ")")
 def prep_funnel(spark, sf):
     """Files and classes left after each step of the preparation (T3, and T2 with a cut of one in a hundred)."""
-    parts = [prep.funnel(task(spark, sf, t), prep.Config(min_freq=cut)).withColumn("task", F.lit(t)) for t, cut in (("T3", (1, 10_000)), ("T2", (1, 100)))]
+    parts = [prep.funnel(raw(spark, sf, t), prep.Config(min_freq=cut)).withColumn("task", F.lit(t)) for t, cut in (("T3", (1, 10_000)), ("T2", (1, 100)))]
     return reduce(DataFrame.unionByName, parts)
 
 
@@ -136,13 +146,13 @@ def ambiguous_labels(spark, sf):
     return sets.join(bad.groupBy("sha").agg(F.count("*").alias("files")), "sha")
 
 
-@query(sql.query(sql.chain(sql.T1)[:4], "SELECT split, label, file_id FROM ba"))
+@query(sql.query(sql.chain(sql.P1)[:4], "SELECT split, label, file_id FROM ba"))
 def undersample(spark, sf):
     """The balanced vocab and train sets of T1."""
     return training(task(spark, sf, "T1")).select("split", "label", "file_id")
 
 
-@query(sql.query([f"c AS ({sql.T1})", f"sp AS (SELECT *, {sql.split()} AS split FROM (SELECT *, {sql.bucket('sha', 42, 100)} AS b FROM c))"],
+@query(sql.query([f"c AS ({sql.P1})", f"sp AS (SELECT *, {sql.split()} AS split FROM (SELECT *, {sql.bucket('sha', 42, 100)} AS b FROM c))"],
                  "SELECT split, label, count(*) AS files, round(count(*) / sum(count(*)) OVER (PARTITION BY split), 6) AS share FROM sp GROUP BY split, label"))
 def split_shares(spark, sf):
     """Class shares in each split of T1."""
@@ -268,11 +278,27 @@ def confusion_stars(spark, sf):
     return _named_groups(confusion.groups(*_matrices(spark, sf), builder="stars"))
 
 
-@query()
+def _reach(tag: str, pairs: str) -> list[str]:
+    """g{tag}: the members of each component of the pairs (i, j)."""
+    return [f"e{tag}(x, y) AS (SELECT i, j FROM ({pairs}) UNION SELECT j, i FROM ({pairs}))", f"r{tag}(x, y) AS (SELECT x, y FROM e{tag} UNION SELECT r{tag}.x, e{tag}.y FROM r{tag} JOIN e{tag} ON r{tag}.y = e{tag}.x)",
+            f"g{tag} AS (SELECT DISTINCT list_sort(list_distinct(list(y))) AS members FROM r{tag} GROUP BY x)"]
+
+
+_BUILT = [
+    *_reach("mu", "SELECT a.i, a.j FROM dd a JOIN dd b ON a.i = b.j AND a.j = b.i"), *_reach("pt", "SELECT i, j FROM dr WHERE by_t"), *_reach("ps", "SELECT i, j FROM dr WHERE by_s"),
+    "nb AS (SELECT x, list(y) AS ys FROM (SELECT i AS x, j AS y FROM dd UNION SELECT j, i FROM dd) GROUP BY x)",
+    "cq(m) AS (SELECT DISTINCT [least(i, j), greatest(i, j)] FROM dd UNION SELECT list_append(m, x) FROM cq JOIN nb ON x > m[len(m)] AND list_has_all(ys, m))",
+]
+
+
+@query("WITH RECURSIVE " + ",\n".join([*VAL2, *sql.t_s(), _DIRECTED, *_BUILT]) + """
+SELECT (row_number() OVER (PARTITION BY builder ORDER BY members) - 1)::INT AS group_id, array_to_string(members, '|') AS members, builder FROM (
+SELECT m AS members, 'cliques' AS builder FROM cq WHERE NOT EXISTS (SELECT 1 FROM nb WHERE list_has_all(ys, m)) UNION ALL SELECT members, 'mutual' FROM gmu
+UNION ALL SELECT members, 'per_statistic' FROM (SELECT members FROM gpt UNION SELECT members FROM gps))""")
 def confusion_cliques(spark, sf):
     """The other three ways to build groups."""
     t, s = _matrices(spark, sf)
-    return reduce(DataFrame.unionByName, (confusion.groups(t, s, b) for b in ("cliques", "mutual", "per_statistic")))
+    return _named_groups(reduce(DataFrame.unionByName, (confusion.groups(t, s, b) for b in ("cliques", "mutual", "per_statistic"))))
 
 
 @query(sql.query([*VAL2, *sql.t_s(), _DIRECTED], f"SELECT DISTINCT label FROM c WHERE label NOT IN (SELECT i FROM dd UNION SELECT j FROM dd)"))
@@ -305,15 +331,13 @@ def accuracy(spark, sf):
     return rounded(metrics.accuracy(predictions(spark, sf, "T2c")).select(F.lit("T2").alias("task"), "*"), "accuracy", "class_accuracy")
 
 
-_AGE = "(epoch_us(arrival) < (SELECT (min(epoch_us(arrival)) + max(epoch_us(arrival))) // 2 FROM c{t}))"
-
-
 def _snapshots(spark, sf) -> tuple[DataFrame, DataFrame]:
-    t6 = task(spark, sf, "T6")
+    """T6 before and after the middle of its time, each prepared and split by itself."""
+    t6 = raw(spark, sf, "T6")
     us = F.unix_micros(F.col("arrival").cast("timestamp"))
     lo, hi = t6.agg(F.min(us), F.max(us)).first()
     cut = (lo + hi) // 2 if lo is not None else 0
-    return t6.where(us < cut), t6.where(us >= cut)
+    return tuple(once(spark, ("snapshot", sf, name), lambda t=test: splits.assign(prep.prepare(t6.where(t)))) for name, test in (("old", us < cut), ("new", us >= cut)))
 
 
 def _aged(spark, sf) -> tuple[DataFrame, DataFrame]:
@@ -328,9 +352,9 @@ def _aged(spark, sf) -> tuple[DataFrame, DataFrame]:
     return pred.where("part = 'old'"), pred.where("part = 'new'")
 
 
-_OLD, _LATE = _AGE.format(t="a"), f"NOT {_AGE.format(t='a')} AND sha NOT IN (SELECT sha FROM ca WHERE {_AGE.format(t='a')}) AND label IN (SELECT label FROM ca WHERE {_AGE.format(t='a')})"
-_AGED = [*sql.chain(sql.T6, "a", learn=_OLD, scored=f"(split = 'test' AND {_OLD}) OR ({_LATE})"),
-         f"po AS (SELECT p.* FROM pa p JOIN spa USING (file_id) WHERE {_OLD})", f"pn AS (SELECT p.* FROM pa p JOIN spa USING (file_id) WHERE NOT {_OLD})",
+_LATE = "NOT old AND sha NOT IN (SELECT sha FROM ca WHERE old) AND label IN (SELECT label FROM ca WHERE old)"
+_AGED = [*sql.chain(sql.SNAPSHOTS, "a", learn="old", scored=f"(split = 'test' AND old) OR ({_LATE})"),
+         "po AS (SELECT p.* FROM pa p JOIN spa USING (file_id) WHERE old)", "pn AS (SELECT p.* FROM pa p JOIN spa USING (file_id) WHERE NOT old)",
          f"mo AS ({sql.per_class('po')})", f"mn AS ({sql.per_class('pn')})"]
 
 
@@ -343,16 +367,19 @@ def ageing_delta(spark, sf):
 
 
 _MISS = "SELECT label FROM c WHERE o EXCEPT SELECT label FROM c WHERE NOT o AND sha NOT IN (SELECT sha FROM c WHERE o)"
+_KIND = "o_orderpriority || strftime(o_orderdate, '%m%d')"
 
 
-@query(f"WITH c AS (SELECT *, month(o_orderdate) <= 6 AS o FROM (SELECT o_orderdate, o_orderpriority || (o_orderkey % 50) AS label, sha1(o_orderpriority || (o_orderkey % 50)) AS sha FROM orders WHERE year(o_orderdate) = 1995)) {_MISS}")
+@query(f"WITH c AS (SELECT epoch_us(o_orderdate) < (SELECT (min(epoch_us(o_orderdate)) + max(epoch_us(o_orderdate))) // 2 FROM orders) AS o, {_KIND} AS label, sha1({_KIND} || o_custkey) AS sha FROM orders) {_MISS}")
 def missing_classes(spark, sf):
-    """Classes that a later snapshot lacks once contents seen before are gone (orders by half-year)."""
+    """Classes (order priority and day of the year) that the later half of all orders lacks once contents seen before are gone."""
     from ..sources.tables import load
 
-    name = F.concat("o_orderpriority", (F.col("o_orderkey") % 50).cast("string"))
-    o = load(spark, sf, "orders").where(F.year("o_orderdate") == 1995).select(name.alias("label"), F.sha1(name).alias("sha"), F.month("o_orderdate").alias("m"))
-    return splits.missing_classes(o.where("m <= 6"), o.where("m > 6"))
+    kind = F.concat("o_orderpriority", F.date_format("o_orderdate", "MMdd"))
+    us = F.unix_micros(F.col("o_orderdate").cast("timestamp"))
+    o = load(spark, sf, "orders").select(kind.alias("label"), F.sha1(F.concat(kind, F.col("o_custkey").cast("string"))).alias("sha"), us.alias("us"))
+    lo, hi = o.agg(F.min("us"), F.max("us")).first()
+    return splits.missing_classes(o.where(F.col("us") < (lo + hi) // 2), o.where(F.col("us") >= (lo + hi) // 2))
 
 
 # --- ablations, baselines and extensions ----------------------------------------------------------------------------------
@@ -368,7 +395,7 @@ round(avg(coalesce(recall, 0)), 6) AS macro_recall, round(avg(coalesce(f1, 0)),
 
 
 def _ablation(name: str, variants: dict[str, tuple[Config, bool, str]]):
-    """A query over variants of the T1 pipeline: configuration, balance, holdout."""
+    """A query over variants of the T1 pipeline: configuration, balance, holdout. Variants that are the plain pipeline share its model."""
     def run(spark, sf):
         out = []
         for v, (cfg, balanced, holdout) in variants.items():
@@ -376,12 +403,13 @@ def _ablation(name: str, variants: dict[str, tuple[Config, bool, str]]):
                 space, m = learned(training(task(spark, sf, "T1"), balanced), cfg, holdout)
                 return score.predict(task(spark, sf, "T1").where("split = 'test'"), m, space)
 
-            out.append(rounded(_measured(once(spark, (name, sf, v), make), v), "accuracy", "macro_recall", "macro_f1"))
+            plain = cfg == Config() and balanced and holdout == "vocab"
+            out.append(rounded(_measured(predictions(spark, sf) if plain else once(spark, (name, sf, v), make), v), "accuracy", "macro_recall", "macro_f1"))
         return reduce(DataFrame.unionByName, out)
 
     steps, finals = [], []
     for i, (v, (cfg, balanced, holdout)) in enumerate(variants.items()):
-        steps += sql.chain(sql.T1, f"_{i}", cfg.orders, cfg.head, cfg.tail, balanced, cfg.combine, holdout)
+        steps += sql.chain(sql.P1, f"_{i}", cfg.orders, cfg.head, cfg.tail, balanced, cfg.combine, holdout, taus=tuple(cfg.tau[k] for k in (1, 2, 3)))
         finals.append(f"SELECT * FROM ({_measured_sql(f'p_{i}', v)})")
     QUERIES[name], ORACLES[name] = run, sql.query(steps, " UNION ALL ".join(finals))
 
@@ -392,6 +420,88 @@ _ablation("ablate_prep", {
     "no_holdout": (Config(), True, "train"), "global_vocab": (Config(combine="global"), True, "vocab"),
 })
 
+def _tau(first: int, second: int) -> Config:
+    return Config(tau={1: (1, first), 2: (1, second), 3: (1, 1000)})
+
+
+_ablation("search_thresholds", {f"1/{a} 1/{b}": (_tau(a, b), True, "vocab") for a, b in ((50, 1000), (100, 1000), (200, 1000), (100, 500), (100, 2000))})
+
+# Training sets of natural proportions, balanced by leaving out, by copies and by made-up vectors. All are sums of the train vectors under weights of the files.
+_MIX = f"""vt AS (SELECT label, file_id, n, term, count(*) / any_value(size) AS freq FROM f_n WHERE role = 1 AND split = 'train' GROUP BY label, file_id, n, term),
+rk AS (SELECT *, row_number() OVER (PARTITION BY label ORDER BY md5(file_id || ':mix42'), file_id) - 1 AS k, count(*) OVER (PARTITION BY label) AS n FROM (SELECT DISTINCT label, file_id FROM vt)),
+tm AS (SELECT *, most // n - 1 + (k < most % n)::INT AS times FROM rk, (SELECT max(n) AS most FROM rk)),
+pr AS (SELECT a.label, a.file_id, b.file_id AS mate, {sql.bucket("(a.file_id || ':' || s)", "lambda42", 1000)} / 1000.0 AS lam FROM (SELECT tm.*, s FROM tm, range(1, 100000) r(s) WHERE s <= times) a JOIN rk b ON a.label = b.label AND b.k = (a.k + s) % a.n),
+lt AS (SELECT * FROM lr_n WHERE split = 'train'),
+oc AS (SELECT label, count(*) AS n, max(count(*)) OVER () AS most FROM lt GROUP BY label),
+ov AS (SELECT file_id, most // n + (row_number() OVER (PARTITION BY label ORDER BY {sql.bucket("sha", "draw42", 1000000)}, md5(sha || ':balance42'), file_id) <= most % n)::INT AS w FROM lt JOIN oc USING (label)),
+un AS ({sql.balanced("lt")}),
+wt AS (SELECT 'natural' AS variant, file_id, 1.0::DOUBLE AS w FROM rk UNION ALL SELECT 'undersampled', file_id, 1 FROM un UNION ALL SELECT 'oversampled', file_id, w FROM ov
+  UNION ALL SELECT 'synthetic', file_id, sum(w) FROM (SELECT file_id, 1.0 AS w FROM rk UNION ALL SELECT file_id, 1 - lam FROM pr UNION ALL SELECT mate, lam FROM pr) GROUP BY file_id),
+sw AS (SELECT variant, label AS class, n, term, sum(freq * w) * {nb.SCALE} AS cnt FROM vt JOIN wt USING (file_id) GROUP BY ALL),
+tw AS (SELECT variant, class, n, term, ln((coalesce(cnt, 0) + 1) / (sum(coalesce(cnt, 0)) OVER (PARTITION BY variant, class) + count(*) OVER (PARTITION BY variant, class))) AS lt
+  FROM (SELECT DISTINCT variant, class FROM sw) CROSS JOIN s_n LEFT JOIN sw USING (variant, class, n, term)),
+zw AS (SELECT variant, file_id, label, class, sum(freq * lt) AS score FROM fr_n JOIN tw USING (n, term) GROUP BY ALL),
+qw AS (SELECT *, exp(score) / sum(exp(score)) OVER (PARTITION BY variant, file_id) AS p FROM zw),
+pw AS (SELECT variant, file_id, label, class AS pred FROM qw QUALIFY row_number() OVER (PARTITION BY variant, file_id ORDER BY round(p, 12) DESC, class) = 1),
+""" + ", ".join(f"pw_{v} AS (SELECT * FROM pw WHERE variant = '{v}')" for v in ("natural", "undersampled", "oversampled", "synthetic"))
+
+
+@query(sql.query([*sql.chain(sql.P1, "_n", balance="vocab"), _MIX], " UNION ALL ".join(_measured_sql(f"pw_{v}", v) for v in ("natural", "undersampled", "oversampled", "synthetic"))))
+def ablate_balance(spark, sf):
+    """T1 under four training sets: as it comes, the large classes cut, the small ones copied, the small ones filled with made-up vectors."""
+    space, _ = model(spark, sf)
+    df = task(spark, sf, "T1")
+    train, test = df.where("split = 'train'"), df.where("split = 'test'").where(F.size(tokens_of(F.col("content"))) > 0)
+    natural = keep(vectorize_sql(train, space, trimmed=True))
+    copies = balance.oversample(train).select(F.concat_ws("#", "file_id", "copy").alias("file_id"), "label", "content")
+    sets = {
+        "natural": natural, "undersampled": natural.join(balance.undersample(train).select("file_id"), "file_id", "left_semi"),
+        "oversampled": vectorize_sql(copies, space, trimmed=True), "synthetic": natural.unionByName(balance.synthesize(natural).select(natural.columns)),
+    }
+    parts = [_measured(once(spark, ("balance", sf, v), lambda x=x: score.predict(test, nb.fit_vectors(x, space), space)), v) for v, x in sets.items()]
+    return rounded(reduce(DataFrame.unionByName, parts), "accuracy", "macro_recall", "macro_f1")
+
+
+# Half of the files in one encoding, half in another; read as bytes, or as text by a guessed encoding.
+_LATIN = f"({sql.bucket('sha', 'encoding', 100)} < 50 AND NOT regexp_matches(content, '[^\\x00-\\xff]'))"
+_TWICE = "regexp_replace(regexp_replace(regexp_replace(content, '[\\x{80}-\\x{7ff}]', repeat(chr(26), 2), 'g'), '[\\x{800}-\\x{ffff}]', repeat(chr(26), 3), 'g'), '[\\x{10000}-\\x{10ffff}]', repeat(chr(26), 4), 'g')"
+_BYTES = f"SELECT * REPLACE (CASE WHEN {_LATIN} THEN regexp_replace(content, '[^\\x00-\\x7f]', chr(26), 'g') ELSE {_TWICE} END AS content) FROM ({sql.P1})"
+
+
+@query(sql.query([*sql.chain(_BYTES, "_b"), *sql.chain(sql.P1, "_g", ascii_=False)], _measured_sql("p_b", "bytes") + " UNION ALL " + _measured_sql("p_g", "guessed encoding")))
+def ablate_encoding(spark, sf):
+    """T1 with half of its files in a one-byte encoding: every byte that is not ASCII as one sign, against letters by a guessed encoding."""
+    df = task(spark, sf, "T1")
+    one_byte = (bucket(F.col("sha"), "encoding", 100) < 50) & ~F.col("content").rlike(r"[^\x00-\xff]")
+    coded = df.withColumn("content_bytes", F.when(one_byte, F.encode("content", "ISO-8859-1")).otherwise(F.encode("content", "UTF-8")))
+    read = {"bytes": (F.decode("content_bytes", "ISO-8859-1"), Config()), "guessed encoding": (prep.guessed_text(F.col("content_bytes")), Config(unit="none"))}
+    out = []
+    for v, (content, cfg) in read.items():
+        def make(content=content, cfg=cfg):
+            rows = keep(coded.withColumn("content", content).drop("content_bytes"))
+            space, m = learned(training(rows), cfg)
+            return score.predict(rows.where("split = 'test'"), m, space)
+
+        out.append(_measured(once(spark, ("encoding", sf, v), make), v))
+    return rounded(reduce(DataFrame.unionByName, out), "accuracy", "macro_recall", "macro_f1")
+
+
+_RATIOS, _SAMPLED = (10, 20, 40), (10, 50, 100)
+
+
+@query(f"WITH f AS (SELECT *, odd / octet_length(b) AS ratio, {sql.bucket('file_id', 'binary42', 100)} AS bk FROM ({_T8})) " + " UNION ALL ".join(
+    [f"SELECT 'file' AS scope, {r}::INT AS percent, 100::INT AS sampled, count(*) AS files, count(DISTINCT label) AS classes FROM f WHERE ratio <= {r} / 100" for r in _RATIOS]
+    + [f"SELECT 'class_sample', {r}::INT, {k}::INT, count(*), count(DISTINCT label) FROM f WHERE label NOT IN (SELECT label FROM f WHERE bk < {k} GROUP BY label HAVING avg(ratio) > {r} / 100)" for r in _RATIOS for k in _SAMPLED]))
+def ablate_binary(spark, sf):
+    """T8 under thresholds and samples of the binary filter: files and classes that stay."""
+    t8, out = keep(corpus.injected(spark, sf)), []
+    for r in _RATIOS:
+        for scope, k in (("file", 100), *(("class_sample", k) for k in _SAMPLED)):
+            left = prep.keep_textual(t8, r / 100, scope=scope, content="content_bytes", binary=True, sample=k)
+            out.append(left.agg(F.count("*").alias("files"), F.count_distinct("label").alias("classes")).select(F.lit(scope).alias("scope"), F.lit(r).alias("percent"), F.lit(k).alias("sampled"), "files", "classes"))
+    return reduce(DataFrame.unionByName, out)
+
+
 _NAMED = f"""nm AS (SELECT *, {sql.bucket("file_id", "name", 100)} AS nb FROM sp),
 ot AS (SELECT label, coalesce(lead(label) OVER (ORDER BY label), min(label) OVER ()) AS other FROM (SELECT DISTINCT label FROM sp)),
 fn AS (SELECT nm.*, CASE WHEN nb < 10 THEN file_id WHEN nb < 15 THEN file_id || '.' || other ELSE file_id || '.' || label END AS filename FROM nm JOIN ot USING (label)),
@@ -460,7 +570,7 @@ def merged_labels(spark, sf):
     return rounded(_measured(pred, "apart").unionByName(_measured(confusion.merge_labels(pred, ALIAS), "merged")), "accuracy", "macro_recall", "macro_f1")
 
 
-@query(sql.query([*sql.chain(sql.T6, scored="split IN ('val', 'test')"), "w AS (SELECT time_bucket(INTERVAL 6 HOUR, arrival, TIMESTAMP '1970-01-01') AS start, count(*) AS n, avg((p.label = pred)::INT) AS accuracy FROM p JOIN c USING (file_id) GROUP BY 1)"],
+@query(sql.query([*sql.chain(sql.P6, scored="split IN ('val', 'test')"), "w AS (SELECT time_bucket(INTERVAL 6 HOUR, arrival, TIMESTAMP '1970-01-01') AS start, count(*) AS n, avg((p.label = pred)::INT) AS accuracy FROM p JOIN c USING (file_id) GROUP BY 1)"],
                  """SELECT start, n, round(accuracy, 6) AS accuracy, round(accuracy - lag(accuracy) OVER (ORDER BY start), 6) AS delta,
 coalesce(round(max(accuracy) OVER (ORDER BY start ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) - accuracy, 12) > 0.05, false) AS alarm FROM w"""))
 def drift_windows(spark, sf):
@@ -480,7 +590,7 @@ def _timed(spark, sf) -> DataFrame:
 SNIPPETS = (5, 10, 20, 50, 100)
 
 
-@query(sql.query([x for k in SNIPPETS for x in sql.chain(sql.T1, f"_{k}", cut=f"t[1:{k}]")], " UNION ALL ".join(f"SELECT {k} AS tokens, count(*) AS files, round(avg((label = pred)::INT), 6) AS accuracy FROM p_{k}" for k in SNIPPETS)))
+@query(sql.query([x for k in SNIPPETS for x in sql.chain(sql.P1, f"_{k}", cut=f"t[1:{k}]")], " UNION ALL ".join(f"SELECT {k} AS tokens, count(*) AS files, round(avg((label = pred)::INT), 6) AS accuracy FROM p_{k}" for k in SNIPPETS)))
 def snippet_curve(spark, sf):
     """Accuracy from the first tokens alone (T1 test files)."""
     space, m = model(spark, sf)
@@ -489,7 +599,7 @@ def snippet_curve(spark, sf):
     return reduce(DataFrame.unionByName, parts)
 
 
-@query(sql.query([f"c AS ({sql.T6})", f"tk AS (SELECT label, {_AGE.format(t='')} AS o, {sql.tokens('content')} AS t FROM c)", "u AS (SELECT label, o, unnest(t) AS term FROM tk)",
+@query(sql.query([f"c AS ({sql.SNAPSHOTS})", f"tk AS (SELECT label, old AS o, {sql.tokens('content')} AS t FROM c)", "u AS (SELECT label, o, unnest(t) AS term FROM tk)",
                   "vv AS (SELECT DISTINCT o, term FROM (SELECT o, label, term, count(*) AS n FROM u GROUP BY ALL) JOIN (SELECT o, label, sum(len(t)) AS total FROM tk GROUP BY ALL) USING (o, label) WHERE n * 100 > total)"],
                  "SELECT count(*) FILTER (o) AS n_old, count(*) FILTER (NOT o) AS n_new, count(*) - count(DISTINCT term) AS both, round((count(*) - count(DISTINCT term)) / count(DISTINCT term), 6) AS jaccard FROM vv"))
 def vocab_overlap(spark, sf):
@@ -504,7 +614,7 @@ def unknown_shares(spark, sf):
     return rounded(vocab.unknown_share(toks, vocab.as_list(vocab.build(toks))), "share")
 
 
-@query(sql.query([f"c AS ({sql.T1})", f"r AS (SELECT *, row_number() OVER (PARTITION BY label ORDER BY md5(sha || ':balance42'), file_id) AS rk FROM c)",
+@query(sql.query([f"c AS ({sql.T1})", f"r AS (SELECT *, row_number() OVER (PARTITION BY label ORDER BY {sql.bucket('sha', 'draw42', 1000000)}, md5(sha || ':balance42'), file_id) AS rk FROM c)",
                   "n AS (SELECT label, count(*) AS n, max(count(*)) OVER () AS most FROM c GROUP BY label)"],
                  "SELECT label, file_id, (most // n + (rk <= most % n)::INT)::BIGINT AS copies FROM r JOIN n USING (label)"))
 def oversample(spark, sf):
@@ -512,7 +622,10 @@ def oversample(spark, sf):
     return balance.oversample(CORPORA["T1"](spark, sf)).groupBy("label", "file_id").agg(F.count("*").alias("copies"))
 
 
-@query()
+@query(sql.query([*TEST, f"""vs AS (SELECT label, file_id, sum(freq) AS mass FROM (SELECT label, file_id, n, term, count(*) / any_value(size) AS freq FROM f WHERE role = 1 AND split = 'train' GROUP BY label, file_id, n, term) GROUP BY ALL),
+rs AS (SELECT *, row_number() OVER (PARTITION BY label ORDER BY md5(file_id || ':mix42'), file_id) - 1 AS k, count(*) OVER (PARTITION BY label) AS n FROM vs),
+ps AS (SELECT a.label, a.mass AS own, b.mass AS mate, {sql.bucket("(a.file_id || ':1')", "lambda42", 1000)} / 1000.0 AS lam FROM rs a JOIN rs b ON a.label = b.label AND b.k = (a.k + 1) % a.n)"""],
+                 "SELECT label, count(*) AS files, round(sum(own * (1 - lam) + mate * lam), 6) AS mass FROM ps GROUP BY label"))
 def synthesized(spark, sf):
     """Convex mixes of vectors of one class; their mass is kept."""
     space, _ = model(spark, sf)
@@ -525,14 +638,14 @@ def _judged_query(name: str, label: str) -> None:
     def run(spark, sf):
         return rounded(_measured(predictions(spark, sf, name), label), "accuracy", "macro_recall", "macro_f1")
 
-    QUERIES[f"task_{label}"], ORACLES[f"task_{label}"] = run, sql.query(sql.chain(sql.judged(label)), _measured_sql("p", label))
+    QUERIES[f"task_{label}"], ORACLES[f"task_{label}"] = run, sql.query(sql.chain(sql.prepared(sql.judged(label))), _measured_sql("p", label))
 
 
 _judged_query("T4", "quality")
 _judged_query("T5", "toxic")
 
 
-@query(sql.query(sql.chain(sql.T3, taus=((1, 100), (1, 1000), (1, 1000))), _measured_sql("p", "source")))
+@query(sql.query(sql.chain(sql.P3, taus=((1, 100), (1, 1000), (1, 1000))), _measured_sql("p", "source")))
 def negative_control(spark, sf):
     """T3: labels that have nothing to do with content; accuracy stays near one in twenty."""
     return rounded(_measured(predictions(spark, sf, "T3"), "source"), "accuracy", "macro_recall", "macro_f1")
