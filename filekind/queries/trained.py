@@ -7,17 +7,19 @@ import uuid
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators import baselines, confusion, metrics, mlp, score, tiering, tune
+from ..operators import baselines, confusion, metrics, mlp, prep, score, splits, tiering, tune, vocab
 from ..operators.features import vectorize
-from ..store import once, shared_folder
+from ..store import keep, once, shared_folder
 from ..streaming import scoring as streams
 from . import sql
-from .workloads import _measured, model, predictions, raw, rounded, task, training
+from .workloads import _measured, learned, model, predictions, raw, rounded, task, training
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 #: A net in proportion to the small corpora; larger rates than large corpora want.
 SMALL = mlp.Spec(hidden=(64, 48, 32), dropout=0.2, lr=3e-3, epochs=24, batch=64)
+#: What a retraining run is timed with: few epochs of the small net.
+RETRAINED = mlp.Spec(hidden=SMALL.hidden, dropout=SMALL.dropout, lr=SMALL.lr, epochs=8, batch=64)
 _NETS: dict = {}
 
 
@@ -80,6 +82,35 @@ def search_network(spark, sf):
     return spark.createDataFrame(rows, "hidden string, dropout double, lr double, val_acc double, best boolean")
 
 
+def scaled(df: DataFrame, times: int) -> DataFrame:
+    """So many copies of a corpus under salted names and hashes, for runs at several sizes."""
+    salt = F.explode(F.sequence(F.lit(0), F.lit(times - 1)))
+    return df.withColumn("salt", salt).withColumns({"file_id": F.concat_ws("#", "file_id", "salt"), "sha": F.sha1(F.concat_ws("#", "sha", "salt"))}).drop("salt")
+
+
+@query()
+def cost_profile(spark, sf, sizes=(1, 10)):
+    """What each step takes over T1 and over ten times T1, from preparation to scoring, and what training anew takes: wall time, rows, exchanges, bytes moved, epochs, parameters."""
+    out = []
+    for times in sizes:
+        corpus_ = keep(scaled(raw(spark, sf, "T1"), times))
+        rows = keep(splits.assign(prep.prepare(corpus_)))
+        space, nb_model = learned(training(rows))
+        train = vectorize(training(rows).where("split = 'train'"), space, trimmed=True)
+        fitted, cost = tune.timed(spark, lambda: mlp.fit(train, vectorize(rows.where("split = 'val'"), space), space.size, RETRAINED))
+        weights = mlp.parameters(space.size, RETRAINED.hidden, len(fitted.classes))
+        out.append(("retrain", times, train.count(), cost["seconds"], None, cost["shuffled_bytes"], len(fitted.history), weights))
+        told, cost = tune.timed(spark, lambda: prep.levels(corpus_))
+        out.append(("prepare", times, told.count(), cost["seconds"], None, cost["shuffled_bytes"], None, None))
+        for step, df in {
+            "vocabulary": vocab.build(vocab.tokens(rows.where("split = 'vocab'"), 10, 10)), "vectorize": vectorize(rows, space),
+            "score_naive_bayes": score.predict(rows, nb_model, space), "score_network": score.predict(rows, fitted, space),
+        }.items():
+            got = tune.profile(df)
+            out.append((step, times, got["rows"], got["seconds"], got["exchanges"], got["shuffled_bytes"], None, None))
+    return spark.createDataFrame(out, "step string, times int, rows long, seconds double, exchanges int, shuffled_bytes long, epochs int, parameters long")
+
+
 @query()
 def mlp_predictions(spark, sf):
     """The network on the T1 test files."""

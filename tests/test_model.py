@@ -181,4 +181,4 @@ def test_search(spark):
     best, tried = tune.climb(lambda a, b: {"m": -(a - 2) ** 2 + b}, {"a": 1, "b": 0}, {"a": [1, 2, 3], "b": [0, 1]}, "m")
     assert best == {"a": 2, "b": 1} and len(tried) < 12
     cost = tune.profile(spark.range(100).groupBy((F.col("id") % 3).alias("k")).count())
-    assert cost["rows"] == 3 and cost["exchanges"] == 1
+    assert cost["rows"] == 3 and cost["exchanges"] == 1 and cost["shuffled_bytes"] > 0
