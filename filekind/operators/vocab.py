@@ -12,8 +12,8 @@ TAU = {1: (1, 100), 2: (1, 1000), 3: (1, 1000)}
 
 
 def tokens(df: DataFrame, head: int = 0, tail: int = 0, unit: str = "codepoint", extra: tuple[str, ...] = ()) -> DataFrame:
-    """(file_id, label, tokens): trimmed where counts are given."""
-    t = tokens_of(F.col("content"), unit)
+    """(file_id, label, tokens): trimmed where counts are given. A column `tokens` that df has stands for its content."""
+    t = F.col("tokens") if "tokens" in df.columns else tokens_of(F.col("content"), unit)
     return df.select("file_id", "label", *extra, (trim(t, head, tail) if head or tail else t).alias("tokens"))
 
 

@@ -58,9 +58,14 @@ def training(df: DataFrame, balanced: bool = True) -> DataFrame:
     return balance.undersample(rows, within=("split",)) if balanced else rows
 
 
+def tokenized(train: DataFrame, unit: str = "codepoint") -> DataFrame:
+    """A training set as tokens, written once: vocabularies of all orders and the classifier read these."""
+    return keep(train.select("file_id", "label", "split", tokens_of(F.col("content"), unit).alias("tokens")))
+
+
 def learned(train: DataFrame, cfg: Config = Config(), holdout: str = "vocab") -> tuple[Space, score.Linear]:
     """The space from the holdout and naive Bayes from the train split."""
-    train = keep(train)
+    train = train if "tokens" in train.columns else tokenized(train, cfg.unit)
     space = learn_space(train.where(F.col("split") == holdout), cfg)
     return space, nb.fit(train.where("split = 'train'"), space)
 
@@ -400,7 +405,8 @@ def _ablation(name: str, variants: dict[str, tuple[Config, bool, str]]):
         out = []
         for v, (cfg, balanced, holdout) in variants.items():
             def make(cfg=cfg, balanced=balanced, holdout=holdout):
-                space, m = learned(training(task(spark, sf, "T1"), balanced), cfg, holdout)
+                tokens = once(spark, ("tokens", sf, balanced), lambda: tokenized(training(task(spark, sf, "T1"), balanced)))
+                space, m = learned(tokens, cfg, holdout)
                 return score.predict(task(spark, sf, "T1").where("split = 'test'"), m, space)
 
             plain = cfg == Config() and balanced and holdout == "vocab"
