@@ -95,3 +95,84 @@ def test_every_text_is_searched_with_its_whole_vector(spark, sf):
         assert np.allclose(r.cosines, [c for c in want if c > 1e-12], atol=1e-9), d
     assert sum(bool(r.evidence) for r in got.values()) > 0.95 * sum(bool(t) for t in text.values())
     assert len({r.score for r in got.values()}) > 1 and all(r.evidence for d, r in got.items() if units[d])
+
+
+def test_scores_against_brute_force(spark):
+    """The whole query against dense matrices: all cosines, both votes, and the three tables by plain pooling."""
+    sf = "/root/testdata/sf0.01"
+    text = {r.doc_id: r.text or "" for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    labels = {r.doc_id: r.label for r in tox.training_labels(spark, sf).where("label IS NOT NULL").collect() if r.doc_id in text}
+    ids, examples = sorted(text), sorted(labels)
+    counts = {d: Counter(tox.LETTERS.findall(t.lower())) for d, t in text.items()}
+    df = Counter(w for c in counts.values() for w in c)
+    space = sorted({w for e in examples for w in counts[e]})
+    at = {w: i for i, w in enumerate(space)}
+    y = np.array([labels[e] for e in examples], float)
+
+    def rows(of):
+        m = np.zeros((len(of), len(space)))
+        for r, d in enumerate(of):
+            for w, n in counts[d].items():
+                if w in at:
+                    m[r, at[w]] = (1 + math.log(n)) * (math.log((1 + len(text)) / (1 + df[w])) + 1)
+        return m / np.maximum(np.sqrt((m * m).sum(axis=1, keepdims=True)), 1e-300)
+
+    every, mine = rows(ids), rows(examples)
+    e, p = float(len(examples)), y.sum()
+    held = [(j, m, a) for j in range(len(space)) if (m := (mine[:, j] > 0).sum()) >= tox.SUPPORT for a in [float(y[mine[:, j] > 0].sum())]]
+
+    def term(x, z):
+        return x * math.log(x / z) if x > 0 else 0.0
+
+    def strength(m, a):
+        return 2 * (term(a, m * p / e) + term(m - a, m * (e - p) / e) + term(p - a, (e - m) * p / e) + term(e - m - p + a, (e - m) * (e - p) / e))
+
+    telling = [j for j, m, a in held if strength(float(m), a) >= 2 * math.log(len(held) / tox.ALPHA)]
+    assert telling
+
+    def narrow(m):
+        m = m[:, telling]
+        return m / np.maximum(np.sqrt((m * m).sum(axis=1, keepdims=True)), 1e-300)
+
+    def vote(cosines, otherwise, leave=None):
+        c = np.round(cosines, 12)
+        order = [i for i in np.lexsort((np.arange(len(c)), -c)) if c[i] > 0]
+        if leave is not None:
+            order = [i for i in order[: tox.NEIGHBOURS + 1] if i != leave]
+        order = order[: tox.NEIGHBOURS]
+        return float((c[order] ** 2 * y[order]).sum() / (c[order] ** 2).sum()) if order else otherwise
+
+    def table(votes, truth):
+        values = [((truth[np.round(votes * tox.STEPS) == s].sum() + s / tox.STEPS), (np.round(votes * tox.STEPS) == s).sum() + 1) for s in range(tox.STEPS + 1)]
+        # The monotone fit: at each step the largest over starts of the smallest mean over ends.
+        return [max(min(sum(v[0] for v in values[a : b + 1]) / sum(v[1] for v in values[a : b + 1]) for b in range(i, len(values))) for a in range(i + 1)) for i in range(len(values))]
+
+    def read(v, t):
+        return np.interp(np.asarray(v) * tox.STEPS, np.arange(len(t)), t)
+
+    def odds(x):
+        x = np.clip(x, 1e-3, 1 - 1e-3)
+        return np.log(x / (1 - x))
+
+    prior = y.mean()
+    bare = (mine[:, telling] > 0).sum(axis=1) == 0
+    base = (y[bare].sum() + prior) / (bare.sum() + 1)
+    near, told = mine @ mine.T, narrow(mine) @ narrow(mine).T
+    first = np.array([vote(near[i], prior, i) for i in range(len(examples))])
+    second = np.array([vote(told[i], prior, i) for i in range(len(examples))])
+    filled = (mine > 0).any(axis=1)
+    one, two = table(first[filled], y[filled]), table(second[~bare], y[~bare])
+
+    def joint(a, b):
+        return 1 / (1 + np.exp(-(odds(read(a, one)) + odds(b) - odds(prior))))
+
+    last = table(joint(first, np.where(bare, base, read(second, two)))[filled], y[filled])
+    near, told = every @ mine.T, narrow(every) @ narrow(mine).T
+    got = {r.doc_id: r.score for r in tox.op5_nearest_examples(spark, sf).collect()}
+    for i, d in enumerate(ids):
+        if not every[i].any():
+            want = base
+        else:
+            b = read(vote(told[i], base), two) if (every[i, telling] > 0).any() else base
+            want = read(joint(vote(near[i], prior), b), last)
+        assert abs(got[d] - want) < 1e-6, (d, got[d], want)
