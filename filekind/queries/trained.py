@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators import baselines, confusion, metrics, mlp, prep, score, splits, tiering, tune, vocab
+from ..operators import baselines, confusion, metrics, mlp, prep, score, sequence, splits, tiering, tune, vocab
 from ..operators.features import vectorize
 from ..store import keep, once, shared_folder
 from ..streaming import scoring as streams
@@ -163,6 +163,15 @@ def hashed_linear_predictions(spark, sf):
     return baselines.hashed_linear(training(df).where("split = 'train'"), df.where("split = 'test'"))
 
 
+@query()
+def convolution_predictions(spark, sf):
+    """A small convolution over tokens on the T1 test files: a model of order."""
+    space, _ = model(spark, sf)
+    df = task(spark, sf, "T1")
+    net_ = sequence.fit(training(df).where("split = 'train'"), space)
+    return sequence.predict(df.where("split = 'test'"), net_, space).select("file_id", "label", "pred", "p")
+
+
 @query()
 def two_tier(spark, sf):
     """T2: the network alone, and with specialists for its confusion groups, routed and multiplied."""
@@ -187,7 +196,7 @@ def baseline_models(spark, sf):
 
     named = {
         "network": net_predictions(spark, sf), "naive_bayes": predictions(spark, sf), "logistic": logreg_predictions(spark, sf), "perceptron": perceptron_predictions(spark, sf),
-        "hashed_linear": hashed_linear_predictions(spark, sf), "centroid": W["centroid_nearest"](spark, sf),
+        "hashed_linear": hashed_linear_predictions(spark, sf), "convolution": convolution_predictions(spark, sf), "centroid": W["centroid_nearest"](spark, sf),
     }
     out = None
     for n, p in named.items():

@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from filekind.operators import mlp, nb, score, splits, tiering, tune
+from filekind.operators import mlp, nb, score, sequence, splits, tiering, tune
 from filekind.operators.features import Config, counter, learn_space, vectorize, vectorize_sql
 from filekind.plans.capacity import capacity
 from filekind.queries.workloads import training
@@ -151,6 +151,28 @@ def test_distributed_validation_equals_a_local_one(t1, space):
     assert mlp.judge_all(net, val.limit(0))[2] == 0
 
 
+def test_convolution(t1, space):
+    net = sequence.start(6, ["a", "b", "c"], mlp.Spec(hidden=(4, 5)))
+    rng = np.random.default_rng(4)
+    ids, y = rng.integers(0, 8, (7, 9)), rng.integers(0, 3, 7)
+    grads, _ = sequence.gradient(net, ids, y)
+    params = [p for wb in zip(net.weights, net.biases) for p in wb]
+    for p, g in zip(params, grads):
+        for at in list(np.ndindex(p.shape))[::2]:
+            kept, step = p[at], 1e-6
+            p[at] = kept + step
+            up = sequence.gradient(net, ids, y)[1] / 7
+            p[at] = kept - step
+            down = sequence.gradient(net, ids, y)[1] / 7
+            p[at] = kept
+            assert abs((up - down) / (2 * step) - g[at]) < 1e-5
+    long = rng.integers(0, 8, 50_000)
+    assert np.allclose(net.pooled(long), np.maximum(net.responses(long[None])[1].max(axis=(0, 1)), 0)) and net.logits([long[:0], long[:2]]).shape == (2, 3)
+    fitted = sequence.fit(training(t1).where("split in ('train', 'vocab')"), space)
+    got = sequence.predict(t1.where("split = 'test'"), fitted, space).collect()
+    assert sum(r.label == r.pred for r in got) > 0.6 * len(got) and all(abs(sum(x.p for x in r.top) - 1) < 1e-6 for r in got)
+
+
 def test_model_store(spark, space, tmp_path):
     net = mlp.start(space.size, ["a", "b"], SPEC)
     mlp.save(spark, net, str(tmp_path / "m"))
