@@ -348,9 +348,10 @@ def sql_tokens(spark, sf):
     return spark.sql("SELECT item_id, size(fk_tokens(text)) AS tokens, try_element_at(fk_tokens(text), 1) AS head, round(fk_nonprintable(text), 6) AS odd FROM fk_items")
 
 
-@query(f"SELECT file_id, label, regexp_extract(content, '<script>(.*?)</script>', 1) AS content FROM ({sql.T2}) WHERE origin = 'pages' AND regexp_matches(content, '(?s)<script>.*?</script>')")
+@query(f"""SELECT file_id || '#' || k AS file_id, label, content FROM (SELECT file_id, label, unnest(xs) AS content, generate_subscripts(xs, 1) - 1 AS k FROM (
+SELECT file_id, label, regexp_extract_all(content, '(?s)<script[^>]*>(.*?)</script>', 1) AS xs FROM ({sql.T2}) WHERE origin = 'pages'))""")
 def embedded_scripts(spark, sf):
     """Script fragments inside pages as files of their own."""
     from ..operators.score import embedded
 
-    return embedded(corpus.pages(spark, sf)).select(F.regexp_replace("file_id", "#.*", "").alias("file_id"), "label", "content")
+    return embedded(corpus.pages(spark, sf))
