@@ -33,6 +33,15 @@ DISTANCE = 2
 WIDTH, DENSE = 4, 8
 
 
+def majority(hashes: np.ndarray) -> int:
+    """The bits that over half of the (unsigned 64-bit) hashes set."""
+    ones = np.zeros(64, np.int64)
+    for at in range(0, len(hashes), 1 << 16):
+        part = hashes[at : at + (1 << 16)].astype("<u8").view(np.uint8).reshape(-1, 8)
+        ones += np.unpackbits(part, axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
+    return int(np.packbits(2 * ones > len(hashes), bitorder="little").view("<u8")[0])
+
+
 def fingerprint(text: bytes | None, size: int = SHINGLE) -> int:
     """SimHash of the word shingles of a UTF-8 text, repeats included; a bit is set if over half of the hashes set it."""
     words = text.lower().split() if text else []
@@ -43,11 +52,7 @@ def fingerprint(text: bytes | None, size: int = SHINGLE) -> int:
     else:
         runs = map(b" ".join, zip(*(words[i:] for i in range(size)), strict=False))
         hashes = np.fromiter(map(xxhash.xxh64_intdigest, runs, repeat(SEED)), np.uint64, len(words) - size + 1)
-    ones = np.zeros(64, np.int64)
-    for at in range(0, len(hashes), 1 << 16):
-        part = hashes[at : at + (1 << 16)].astype("<u8").view(np.uint8).reshape(-1, 8)
-        ones += np.unpackbits(part, axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
-    return int(np.packbits(2 * ones > len(hashes), bitorder="little").view("<u8")[0])
+    return majority(hashes)
 
 
 def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -1,11 +1,14 @@
-"""Near copies by the exact Jaccard similarity of word shingles.
+"""Near copies by SimHash, verified by the exact Jaccard similarity of word shingles, and completed where fingerprints say too little.
 
-A text is the set of its runs of SHINGLE words. Two sets are alike if they share at least ALIKE of their union. In any one order of
+A text is the set of its runs of SHINGLE words. Two sets are alike if they share at least ALIKE of their union. The SimHash of each set goes through the
+byte-position lists of the SimHash operator; what they link is verified exactly, and groups of near copies become components in as many pairs as they have texts.
+Sets that share no more than ALIKE can differ in a dozen bits and more, further than byte positions can tell, so pairs of texts that are still in different
+components are looked for by prefix lists, which miss none. In any one order of
 all shingles, sets that are alike share a shingle among the first s - ceil(ALIKE x s) + 1 of each (s its size), so lists are
 kept for these alone and no pair is missed. Shingles that a sample of the texts repeats come last in the order, which keeps lists
 short; the order decides the work, never the result.
 
-Each list first pairs its entries with one leader, and all pairs found are verified. A group of near copies, whatever its size, becomes
+Each list first pairs its entries with one leader, and all pairs found are verified. A group, whatever its size, becomes
 one component so with as many pairs as it has entries. Then the pairs of a list that are still in different components are
 taken up. A pair whose sizes, or whose places in the order, leave too few shingles to share is not verified.
 
@@ -26,14 +29,15 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import simhash
 from .common import discard, one_row_each, sized, stash
 from .components import components
 
 SHINGLE, SEED = 5, 42
 #: Least similarity, as a fraction of whole numbers.
 ALIKE = (4, 5)
-#: Texts (about) that the order of shingles is learnt from, and the shingles that it names.
-SAMPLE, NAMED = 20_000, 1 << 17
+#: The order of shingles is learnt from one text in so many, whatever their number, and names so many shingles (16 bytes each, broadcast).
+SAMPLE, NAMED = 2, 1 << 18
 
 
 def shingles(text: bytes | None, size: int = SHINGLE) -> np.ndarray:
@@ -51,6 +55,11 @@ def entry_of(found: np.ndarray) -> int:
     return int(np.array(xxhash.xxh64_intdigest(found.astype("<i8").tobytes(), SEED), np.uint64).view(np.int64))
 
 
+def print_of(found: np.ndarray) -> int:
+    """SimHash of a set of shingles, as a signed 64-bit integer."""
+    return int(np.array(simhash.majority(found.view(np.uint64)), np.uint64).view(np.int64))
+
+
 def _bytes(batch: pa.RecordBatch, i: int) -> Iterator[bytes | None]:
     return (t.as_buffer().to_pybytes() if t.is_valid else None for t in batch.column(i))
 
@@ -67,11 +76,10 @@ def repeated(texts: DataFrame, size: int = SHINGLE, sample: int = SAMPLE, named:
         for batch in batches:
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([*(shingles(t, size) for t in _bytes(batch, 0)), np.zeros(0, np.int64)]))], ["shingle"])
 
-    every = max(1, texts.count() // sample)
-    some = texts.where(F.pmod(F.xxhash64(F.lit("sample"), "text"), F.lit(every)) == 0)
+    some = texts.where(F.pmod(F.xxhash64(F.lit("sample"), "text"), F.lit(sample)) == 0)
     counted = some.mapInArrow(run, "shingle long").groupBy("shingle").agg(F.count("*").alias("n")).where("n > 2").orderBy(F.desc("n"), "shingle").limit(named)
-    got = sorted((r.shingle, r.n) for r in counted.collect())
-    return np.array([s for s, _ in got], np.int64), np.array([n for _, n in got], np.int64)
+    got = counted.toArrow().sort_by("shingle")
+    return got["shingle"].to_numpy(), got["n"].to_numpy()
 
 
 def _size_fits(a: Column, b: Column, alike: tuple[int, int]) -> Column:
@@ -93,35 +101,48 @@ def grouped(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size:
     def heads(batches):
         known, counts = order.value
         for batch in batches:
-            entries, sizes, firsts = [], [], []
+            entries, sizes, firsts, prints = [], [], [], []
             for t in _bytes(batch, 2):
                 found = shingles(t, size)
                 entries.append(entry_of(found))
+                prints.append(print_of(found))
                 sizes.append(len(found))
                 n = len(found) + share * len(found) // -whole + 1 if len(found) else 0
                 if len(known):
                     at = np.minimum(np.searchsorted(known, found), len(known) - 1)
                     found = found[np.argsort(np.where(known[at] == found, counts[at], 0), kind="stable")]
                 firsts.append(found[:n])
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(entries, pa.int64()), pa.array(sizes, pa.int64()), _lists(firsts)], ["doc_id", "tag", "entry", "size", "heads"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(entries, pa.int64()), pa.array(sizes, pa.int64()), pa.array(prints, pa.int64()), _lists(firsts)], ["doc_id", "tag", "entry", "size", "fp", "heads"])
 
     def sets(batches):
         for batch in batches:
             found = [shingles(t, size) for t in _bytes(batch, 0)]
             yield pa.RecordBatch.from_arrays([pa.array(list(map(entry_of, found)), pa.int64()), _lists(found)], ["entry", "found"])
 
-    held = stash(texts.mapInArrow(heads, f"doc_id {kind}, tag long, entry long, size long, heads array<long>"))
+    held = stash(texts.mapInArrow(heads, f"doc_id {kind}, tag long, entry long, size long, fp long, heads array<long>"))
     filed = held.select("entry", F.col("size").cast("int").alias("size"), F.posexplode("heads").alias("place", "head"))
     # Rows of one head meet once, in one exchange; most heads have one entry and go.
     each = Window.partitionBy("head")
     met = filed.withColumns({"leader": F.min(F.struct("entry", "size")).over(each), "last": F.max("entry").over(each)}).where("leader.entry != last").drop("last")
     lists = stash(met.dropDuplicates(["head", "entry"]))
 
+    def hopeful(pairs: DataFrame) -> DataFrame:
+        """The pairs whose first shingles leave it open. All that two sets share up to where the first of both lists ends is in both lists; beyond, no more than the rest of that set."""
+        pairs = stash(pairs.distinct())
+        wanted = pairs.select(F.col("a").alias("entry")).union(pairs.select(F.col("b").alias("entry"))).distinct()
+        firsts = stash(held.join(wanted, "entry", "left_semi").select("entry", "size", "heads").dropDuplicates(["entry"]))
+        met = pairs.join(firsts.select(F.col("entry").alias("a"), F.col("size").alias("s"), F.col("heads").alias("x")), "a").join(firsts.select(F.col("entry").alias("b"), F.col("size").alias("t"), F.col("heads").alias("y")), "b")
+        most = F.size(F.array_intersect("x", "y")) + F.greatest(F.col("s") - F.size("x"), F.col("t") - F.size("y"))
+        out = stash(met.where(_size_fits(F.col("s"), F.col("t"), alike) & _shares(most, F.col("s") + F.col("t"), alike)).select("a", "b"))
+        discard(pairs)
+        discard(firsts)
+        return out
+
     def verified(pairs: DataFrame) -> DataFrame:
         """The pairs (a, b: entries) that are alike."""
         pairs = stash(pairs.distinct())
         wanted = pairs.select(F.col("a").alias("entry")).union(pairs.select(F.col("b").alias("entry"))).distinct()
-        tags = stash(held.join(wanted, "entry", "left_semi").select("tag").distinct())
+        tags = stash(held.join(wanted, "entry", "left_semi").groupBy("entry").agg(F.min("tag").alias("tag")).select("tag").distinct())
         read = texts.join(sized(tags, tags.count()), "tag", "left_semi").select("text").mapInArrow(sets, "entry long, found array<long>")
         known = stash(read.dropDuplicates(["entry"]))
         met = pairs.join(known.select(F.col("entry").alias("a"), F.col("found").alias("x")), "a").join(known.select(F.col("entry").alias("b"), F.col("found").alias("y")), "b")
@@ -130,8 +151,20 @@ def grouped(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size:
             discard(used)
         return out
 
-    led = lists.where((F.col("entry") != F.col("leader.entry")) & _size_fits(F.col("size"), F.col("leader.size"), alike))
-    links = verified(led.select(F.col("leader.entry").alias("a"), F.col("entry").alias("b")))
+    prints = stash(held.select("entry", "fp").distinct())
+    first = stash(prints.groupBy("fp").agg(F.min("entry").alias("lead")))
+    same = prints.join(first, "fp").where("entry != lead").select(F.col("lead").alias("a"), F.col("entry").alias("b"))
+    near = simhash.links(first.select("fp")).join(first.select(F.col("fp").alias("a"), F.col("lead").alias("x")), "a").join(first.select(F.col("fp").alias("b"), F.col("lead").alias("y")), "b").select("x", "y")
+    links = verified(same.union(near))
+    led = stash(lists.withColumn("lead", F.col("leader.entry")).where((F.col("entry") != F.col("lead")) & _size_fits(F.col("size"), F.col("leader.size"), alike)).select("entry", "lead").distinct())
+    nearest = led.groupBy("entry").agg(F.min("lead").alias("lead"))
+    for step in (nearest, led):
+        roots = stash(components(links, "a", "b"))
+        own, others = (roots.select(F.col("node").alias(n), F.col("root").alias(r)) for n, r in (("entry", "own"), ("lead", "its")))
+        apart = step.join(own, "entry", "left").join(others, "lead", "left").where(F.coalesce("own", "entry") != F.coalesce("its", "lead"))
+        links = stash(links.union(verified(hopeful(apart.select(F.col("lead").alias("a"), F.col("entry").alias("b"))))))
+        discard(roots)
+    discard(led)
     roots = components(links, "a", "b")
 
     placed = lists.where("entry != leader.entry").join(roots, F.col("entry") == F.col("node"), "left").select("head", "entry", "size", "place", F.coalesce("root", "entry").alias("root"))
@@ -140,7 +173,7 @@ def grouped(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size:
     x, y = apart.alias("x"), apart.alias("y")
     left = F.least(F.col("x.size") - F.col("x.place"), F.col("y.size") - F.col("y.place"))  # all they can share from their first common shingle on
     rest = x.join(y, (F.col("x.head") == F.col("y.head")) & (F.col("x.entry") < F.col("y.entry")) & (F.col("x.root") != F.col("y.root"))).where(_size_fits(F.col("x.size"), F.col("y.size"), alike) & _shares(left, F.col("x.size") + F.col("y.size"), alike))
-    more = verified(rest.select(F.col("x.entry").alias("a"), F.col("y.entry").alias("b")))
+    more = verified(hopeful(rest.select(F.col("x.entry").alias("a"), F.col("y.entry").alias("b"))))
     discard(lists)
     discard(apart)
     if not more.isEmpty():

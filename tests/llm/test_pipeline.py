@@ -58,6 +58,21 @@ def test_edges(spark, sf):
     assert cp.drop_toxic(spark, df, sf).count() == len(rows)
 
 
+def test_very_long_texts(spark, sf):
+    words = [f"w{i % 7919}" for i in range(150_000)]
+    texts = [" ".join(words), "  ".join(words), " ".join([*words[:75_000], "other", *words[75_001:]]), "y" * 1_000_000, "short text of a few words"]
+    df = spark.createDataFrame([(i, t, "en", "src1", len(t)) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
+    clean = cp.drop_toxic(spark, df, sf)
+    assert sorted(r.doc_id for r in clean.select("doc_id").collect()) == [0, 1, 2, 3, 4]
+    once = cp.drop_copies(spark, clean, sf)
+    assert sorted(r.doc_id for r in once.select("doc_id").collect()) == [0, 2, 3, 4]
+    apart = dict(cp.STAGES)["near_dedup"](spark, once, sf)
+    assert sorted((r.doc_id, r.text) for r in apart.collect()) == [(0, texts[0]), (3, texts[3]), (4, texts[4])]
+    packed = cp.pack_sequences(spark, apart, sf).collect()
+    assert sum(r.length for r in packed if r.doc_id == 0) == 150_000 and [r.length for r in packed if r.doc_id == 3] == [1]
+    assert cp.mix_sources(spark, apart, sf).count() >= 1
+
+
 def test_run(spark, sf):
     got = cp.run(spark, sf)
     assert set(packing.COLUMNS) == set(got.columns) and got.count() > 50 and simhash.DISTANCE == 2

@@ -78,6 +78,19 @@ def test_whole_tables(spark, sf):
         assert got[r.doc_id].fingerprint == f"{f:016x}" and got[r.doc_id].component_id == want[r.doc_id]
 
 
+def test_very_long_texts(spark):
+    rng = random.Random(9)
+    words = [f"w{rng.randint(0, 400)}" for _ in range(200_000)]
+    other = [*words[:100_000], "changed", *words[100_001:]]
+    texts = [" ".join(words), " ".join(other), "  ".join(words), "x" * 1_000_000, " ".join(words[:50_000])]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: r for r in simhash.near_duplicates(df).collect()}
+    fps = list(map(plain_fingerprint, texts[:2])) + [simhash.fingerprint(t.encode()) for t in texts[2:]]
+    want = plain_components(list(range(5)), fps)
+    assert all(got[i].fingerprint == f"{f:016x}" and got[i].component_id == want[i] for i, f in enumerate(fps))
+    assert got[0].component_id == got[1].component_id == got[2].component_id == 0 and got[3].component_id == 3
+
+
 def test_edges(spark):
     rows = [(1, None), (2, ""), (3, " \n"), (4, "a b c d"), (4, "a b c d"), (None, "A B C D"), (5, "other words are here now")]
     df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("fp", F.lit("clash"))

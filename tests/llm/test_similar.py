@@ -47,7 +47,7 @@ def test_stage_against_brute_force(spark):
     assert sorted(r.doc_id for r in got.collect()) == want and len(want) < len(rows) and got.columns == once.columns
 
 
-@pytest.mark.parametrize("sample", [10, 20_000])
+@pytest.mark.parametrize("sample", [1, 2, 50])
 def test_groups_at_the_bound(spark, sample):
     rng = random.Random(sample)
     texts = ["x y", "X  y", "x", "", None, " ", "a b c d e", "A b c d e f", "a b c d e f g h i", "a b c d e f g h i j"]  # 4 of 5 and 5 of 6 shared
