@@ -5,12 +5,12 @@ byte-position lists of the SimHash operator; what they link is verified exactly,
 Sets that share no more than ALIKE can differ in a dozen bits and more, further than byte positions can tell, so pairs of texts that are still in different
 components are looked for by prefix lists, which miss none. In any one order of
 all shingles, sets that are alike share a shingle among the first s - ceil(ALIKE x s) + 1 of each (s its size), so lists are
-kept for these alone and no pair is missed. Shingles that a sample of the texts repeats come last in the order, which keeps lists
+kept for these alone and no pair is missed. Shingles that half of the texts repeat come last in the order, which keeps lists
 short; the order decides the work, never the result.
 
-Each list first pairs its entries with one leader, and all pairs found are verified. A group, whatever its size, becomes
-one component so with as many pairs as it has entries. Then the pairs of a list that are still in different components are
-taken up. A pair whose sizes, or whose places in the order, leave too few shingles to share is not verified.
+Each list has one leader. Every entry is paired first with the least leader of its lists, so that a group, whatever its size, becomes
+one component with about as many pairs as it has entries; then with the leaders that are still in other components; then the pairs of a list that are
+still apart are taken up. A pair whose sizes, whose places in the order, or whose first shingles leave too few to share is not verified.
 
 Shingles are compared, and equal sets are one entry, by 64-bit hashes. Words are lower-cased in ASCII and cut at ASCII white space, as in simhash.
 
