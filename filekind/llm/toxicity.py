@@ -48,6 +48,16 @@ MEMO = 200_000
 #: Steps of the vote in the calibration table.
 STEPS = 20
 LETTERS = re.compile(r"[^\W\d_]+")
+#: Of each of the first 256 characters: its lower-case form if that is a letter, else a space.
+FOLDED = "".join(c if LETTERS.fullmatch(c := chr(i).lower()) else " " for i in range(256)).encode("latin-1")
+
+
+def words(text: str) -> list[str]:
+    """LETTERS.findall(text.lower()); texts of the first 256 characters only go through a table of bytes, which gives the same words."""
+    try:
+        return text.encode("latin-1").translate(FOLDED).decode("latin-1").split()
+    except UnicodeEncodeError:
+        return LETTERS.findall(text.lower())
 
 
 Vector = tuple[np.ndarray, np.ndarray]
@@ -91,10 +101,12 @@ class BlockMax:
             for (t, w), dense in zip(some, asked @ self.rows, strict=True):
                 rare = self.slot[t] < 0
                 starts, ends = self.start[t[rare]], self.start[t[rare] + 1]
-                cuts = list(map(slice, starts.tolist(), ends.tolist()))
-                if cuts:
-                    weights = np.concatenate([self.weight[c] for c in cuts]) * np.repeat(w[rare], ends - starts)
-                    dense = dense + np.bincount(np.concatenate([self.place[c] for c in cuts]), weights, self.blocks * BLOCK)
+                lengths = ends - starts
+                if total := int(lengths.sum()):
+                    # The lists one after the other, gathered at once.
+                    at = np.arange(total) + np.repeat(starts - (np.cumsum(lengths) - lengths), lengths)
+                    weights = self.weight.take(at) * np.repeat(w[rare], lengths)
+                    dense = dense + np.bincount(self.place.take(at), weights, self.blocks * BLOCK)
                 yield self.nearest(dense, k)
 
     def nearest(self, cosine: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, int]:
@@ -215,7 +227,7 @@ class Numbers:
         self.vocabulary, self.memo = vocabulary, {}
 
     def __call__(self, text: str | None) -> Vector:
-        counts = Counter(LETTERS.findall(text.lower())) if text and len(self.vocabulary) else {}
+        counts = Counter(words(text)) if text and len(self.vocabulary) else {}
         at = list(map(self.memo.get, counts))
         if missing := [w for w, i in zip(counts, at, strict=True) if i is None]:
             found = hashed(missing)
@@ -274,7 +286,7 @@ def fit(docs: DataFrame, labelled: DataFrame, id_col: str = "doc_id", text_col:
 
     def counted(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for x in parts:
-            found = [Counter(LETTERS.findall(t.lower())) for t in x["text"]]
+            found = [Counter(words(t)) for t in x["text"]]
             yield pd.DataFrame({"id": x["__id"], "label": x["label"], "terms": [hashed(c) for c in found], "counts": [np.fromiter(c.values(), np.int32, len(c)) for c in found]})
 
     rows = held.mapInPandas(counted, "id long, label int, terms array<long>, counts array<int>").toArrow().sort_by("id").combine_chunks()

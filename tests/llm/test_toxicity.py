@@ -176,3 +176,15 @@ def test_scores_against_brute_force(spark):
             b = read(vote(told[i], base), two) if (every[i, telling] > 0).any() else base
             want = read(joint(vote(near[i], prior), b), last)
         assert abs(got[d] - want) < 1e-6, (d, got[d], want)
+
+
+def test_words_are_those_of_the_expression(monkeypatch):
+    """By a table of bytes, the expression being left for texts with other characters than the first 256."""
+    rng = random.Random(5)
+    every = [chr(i) for i in range(256)]
+    texts = ["", "".join(every), "Ä-ß_µ²x9ÿ\x85\xa0Ünd 1½", *("".join(rng.choices(every, k=300)) for _ in range(200))]
+    other = ["Ελλάς ΟΔΟΣ İx naïve", "a—b “c” d", *(t + "Ж" for t in texts)]
+    want = [tox.LETTERS.findall(t.lower()) for t in texts + other]
+    assert [tox.words(t) for t in texts + other] == want
+    monkeypatch.setattr(tox, "LETTERS", None)
+    assert [tox.words(t) for t in texts] == want[: len(texts)]
