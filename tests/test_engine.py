@@ -44,6 +44,13 @@ def test_query_equals_sql(spark, sf, con, name):
     assert got == want
 
 
+def test_forward_check_reads_every_event(spark, sf):
+    got = workloads.forward_check(spark, sf)
+    events = tables.load(spark, sf, "events").count()
+    assert got.count() == events and got.select("event_id").distinct().count() == events
+    assert any(f.endswith("events.parquet") for f in got.inputFiles()) and got.where("abs(c0 + c1 + c2 - 1) > 2e-6").isEmpty()
+
+
 def test_streams_equal_batches(spark, sf):
     space, model = workloads.model(spark, sf)
     batch = {(r.file_id, r.pred) for r in score.predict(corpus.prose(spark, sf), model, space).collect()}
