@@ -17,12 +17,10 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import clean_text, running_before, shuffle_width, sized, stash, table
+from .common import clean_text, discard, running_before, shuffle_width, sized, stash, table
 
 SHARDS = 24
 BITS = 5
-#: Sampled rows for each cell of an axis whose values outnumber its cells.
-SAMPLED = 256
 #: (column, how it is quantised)
 DIMENSIONS = (("lang", "category"), ("source", "category"), ("n_chars", "magnitude"))
 
@@ -75,14 +73,21 @@ def curve_index(coordinates: Sequence[Column], bits: int) -> Column:
 
 
 def category_starts(df: DataFrame, name: str, bits: int) -> list[str]:
-    """The first value of each cell of a category's axis, in ascending order: every value if the cells suffice, else cuts of nearly equal rows, from a sample."""
+    """The first value of each cell of a category's axis, in ascending order: every value if the cells suffice, else cuts of nearly equal rows, from the counts of all values."""
     cells = (1 << bits) - 1
     known = df.select(F.col(name).cast("string").alias("v")).where("v is not null")
     few = sorted(r.v for r in known.distinct().limit(cells + 1).collect())
     if len(few) <= cells:
         return few
-    some = sorted(r.v for r in known.sample(False, min(1.0, cells * SAMPLED / known.count()), seed=42).limit(2 * cells * SAMPLED).collect())
-    return sorted({"", *(some[len(some) * i // cells] for i in range(1, cells))}) if some else [""]
+    # Tasks hold successive ranges of the sorted values, so their numbers are slices of one order.
+    counted = known.groupBy("v").agg(F.count("*").alias("n")).orderBy("v")
+    filed = stash(counted.select("v", "n", F.spark_partition_id().alias("slice"), F.lit(0).alias("all")))
+    total = filed.agg(F.sum("n")).first()[0]
+    places = F.array(*(F.lit(total * i // cells).cast("long") for i in range(1, cells)))
+    ranked = running_before(filed, ["all"], "slice", [F.col("v")], {"before": "n"}, shuffle_width(df.sparkSession))
+    cuts = ranked.where(F.exists(places, lambda p: (p >= F.col("before")) & (p < F.col("before") + F.col("n")))).select("v").collect()  # no more than cells
+    discard(filed)
+    return sorted({"", *(r.v for r in cuts)})
 
 
 def coordinate(df: DataFrame, name: str, how: str, bits: int) -> Column:

@@ -73,6 +73,15 @@ def test_categories_keep_their_order(spark):
     assert [r.c for r in rows] == sorted(r.c for r in rows) and len({r.c for r in rows}) == 7
 
 
+def test_cuts_of_many_categories_are_exact(spark):
+    """The values that hold the ranks at which cells begin, among all rows; a sample finds others."""
+    rows = [f"v{i % 997:03}" for i in range(30_000)] + ["v500"] * 9_000 + [f"w{i}" for i in range(6_000)] + ["é", "\U0001f600", ""]
+    df = spark.createDataFrame([(v,) for v in rows] + [(None,)] * 50, "source string")
+    want = {b"", *(sorted(v.encode() for v in rows)[len(rows) * i // 31] for i in range(1, 31))}
+    for parts in (1, 13):
+        assert {v.encode() for v in sharding.category_starts(df.repartition(parts), "source", 5)} == want
+
+
 @pytest.mark.parametrize("rows", [100_000_000, 10**12])
 def test_places_of_very_many_rows(spark, rows):
     """The whole-number laws of shard and slot at the edges of shards, far beyond 32 bits."""
