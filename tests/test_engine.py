@@ -51,6 +51,15 @@ def test_forward_check_reads_every_event(spark, sf):
     assert any(f.endswith("events.parquet") for f in got.inputFiles()) and got.where("abs(c0 + c1 + c2 - 1) > 2e-6").isEmpty()
 
 
+def test_cost_profile_prepares_each_size_once(spark, sf, monkeypatch):
+    asked, levels = [], prep.levels
+    monkeypatch.setattr(prep, "levels", lambda df, *a: asked.append(1) or levels(df, *a))
+    rows = {(r.step, r.times): r for r in trained.cost_profile(spark, sf, sizes=(1, 2)).collect()}
+    assert len(asked) == 2 and len(rows) == 12
+    assert rows["prepare", 2].rows == 2 * rows["prepare", 1].rows == 2 * corpus.prose(spark, sf).count()
+    assert all(r.rows > 0 and r.seconds > 0 for r in rows.values()) and rows["retrain", 1].epochs > 0
+
+
 def test_streams_equal_batches(spark, sf):
     space, model = workloads.model(spark, sf)
     batch = {(r.file_id, r.pred) for r in score.predict(corpus.prose(spark, sf), model, space).collect()}
