@@ -8,8 +8,10 @@ all shingles, sets that are alike share a shingle among the first s - ceil(ALIKE
 kept for these alone and no pair is missed. Shingles that half of the texts repeat come last in the order, which keeps lists
 short; the order decides the work, never the result.
 
-Each list has one leader. Every entry is paired first with the least leader of its lists, so that a group, whatever its size, becomes
-one component with about as many pairs as it has entries; then with the leaders that are still in other components; then the pairs of a list that are
+Each list has one leader: the entry that meets most others over all its lists, for its size. In a group of near copies this is a text with few edits of its own, alike
+to far more of the group than two of its other texts are to one another. Every entry is paired first with the best leader of its lists, so that a group, whatever its size, becomes
+one component with about as many pairs as it has entries; then with the leaders that are still in other components. Where the lists then leave more than
+CROWDED pairs for each row, they get next leaders, as long as each round takes a quarter of what was left; then the pairs of a list that are
 still apart are taken up. A pair whose sizes, whose places in the order, or whose first shingles leave too few to share is not verified.
 
 Shingles are compared, and equal sets are one entry, by 64-bit hashes. Words are lower-cased in ASCII and cut at ASCII white space, as in simhash.
@@ -38,6 +40,8 @@ SHINGLE, SEED = 5, 42
 ALIKE = (4, 5)
 #: The order of shingles is learnt from one text in so many, whatever their number, and names so many shingles (16 bytes each, broadcast).
 SAMPLE, NAMED = 2, 1 << 18
+#: Pairs of different components for each row of the lists, up to which they are taken up at once.
+CROWDED = 16
 
 
 def shingles(text: bytes | None, size: int = SHINGLE) -> np.ndarray:
@@ -91,7 +95,7 @@ def _shares(shared: Column, sizes: Column, alike: tuple[int, int]) -> Column:
     return shared * (alike[0] + alike[1]) >= sizes * alike[0]
 
 
-def grouped(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE, alike: tuple[int, int] = ALIKE, sample: int = SAMPLE) -> DataFrame:
+def grouped(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE, alike: tuple[int, int] = ALIKE, sample: int = SAMPLE, crowded: int = CROWDED) -> DataFrame:
     """One row for each input row: doc_id, tag (a hash of the text), root (one value for each group of near copies)."""
     spark, kind = df.sparkSession, df.schema[id_col].dataType.simpleString()
     texts = df.select(F.col(id_col).alias("doc_id"), F.xxhash64(text_col).alias("tag"), F.col(text_col).cast("string").cast("binary").alias("text"))
@@ -123,8 +127,9 @@ def grouped(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size:
     filed = held.select("entry", F.col("size").cast("int").alias("size"), F.posexplode("heads").alias("place", "head"))
     # Rows of one head meet once, in one exchange; most heads have one entry and go.
     each = Window.partitionBy("head")
-    met = filed.withColumns({"leader": F.min(F.struct("entry", "size")).over(each), "last": F.max("entry").over(each)}).where("leader.entry != last").drop("last")
-    lists = stash(met.dropDuplicates(["head", "entry"]))
+    met = filed.withColumns({"n": F.count("*").over(each), "least": F.min("entry").over(each), "last": F.max("entry").over(each)}).where("least != last").drop("least", "last")
+    ranked = met.dropDuplicates(["head", "entry"]).withColumn("weight", F.sum("n").over(Window.partitionBy("entry")) / F.col("size")).drop("n")
+    lists = stash(ranked.withColumn("leader", F.max(F.struct("weight", "entry", "size")).over(each)))
 
     def hopeful(pairs: DataFrame) -> DataFrame:
         """The pairs whose first shingles leave it open. All that two sets share up to where the first of both lists ends is in both lists; beyond, no more than the rest of that set."""
@@ -156,8 +161,14 @@ def grouped(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size:
     same = prints.join(first, "fp").where("entry != lead").select(F.col("lead").alias("a"), F.col("entry").alias("b"))
     near = simhash.links(first.select("fp")).join(first.select(F.col("fp").alias("a"), F.col("lead").alias("x")), "a").join(first.select(F.col("fp").alias("b"), F.col("lead").alias("y")), "b").select("x", "y")
     links = verified(same.union(near))
-    led = stash(lists.withColumn("lead", F.col("leader.entry")).where((F.col("entry") != F.col("lead")) & _size_fits(F.col("size"), F.col("leader.size"), alike)).select("entry", "lead").distinct())
-    nearest = led.groupBy("entry").agg(F.min("lead").alias("lead"))
+
+    def following(lists: DataFrame) -> DataFrame:
+        """(entry, lead, weight): each entry of the lists with their leaders, where sizes leave it open."""
+        led = lists.withColumn("lead", F.col("leader.entry")).where((F.col("entry") != F.col("lead")) & _size_fits(F.col("size"), F.col("leader.size"), alike))
+        return led.groupBy("entry", "lead").agg(F.max("leader.weight").alias("weight"))
+
+    led = stash(following(lists))
+    nearest = led.groupBy("entry").agg(F.max(F.struct("weight", "lead")).alias("best")).select("entry", "best.lead")
     for step in (nearest, led):
         roots = stash(components(links, "a", "b"))
         own, others = (roots.select(F.col("node").alias(n), F.col("root").alias(r)) for n, r in (("entry", "own"), ("lead", "its")))
@@ -165,11 +176,32 @@ def grouped(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size:
         links = stash(links.union(verified(hopeful(apart.select(F.col("lead").alias("a"), F.col("entry").alias("b"))))))
         discard(roots)
     discard(led)
-    roots = components(links, "a", "b")
 
-    placed = lists.where("entry != leader.entry").join(roots, F.col("entry") == F.col("node"), "left").select("head", "entry", "size", "place", F.coalesce("root", "entry").alias("root"))
-    mixed = placed.groupBy("head").agg(F.min("root").alias("r"), F.max("root").alias("s")).where("r != s").select("head")
-    apart = stash(placed.join(mixed, "head"))
+    def remaining(lists: DataFrame, roots: DataFrame) -> DataFrame:
+        """The rows of the lists but for their leaders, which have met all others, where several components are left; with their roots."""
+        placed = lists.where("entry != leader.entry").join(roots, F.col("entry") == F.col("node"), "left").select("head", "entry", "size", "place", "weight", F.coalesce("root", "entry").alias("root"))
+        mixed = placed.groupBy("head").agg(F.min("root").alias("r"), F.max("root").alias("s")).where("r != s").select("head")
+        return stash(placed.join(mixed, "head"))
+
+    def pairs_left(apart: DataFrame) -> tuple[int, float]:
+        """(rows, pairs of different components) of the lists."""
+        own = apart.groupBy("head", "root").agg(F.count("*").cast("double").alias("n")).groupBy("head").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("own"))
+        got = own.agg(F.sum("n"), F.sum((F.col("n") * F.col("n") - F.col("own")) / 2)).first()
+        return int(got[0] or 0), got[1] or 0.0
+
+    roots = components(links, "a", "b")
+    apart = remaining(lists, roots)
+    rows, left = pairs_left(apart)
+    before = float("inf")
+    while left > crowded * rows and 4 * left <= 3 * before:
+        again = stash(apart.withColumn("leader", F.max(F.struct("weight", "entry", "size", "root")).over(each)))
+        links = stash(links.union(verified(hopeful(following(again.where("root != leader.root")).select(F.col("lead").alias("a"), F.col("entry").alias("b"))))))
+        discard(roots)
+        discard(apart)
+        roots = components(links, "a", "b")
+        apart = remaining(again.drop("root"), roots)
+        discard(again)
+        before, (rows, left) = left, pairs_left(apart)
     x, y = apart.alias("x"), apart.alias("y")
     left = F.least(F.col("x.size") - F.col("x.place"), F.col("y.size") - F.col("y.place"))  # all they can share from their first common shingle on
     rest = x.join(y, (F.col("x.head") == F.col("y.head")) & (F.col("x.entry") < F.col("y.entry")) & (F.col("x.root") != F.col("y.root"))).where(_size_fits(F.col("x.size"), F.col("y.size"), alike) & _shares(left, F.col("x.size") + F.col("y.size"), alike))

@@ -78,3 +78,35 @@ def test_edges(spark):
     df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("entry", F.lit("clash"))
     assert sorted(r.doc_id for r in similar.keep_one(df).collect()) == [1, 4, 5]
     assert similar.keep_one(df.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("crowded", [similar.CROWDED, 0])
+def test_pairs_of_a_large_group_stay_few(spark, monkeypatch, crowded):
+    """A group in which hardly two texts are alike but to one: not all its pairs are tried."""
+    rng, n = random.Random(7), 240
+    base = [f"w{i}" for i in range(150)]
+    texts = []
+    for i in range(n):
+        words = list(base)
+        for j in range(3 if i != 100 else 0):
+            words[rng.randrange(len(words))] = f"own{i}x{j}"
+        texts.append(" ".join(words))
+    rows = list(enumerate([*texts, *(" ".join([*base[:60], *(f"far{i}x{j}" for j in range(30))]) for i in range(20))]))
+    most, write = [], similar.stash
+
+    def counted(df):
+        out = write(df)
+        if out.columns == ["a", "b"]:
+            most.append(out.count())
+        return out
+
+    monkeypatch.setattr(similar, "stash", counted)
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    found = {}
+    for r in similar.grouped(df, crowded=crowded).collect():
+        found.setdefault(r.root, set()).add(r.doc_id)
+    want = {}
+    for (d, _), g in zip(rows, plain_groups(rows), strict=True):
+        want.setdefault(g, set()).add(d)
+    assert sorted(map(sorted, found.values())) == sorted(map(sorted, want.values())) and max(map(len, found.values())) > n / 2
+    assert max(most) <= 4 * len(rows)
