@@ -33,11 +33,13 @@ BLOCK = 128
 END_ID = 2
 #: Ids per segment after which a new one begins, and bytes of text that are tokenised at a time.
 SEGMENT_IDS, TEXT_BYTES = 1 << 20, 1 << 23
-#: Distinct words whose ids a worker process keeps.
-MOST_WORDS = 400_000
+#: Distinct words whose ids a worker process keeps, and words of letters that go to the library in one text.
+MOST_WORDS, TOGETHER = 400_000, 64
 #: Bits of an id under each selector; selector 0 is the escape, 1 is not used.
 BITS = np.array([64, 0, 1, 2, 3, 4, 5, 6, 7, 8, 10, 12, 15, 20, 30, 60], np.uint64)
 COUNTS = np.array([1, 0] + [60 // int(b) for b in BITS[2:]], np.int64)
+#: The class of each id of up to 16 bits: the narrowest of BITS[2:] that holds it.
+CLASSES = np.searchsorted(BITS[2:14], np.array([i.bit_length() for i in range(1 << 16)]), "left").astype(np.uint8)
 HEADER = "<4sHHIQIII"  # magic, version, block, documents, ids, blocks, words, escapes
 
 
@@ -47,11 +49,9 @@ def pack(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     blocks = -(-n // BLOCK)
     grid = np.zeros((blocks, BLOCK), np.uint64)
     grid.reshape(-1)[:n] = ids
-    # The class of an id is the narrowest of BITS[2:] that holds it; 14: none does, an escape.
+    # Class 14: none of BITS[2:] holds the id, an escape.
     if n and int(ids.max()) < 1 << 16:
-        classes = np.searchsorted(BITS[2:14], np.array([i.bit_length() for i in range(1 << 16)]), "left").astype(np.uint8)
-        classes[0] = 0
-        width = classes[grid]
+        width = CLASSES[grid]
     else:
         width = np.zeros((blocks, BLOCK), np.uint8)
         for b in BITS[2:]:
@@ -152,7 +152,8 @@ class Words:
     """Ids of texts, encoding each distinct white-space-separated piece once.
 
     The tokenizer of the contract treats white space as a gap that no token, letter composition or special token crosses, so the ids of a
-    text are those of its pieces one after another. Every piece goes to the library as it is, by itself; ids of pieces seen before are kept.
+    text are those of its pieces one after another. Every piece goes to the library as it is; ids of pieces seen before are kept. Pieces of nothing but letters
+    go many in one text, as a call costs more than a word: each is one pre-token, so its ids end at the only one of them that closes a word. All others go by themselves.
     """
 
     #: A letter, signs that are one pre-token after it, and the end of the piece: parting them by a space changes no id and leaves fewer distinct pieces.
@@ -160,6 +161,9 @@ class Words:
     #: Where letters must keep their case: special tokens are told by it, and a small letter may be composed with a mark that a capital is not.
     CASED = "<\\||[\u0300-\u036f]"
 
+    #: Letters that stay one letter each, whatever stands beside them.
+    LETTERS = "^[a-zA-Z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+$"
+
     def __init__(self, path: str):
         import os
 
@@ -167,6 +171,10 @@ class Words:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
+        #: Whether an id closes a word; a vocabulary that marks no ends gets every piece by itself.
+        vocabulary, mark = self.tokenizer.get_vocab(), getattr(self.tokenizer.model, "end_of_word_suffix", None)
+        self.closes = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.closes[[i for token, i in vocabulary.items() if mark and token.endswith(mark)]] = True
         self.words, self.values, self.start, self.size = pa.array([], pa.string()), np.zeros(0, np.uint32), np.zeros(0, np.int64), np.zeros(0, np.int64)
 
     @classmethod
@@ -176,11 +184,19 @@ class Words:
             _WORDS[path] = cls(path)
         return _WORDS[path]
 
-    def distinct(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        """(ids of the words one after another, the number of ids of each), each word encoded by the library."""
-        found = [e.ids for e in self.tokenizer.encode_batch_fast(words.to_pylist(), add_special_tokens=False)]
+    def distinct(self, words: pa.Array, letters: int = 0) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of the words one after another, the number of ids of each), each word encoded by the library; so many at the head are of letters alone."""
+        texts = words.to_pylist()
+        joined = [" ".join(texts[i : min(i + TOGETHER, letters)]) for i in range(0, letters, TOGETHER)]
+        found = [e.ids for e in self.tokenizer.encode_batch_fast(joined + texts[letters:], add_special_tokens=False)]
         size = np.fromiter(map(len, found), np.int64, len(found))
-        return np.fromiter(chain.from_iterable(found), np.uint32, int(size.sum())), size
+        ids = np.fromiter(chain.from_iterable(found), np.uint32, int(size.sum()))
+        if not letters:
+            return ids, size
+        ends = np.flatnonzero(self.closes[ids[: size[: len(joined)].sum()]])
+        if len(ends) != letters:
+            return self.distinct(words)
+        return ids, np.concatenate([np.diff(ends, prepend=-1), size[len(joined) :]])
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts in order, the number of ids of each)."""
@@ -189,8 +205,10 @@ class Words:
         coded = pieces.flatten().dictionary_encode()
         at = pc.index_in(coded.dictionary, value_set=self.words)
         new = np.flatnonzero(at.is_null().to_numpy(zero_copy_only=False))
+        simple = pc.match_substring_regex(coded.dictionary.take(pa.array(new)), self.LETTERS).to_numpy(zero_copy_only=False) & self.closes.any()
+        new = np.concatenate([new[simple], new[~simple]])
         fresh = coded.dictionary.take(pa.array(new))
-        more, lengths = self.distinct(fresh)
+        more, lengths = self.distinct(fresh, int(simple.sum()))
         values = np.concatenate([self.values, more])
         begin = len(self.values) + np.cumsum(lengths) - lengths
         at = at.fill_null(0).to_numpy(zero_copy_only=False)

@@ -70,3 +70,31 @@ def test_ids_are_the_librarys_for_any_text(monkeypatch):
             ids, lengths = words.encode(pa.array(some, pa.string()))
             for t, got in zip(some, np.split(ids, np.cumsum(lengths)[:-1]), strict=True):
                 assert got.tolist() == library.encode(t, add_special_tokens=False).ids, t
+
+
+def test_words_of_letters_go_together_and_keep_their_ids():
+    """Many words of letters go to the library in one text; odd ones beside them go alone, and every text keeps the ids of its own encoding."""
+    path = public_tokenizers.path("word_bpe_49k.json")
+    plain, words, calls = Tokenizer.from_file(path), tb.Words(path), []
+    rng = random.Random(5)
+    made = ["".join(rng.choice("abcdeghilmnorstuwzäßéÑÈ") for _ in range(rng.randint(1, 14))) for _ in range(500)]
+    odd = ["l'eau", "éte", "x1y", "</w>", "a</w>b", "<|endoftext|>", "Ω", "क़", "가", "\x01", "日本", " ", "a b", "don't", "...", "İ", "ﬁn"]
+    texts = ["", *(" ".join(rng.choice(made + odd) for _ in range(rng.randint(1, 80))) for _ in range(60)), " ".join(odd)]
+
+    class Counted:
+        def __getattr__(self, name):
+            return getattr(plain, name)
+
+        def encode_batch_fast(self, pieces, **how):
+            calls.append(len(pieces))
+            return plain.encode_batch_fast(pieces, **how)
+
+    words.tokenizer = Counted()
+    ids, lengths = words.encode(pa.array(texts))
+    want = [e.ids for e in plain.encode_batch(texts, add_special_tokens=False)]
+    assert lengths.tolist() == list(map(len, want)) and ids.tolist() == [i for w in want for i in w]
+    assert sum(calls) < 100
+    words.closes[:] = False  # a vocabulary that marks no ends
+    again = ["new " + t for t in texts]
+    ids, _ = words.encode(pa.array(again))
+    assert ids.tolist() == [i for e in plain.encode_batch(again, add_special_tokens=False) for i in e.ids]
