@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from filekind.llm import exact_dedup, mixing, packing, simhash, similar, toxicity
-from filekind.llm.common import discard, stash_alone, table
+from filekind.llm.common import discard, small_batches, stash_alone, table
 
 #: The pipeline's mix never repeats a document.
 MIX = {"share": 0.6, "epochs": 1}
@@ -18,6 +18,7 @@ MIX = {"share": 0.6, "epochs": 1}
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose nearest labelled examples make them likelier toxic than not are rejected."""
+    small_batches(spark)
     model = toxicity.fit(docs, toxicity.training_labels(spark, sf_dir))
     return toxicity.scored(docs, model, prefix="__tox_").where("__tox_score < 0.5").select(*docs.columns)
 
@@ -33,6 +34,7 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def drop_similar(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that share at least 0.8 of their five-word shingles, directly or over others, are one document."""
+    small_batches(spark)
     return similar.keep_one(docs)
 
 

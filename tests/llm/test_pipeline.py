@@ -2,8 +2,10 @@ import re
 from collections import defaultdict
 
 import corpus_pipeline as cp
+import pyarrow as pa
 import pytest
-from filekind.llm import packing, simhash, toxicity
+from filekind.llm import common, packing, simhash, toxicity
+from pyspark.sql import functions as F
 
 from tests.llm.test_simhash import plain_components, plain_fingerprint
 
@@ -76,3 +78,29 @@ def test_very_long_texts(spark, sf):
 def test_run(spark, sf):
     got = cp.run(spark, sf)
     assert set(packing.COLUMNS) == set(got.columns) and got.count() > 50 and simhash.DISTANCE == 2
+
+
+@pytest.mark.parametrize("stage", [cp.drop_toxic, cp.drop_similar])
+def test_texts_reach_python_in_small_batches(spark, docs, sf, stage):
+    def sizes(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([b.num_rows]), pa.array([b.nbytes])], ["rows", "bytes"])
+
+    def largest(length):
+        text = spark.range(3000, numPartitions=1).select(F.repeat(F.lit("x"), length).alias("text"))
+        return text.mapInArrow(sizes, "rows long, bytes long").agg(F.max("rows"), F.max("bytes"), F.sum("rows")).first()
+
+    try:
+        for name in common.BATCH:
+            spark.conf.unset(name)
+        assert stage(spark, docs, sf).count()
+        assert largest(9)[0] <= 1024 and largest(9)[2] == 3000
+        assert largest(9000)[1] <= (4 << 20) + 10_000
+        # A session's smaller bounds stay.
+        for name, few in zip(common.BATCH, ("100", "1m"), strict=True):
+            spark.conf.set(name, few)
+        common.small_batches(spark)
+        assert largest(9)[0] == 100 and largest(90_000)[1] <= (1 << 20) + 100_000
+    finally:
+        for name in common.BATCH:
+            spark.conf.unset(name)
